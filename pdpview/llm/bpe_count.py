@@ -16,7 +16,7 @@ import json
 
 from pyspark.sql import DataFrame
 
-from .texts import map_texts
+from .texts import map_texts, per_worker
 
 #: The pretoken pattern of byte-level vocabularies (fixed value).
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
@@ -107,9 +107,6 @@ class Counter:
         return total
 
 
-_COUNTERS: dict[tuple, Counter] = {}
-
-
 def token_counts(docs: DataFrame, tokenizer_path: str, limit: int = 1024, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_bytes, n_tokens, over_limit for each row of ``docs``.
 
@@ -119,10 +116,7 @@ def token_counts(docs: DataFrame, tokenizer_path: str, limit: int = 1024, id_col
     shared = docs.sparkSession.sparkContext.broadcast((ranks, special))
 
     def make():
-        key = (tokenizer_path, len(ranks))
-        if key not in _COUNTERS:
-            _COUNTERS[key] = Counter(*shared.value)
-        count = _COUNTERS[key].count
+        count = per_worker("bpe", tokenizer_path, lambda: Counter(*shared.value)).count
 
         def rows(ids, texts):
             out = []

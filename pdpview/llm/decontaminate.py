@@ -20,7 +20,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .texts import filter_rows, map_texts
+from .texts import filter_rows, map_texts, new_key, per_worker
 
 #: A-Z to a-z, digits and a-z stay, bytes beyond ASCII stay, all else becomes a space.
 NORMAL = bytes(
@@ -93,9 +93,6 @@ class Scanner:
         return b"".join([*out, raw[at:]]).decode("utf-8", "replace")
 
 
-_SCANNERS: dict[object, Scanner] = {}
-
-
 def item_blocks(bench: DataFrame, max_chars: int, id_col: str = "item_id", text_col: str = "text") -> list[list[tuple]]:
     """The items in blocks of at most ``max_chars`` characters (a longer single item is its own block)."""
     blocks, size = [[]], 0
@@ -110,12 +107,8 @@ def item_blocks(bench: DataFrame, max_chars: int, id_col: str = "item_id", text_
     return blocks
 
 
-def _scanner(shared, size: int) -> Scanner:
-    key = (shared.id, size)
-    if key not in _SCANNERS:
-        _SCANNERS.clear()  # at most one automaton in a worker
-        _SCANNERS[key] = Scanner(shared.value, size)
-    return _SCANNERS[key]
+def _scanner(key: str, shared, size: int) -> Scanner:
+    return per_worker("scanner", key, lambda: Scanner(shared.value, size))
 
 
 def digest(ids) -> str:
@@ -128,10 +121,10 @@ def contamination(docs: DataFrame, bench: DataFrame, size: int = 10, max_chars:
     blocks = item_blocks(bench, max_chars)
     sc = docs.sparkSession.sparkContext
     if len(blocks) == 1:
-        shared = sc.broadcast(blocks[0])
+        shared, key = sc.broadcast(blocks[0]), new_key()
 
         def make():
-            s = _scanner(shared, size)
+            s = _scanner(key, shared, size)
 
             def rows(ids, texts):
                 out = []
@@ -149,10 +142,10 @@ def contamination(docs: DataFrame, bench: DataFrame, size: int = 10, max_chars:
     # Each block's pass adds its hit word places and items to a row's array columns: no join, rows stay apart.
     state = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), F.array().cast("array<int>").alias("hit"), F.array().cast("array<string>").alias("items"))
     for block in blocks:
-        shared = sc.broadcast(block)
+        shared, key = sc.broadcast(block), new_key()
 
-        def make(shared=shared):
-            s = _scanner(shared, size)
+        def make(shared=shared, key=key):
+            s = _scanner(key, shared, size)
 
             def rows(ids, texts, hits, items):
                 out = []
@@ -177,6 +170,11 @@ def contamination(docs: DataFrame, bench: DataFrame, size: int = 10, max_chars:
 def drop_contaminated(docs: DataFrame, bench: DataFrame, size: int = 10, max_chars: int = 32_000_000, text_col: str = "text") -> DataFrame:
     """Rows without any hit word, all columns untouched."""
     for block in item_blocks(bench, max_chars):
-        shared = docs.sparkSession.sparkContext.broadcast(block)
-        docs = filter_rows(docs, [text_col], lambda shared=shared: (lambda s: lambda texts: [s.scan(t)[1] is None for t in texts])(_scanner(shared, size)))
+        shared, key = docs.sparkSession.sparkContext.broadcast(block), new_key()
+
+        def make(shared=shared, key=key):
+            scan = _scanner(key, shared, size).scan
+            return lambda texts: [scan(t)[1] is None for t in texts]
+
+        docs = filter_rows(docs, [text_col], make)
     return docs

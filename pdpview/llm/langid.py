@@ -19,7 +19,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .texts import held_out, map_texts
+from .texts import held_out, map_texts, new_key, per_worker
 
 
 @dataclass(frozen=True)
@@ -94,23 +94,17 @@ class Identifier:
         return self.langs[best], min(1.0, 0.5 + gap / 2), gap < self.cfg.margin
 
 
-_MADE: dict[object, Identifier] = {}
-
-
 def fit(docs: DataFrame, cfg: LangConfig = LangConfig(), id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> dict[str, bytes]:
     return dictionaries(sample(docs, cfg, id_col, text_col, lang_col), cfg)
 
 
 def identify(docs: DataFrame, dicts: dict[str, bytes], cfg: LangConfig = LangConfig(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, held_out, lang_pred, score, narrow. With ``narrow`` the general user treats the language as rejected."""
-    shared = docs.sparkSession.sparkContext.broadcast(dicts)
+    shared, key = docs.sparkSession.sparkContext.broadcast(dicts), new_key()
     d = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), held_out(F.col(id_col)).alias("held_out"))
 
     def make():
-        if shared.id not in _MADE:
-            _MADE.clear()
-            _MADE[shared.id] = Identifier(shared.value, cfg)
-        predict = _MADE[shared.id].predict
+        predict = per_worker("langid", key, lambda: Identifier(shared.value, cfg)).predict
         return lambda ids, texts, out: [(i, h, *predict(t)) for i, t, h in zip(ids, texts, out, strict=True)]
 
     return map_texts(d, ["doc_id", "text", "held_out"], make, "doc_id long, held_out boolean, lang_pred string, score double, narrow boolean")

@@ -21,6 +21,20 @@ def words_of(text: str | None) -> list[str]:
     return WORDS.findall(text) if text else []
 
 
+_KEPT: dict[str, tuple[str, object]] = {}
+
+
+def per_worker(kind: str, key: str, build: Callable[[], object]) -> object:
+    """The object of this kind and key in this Python worker; it outlives a task, one of each kind is kept."""
+    if _KEPT.get(kind, ("",))[0] != key:
+        _KEPT[kind] = (key, build())
+    return _KEPT[kind][1]
+
+
+def new_key() -> str:
+    return uuid.uuid4().hex
+
+
 def map_texts(
     df: DataFrame, columns: list[str], make: Callable[[], Callable[..., list]], schema: T.StructType | str, rows: int = 512
 ) -> DataFrame:

@@ -23,7 +23,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .texts import held_out, map_texts, words_of
+from .texts import held_out, map_texts, new_key, per_worker, words_of
 
 
 @dataclass(frozen=True)
@@ -189,9 +189,6 @@ class Scorer:
         return float(1 / (1 + np.exp(-np.clip(z, -50, 50))))
 
 
-_SCORERS: dict[object, Scorer] = {}
-
-
 def fit(docs: DataFrame, labels: DataFrame, cfg: ToxicConfig = ToxicConfig()) -> tuple[np.ndarray, float]:
     texts, y = sample(docs, labels, cfg)
     if len(set(y)) < 2:
@@ -201,14 +198,11 @@ def fit(docs: DataFrame, labels: DataFrame, cfg: ToxicConfig = ToxicConfig()) ->
 
 def score(docs: DataFrame, model: tuple[np.ndarray, float], cfg: ToxicConfig = ToxicConfig(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, held_out, score, predicted for each row; the model is a vector of fixed length."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared, key = docs.sparkSession.sparkContext.broadcast(model), new_key()
     d = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), held_out(F.col(id_col)).alias("held_out"))
 
     def make():
-        if shared.id not in _SCORERS:
-            _SCORERS.clear()
-            _SCORERS[shared.id] = Scorer(*shared.value, cfg)
-        f = _SCORERS[shared.id].score
+        f = per_worker("toxicity", key, lambda: Scorer(*shared.value, cfg)).score
 
         def rows(ids, texts, held):
             out = []

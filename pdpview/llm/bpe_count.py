@@ -77,10 +77,13 @@ class Counter:
 
         import regex
 
-        self.ranks, self.memo, self.memo_size = ranks, {}, memo_size
+        self.ranks, self.memo_size = ranks, memo_size
+        self.memo: dict[str, int] = {}
+        self.spaced: dict[str, int] = {}  # counts of " " + key
         self.pretokens = regex.compile(PRETOKEN).findall
         # a space before a non-space always begins a pretoken, so texts can be cut there
         self.cut = re.compile(r"(?= \S)").split
+        self.uneven = re.compile(r" (?=\s|\Z)").search
         self.special = re.compile("|".join(map(re.escape, sorted(special, key=len, reverse=True)))) if special else None
         self.alphabet = byte_alphabet()
 
@@ -93,18 +96,25 @@ class Counter:
             return len(found) + sum(self.count_plain(p) for p in self.special.split(text))
         return self.count_plain(text)
 
+    def known(self, memo: dict[str, int], key: str, piece: str) -> int:
+        n = memo.get(key)
+        if n is None:
+            n = self.piece(piece)
+            if len(key) <= 64:  # long oddities are not worth keeping
+                if len(memo) >= self.memo_size:
+                    memo.clear()
+                memo[key] = n
+        return n
+
     def count_plain(self, text: str) -> int:
-        memo, total = self.memo, 0
-        for p in self.cut(text):
-            n = memo.get(p)
-            if n is None:
-                n = self.piece(p)
-                if len(p) <= 64:  # long oddities are not worth keeping
-                    if len(memo) >= self.memo_size:
-                        memo.clear()
-                    memo[p] = n
-            total += n
-        return total
+        if self.uneven(text):
+            return sum(self.known(self.memo, p, p) for p in self.cut(text))
+        head, *tail = text.split(" ")
+        total = self.known(self.memo, head, head)
+        try:
+            return total + sum(map(self.spaced.__getitem__, tail))
+        except KeyError:
+            return total + sum([self.known(self.spaced, p, " " + p) for p in tail])
 
 
 def token_counts(docs: DataFrame, tokenizer_path: str, limit: int = 1024, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe_count, decontaminate, langid, quality, toxicity
+from . import bpe_count, decontaminate, langid, mixing, quality, token_files, toxicity, url_rules
 
 #: Tokenizer file of the token operators (a parameter; the file is never part of this repository).
 TOKENIZER = "byte_bpe_50k.json"
@@ -26,6 +26,10 @@ def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.assess(table(spark, sf_dir, "documents"))
 
 
+def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix_words(table(spark, sf_dir, "documents"))
+
+
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
@@ -40,19 +44,40 @@ def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(docs, langid.fit(docs))
 
 
+def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_files.round_trip(table(spark, sf_dir, "documents"), tokenizer_path())
+
+
 def op9_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+#: The rules of the pages query (fixed values).
+URL_RULES = [
+    url_rules.Rule("com", "/en/", "block"),
+    url_rules.Rule("example.com", "/en/7", "allow"),
+    url_rules.Rule("net", "/de/", "allow"),
+    url_rules.Rule("example.net", "/de/8", "block"),
+    url_rules.Rule("org", "/es/", "block"),
+]
+
+
+def op10_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_rules.judge_urls(table(spark, sf_dir, "pages"), URL_RULES)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         f.__name__: f
         for f in (
             op1_quality,
+            op3_mixing,
             op4_toxicity,
             op5_token_counts,
             op6_language,
+            op8_token_files,
             op9_decontaminate,
+            op10_url_rules,
         )
     }
 

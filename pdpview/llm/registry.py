@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe_count, decontaminate, langid, mixing, quality, token_files, toxicity, url_rules
+from . import bpe_count, decontaminate, langid, mixing, quality, sentence_spans, token_files, toxicity, url_rules
 
 #: Tokenizer file of the token operators (a parameter; the file is never part of this repository).
 TOKENIZER = "byte_bpe_50k.json"
@@ -44,6 +44,10 @@ def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(docs, langid.fit(docs))
 
 
+def op7_sentence_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sentence_spans.remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.round_trip(table(spark, sf_dir, "documents"), tokenizer_path())
 
@@ -75,6 +79,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
             op4_toxicity,
             op5_token_counts,
             op6_language,
+            op7_sentence_spans,
             op8_token_files,
             op9_decontaminate,
             op10_url_rules,

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe_count, decontaminate, langid, mixing, quality, sentence_spans, token_files, toxicity, url_rules
+from . import bpe_count, decontaminate, langid, mixing, quality, sentence_spans, setjoin, token_files, toxicity, url_rules
 
 #: Tokenizer file of the token operators (a parameter; the file is never part of this repository).
 TOKENIZER = "byte_bpe_50k.json"
@@ -26,6 +26,10 @@ def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.assess(table(spark, sf_dir, "documents"))
 
 
+def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return setjoin.join_components(table(spark, sf_dir, "documents")).drop("fp")
+
+
 def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_words(table(spark, sf_dir, "documents"))
 
@@ -75,6 +79,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         f.__name__: f
         for f in (
             op1_quality,
+            op2_ngram_join,
             op3_mixing,
             op4_toxicity,
             op5_token_counts,

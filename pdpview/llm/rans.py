@@ -30,8 +30,8 @@ WORD = np.uint64(32)
 
 @dataclass(frozen=True)
 class RansConfig:
-    block_tokens: int = 131_072
-    lanes: int = 512
+    block_tokens: int = 524_288
+    lanes: int = 2048
     #: Rows of lanes between two checkpoints of a block.
     checkpoint_rows: int = 128
     level: int = 3

@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import zlib
 from collections.abc import Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -26,86 +27,91 @@ SEGMENT_SCHEMA = "shard int, seg int, n_docs long, n_tokens long, bytes binary"
 
 
 class Encoder:
-    """Whole texts to ids through the library, with bounded tables of pieces seen before.
+    """Whole texts to ids through the library, each different piece of a column once.
 
-    Pretokens never cross the place before a space that a non-space follows, so texts are cut there and each
-    different piece is encoded once. Texts that hold a special string go to the library whole.
+    Pretokens never cross the place before a space that a non-space follows, so texts are cut at spaces, in Arrow, and
+    only the column's different pieces are encoded. Texts with a special string, or with a space before other white
+    space or the end, go to the library whole.
     """
 
-    def __init__(self, spec: str, end_id: int, memo_size: int = 800_000):
+    def __init__(self, spec: str, end_id: int):
         import re
 
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.end, self.memo_size = Tokenizer.from_str(spec), np.array([end_id], "<u4").tobytes(), memo_size
-        self.spaced: dict[str, bytes] = {}  # ids of " " + key
+        self.tokenizer, self.end = Tokenizer.from_str(spec), end_id
         added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
-        self.special = re.compile("|".join(map(re.escape, added))).search if added else lambda text: None
         alphabet = {c: b for b, c in byte_alphabet().items()}
         vocab = self.tokenizer.get_vocab()
         self.bytes_of = np.zeros(max(vocab.values(), default=0) + 1, np.int64)
         for token, i in vocab.items():
             self.bytes_of[i] = len(token) if all(c in alphabet for c in token) else 0
-        self.uneven, self.cut = re.compile(r" (?=\s|\Z)").search, re.compile(r"(?= \S)").split
-
-    def whole(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
-
-    def pieces(self, new: list[str]) -> list[bytes]:
-        """Ids of " " + piece for each piece: one encoding of them all, cut again where their bytes end."""
-        out = []
-        for a in range(0, len(new), 20_000):
-            part = [" " + p for p in new[a : a + 20_000]]
-            ids = np.array(self.tokenizer.encode_batch_fast(["".join(part)], add_special_tokens=False)[0].ids, "<u4")
-            ends = np.cumsum(np.fromiter((len(p.encode("utf-8")) for p in part), np.int64, len(part)))
-            at = np.cumsum(self.bytes_of[ids])
+        #: What keeps a text from being cut: special strings; a space before any white space or the end.
+        self.odd = "|".join([*map(re.escape, added), r" (?:[\s\v\x1c-\x1f\x{85}\x{a0}\x{1680}\x{180e}\x{2000}-\x{200d}\x{2028}\x{2029}\x{202f}\x{205f}\x{2060}\x{3000}\x{feff}]|\z)"])
+
+    def whole(self, texts: list[str]) -> list[np.ndarray]:
+        return [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def pieces(self, pieces: pa.Array) -> tuple[list[np.ndarray], np.ndarray]:
+        """Ids of " " + piece, of all pieces in parts, and the number of ids of each piece.
+
+        Some thousand pieces are encoded as one text and cut again where their bytes end.
+        """
+        import pyarrow.compute as pc
+
+        ids, sizes = [], []
+        for a in range(0, len(pieces), 2_000):
+            part = pieces.slice(a, 2_000)
+            lists = pa.ListArray.from_arrays(pa.array([0, len(part)], pa.int32()), part)
+            text = " " + pc.binary_join(lists, " ")[0].as_py()
+            got = np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, np.uint32)
+            ends = np.cumsum(pc.binary_length(part).to_numpy().astype(np.int64) + 1)
+            at = np.cumsum(self.bytes_of[got])
             stop = np.searchsorted(at, ends) + 1
             if len(at) != stop[-1] or (at[stop - 1] != ends).any():
                 raise ValueError("tokens cross the pieces; this vocabulary is not byte-level")
-            raw, begin = ids.tobytes(), 0
-            for end in (4 * stop).tolist():
-                out.append(raw[begin:end])
-                begin = end
-        return out
-
-    def encode(self, texts: list[str | None]) -> list[bytes]:
-        """Little-endian 32-bit ids of each text, with the end id."""
-        rest: list[str] = []  # encoded without the table: first pieces, whole odd texts
-        plans = []
-        for t in texts:
-            if not t:
-                plans.append((0, []))
-            elif self.special(t):
-                plans.append((1, []))
-                rest.append(t)
-            elif self.uneven(t):
-                parts = [p for p in self.cut(t) if p]
-                plain = [p[1:] if p[0] == " " and p[1:2].strip() else None for p in parts]
-                plans.append((-1, (parts, plain)))
-                rest += [p for p, w in zip(parts, plain, strict=True) if w is None]
-            else:
-                head, *tail = t.split(" ")
-                plans.append((1, tail))
-                rest.append(head)
-        words = [w if n >= 0 else [x for x in w[1] if x is not None] for n, w in plans]
-        memo = self.spaced
-        new = set().union(*(set(w).difference(memo) for w in words))
-        if len(memo) + len(new) > self.memo_size:
-            memo.clear()
-            new = set().union(*words)
-        new = list(new)
-        memo.update(zip(new, self.pieces(new), strict=True))
-        done = iter(self.whole(rest))
-        get, out = memo.__getitem__, []
-        for n, w in plans:
-            if n >= 0:
-                out.append(b"".join([*(next(done) for _ in range(n)), *map(get, w), self.end]))
-            else:
-                out.append(b"".join([*(next(done) if x is None else get(x) for x in w[1]), self.end]))
-        for p in new:
-            if len(p) > 64:  # long oddities are not worth keeping
-                del memo[p]
-        return out
+            ids.append(got)
+            sizes.append(np.diff(stop, prepend=0))
+        return ids, np.concatenate(sizes) if sizes else np.zeros(0, np.int64)
+
+    def encode(self, texts: pa.Array, docs: int = 1024) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """For each ``docs`` texts in turn: their ids one after another, each with the end id; ids of each text."""
+        import pyarrow.compute as pc
+
+        n = len(texts)
+        texts = pc.fill_null(texts, "")
+        odd = np.flatnonzero(pc.match_substring_regex(texts, self.odd).to_numpy(zero_copy_only=False))
+        if len(odd):
+            rest = self.whole(texts.take(pa.array(odd)).to_pylist())
+            flags = np.zeros(n, bool)
+            flags[odd] = True
+            texts = pc.if_else(pa.array(flags), "", texts)
+        lists = pc.split_pattern(texts, " ")
+        offsets = lists.offsets.to_numpy().astype(np.int64)
+        values = lists.values.slice(offsets[0], offsets[-1] - offsets[0])
+        offsets = offsets - offsets[0]
+        heads = self.whole(values.take(pa.array(offsets[:-1])).to_pylist())  # no space stands before a text's first piece
+        for k, i in enumerate(odd.tolist()):
+            heads[i] = rest[k]
+        coded = values.dictionary_encode()
+        known, size = self.pieces(coded.dictionary)
+        codes = coded.indices.to_numpy()
+        n_known = len(size)
+        flat = np.concatenate([*known, *heads, np.array([self.end], np.uint32)])
+        size = np.concatenate([size, np.fromiter(map(len, heads), np.int64, n), [1]])
+        start = np.cumsum(size) - size
+        for a in range(0, n, docs):
+            # table entries in reading order: a text's head, its other pieces, the end id
+            b = min(n, a + docs)
+            at = offsets[a : b + 1] - offsets[a]
+            k = np.arange(b - a)
+            code = np.empty(at[-1] + b - a, np.int64)
+            code[np.arange(at[-1]) + np.repeat(k, np.diff(at))] = codes[offsets[a] : offsets[b]]
+            code[at[:-1] + k] = n_known + a + k
+            code[at[1:] + k] = len(size) - 1
+            lengths = size[code]
+            ends = np.cumsum(lengths)
+            yield flat[np.repeat(start[code] - (ends - lengths), lengths) + np.arange(ends[-1])], np.add.reduceat(lengths, at[:-1] + k)
 
 
 def encode_segments(docs: DataFrame, tokenizer_path: str, end_id: int = 0, segment_tokens: int = 2_000_000, cfg: RansConfig = RansConfig(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -127,26 +133,27 @@ def encode_segments(docs: DataFrame, tokenizer_path: str, end_id: int = 0, segme
         encoder = per_worker("encoder", tokenizer_path, lambda: Encoder(shared.value, end_id))
         shard, seg = TaskContext.get().partitionId(), 0
         ids: list[int | None] = []
-        parts: list[bytes] = []
+        parts: list[np.ndarray] = []
+        sizes: list[np.ndarray] = []
         held = 0
 
         def flush() -> pa.RecordBatch:
-            lengths = np.array([len(p) // 4 for p in parts], np.int64)
-            blob = encode_segment(ids, lengths, np.frombuffer(b"".join(parts), "<u4"), cfg)
+            lengths = np.concatenate(sizes)
+            blob = encode_segment(ids, lengths, np.concatenate(parts), cfg)
             cols = ([shard], [seg], [len(ids)], [int(lengths.sum())], [blob])
             types = (pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.binary())
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=["shard", "seg", "n_docs", "n_tokens", "bytes"])
 
         for batch in batches:
-            for at in range(0, batch.num_rows, 128):
-                part = batch.slice(at, 128)
-                for i, b in zip(part.column(0).to_pylist(), encoder.encode(part.column(1).to_pylist()), strict=True):
-                    ids.append(i)
-                    parts.append(b)
-                    held += len(b) // 4
-                    if held >= segment_tokens:
-                        yield flush()
-                        ids, parts, held, seg = [], [], 0, seg + 1
+            names = iter(batch.column(0).to_pylist())
+            for tokens, lengths in encoder.encode(batch.column(1)):
+                ids += islice(names, len(lengths))
+                parts.append(tokens)
+                sizes.append(lengths)
+                held += len(tokens)
+                if held >= segment_tokens:
+                    yield flush()
+                    ids, parts, sizes, held, seg = [], [], [], 0, seg + 1
         if ids:
             yield flush()
 

@@ -108,7 +108,8 @@ def slots(facts: DataFrame, cfg: MixConfig = MixConfig(), run: int = 4096) -> Da
     far = 1 << 24  # two levels of runs, so that no array grows with a source
     runs = facts.filter("k > 0").withColumn("far", F.explode(F.sequence(F.lit(0).cast("long"), F.col("k") - 1, F.lit(far).cast("long"))))
     runs = runs.withColumn("from", F.explode(F.sequence("far", F.least(F.col("far") + far, F.col("k")) - 1, F.lit(run).cast("long"))))
-    runs = runs.repartition("s", "from")
+    # a number of partitions given by hand, which adaptive execution leaves alone: the rows are few before they are exploded
+    runs = runs.repartition(int(facts.sparkSession.conf.get("spark.sql.shuffle.partitions")), "s", "from")
     k = runs.withColumn("i", F.explode(F.sequence(F.col("from"), F.least(F.col("from") + run, F.col("k")) - 1)))
     k = k.withColumn("pass", F.floor(F.col("i") / F.col("n")).cast("long"))
     deck = shuffled(F.col("first") + F.col("i"), F.col("deck"), [F.lit(-1)], cfg)
@@ -136,8 +137,9 @@ def mix_words(docs: DataFrame, cfg: MixConfig = MixConfig(), **cols) -> DataFram
     d, facts = plan(packed(docs, cfg, **cols), cfg)
     d = stored(d.withColumn("row", F.monotonically_increasing_id()), "mix-docs")
     times = slots(facts, cfg).groupBy("s", "block").agg(F.count("*").alias("times"))
-    taken = pieces(d, cfg).join(times, ["s", "block"]).groupBy("row").agg(F.sum((F.col("hi") - F.col("lo")) * F.col("times")).alias("taken"))
-    return d.join(taken, "row", "left").join(facts.select("s", "source_size", "target"), "s").select("doc_id", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"))
+    # slots are exploded from few rows, so their size is underestimated: the joins must not be broadcast on that ground
+    taken = pieces(d, cfg).join(times.hint("merge"), ["s", "block"]).groupBy("row").agg(F.sum((F.col("hi") - F.col("lo")) * F.col("times")).alias("taken"))
+    return d.join(taken.hint("merge"), "row", "left").join(facts.select("s", "source_size", "target"), "s").select("doc_id", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"))
 
 
 def mixed_documents(docs: DataFrame, cfg: MixConfig = MixConfig(), id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
@@ -150,10 +152,10 @@ def mixed_documents(docs: DataFrame, cfg: MixConfig = MixConfig(), id_col: str =
     twin = Window.partitionBy("__h", id_col).orderBy(F.lit(0))
     d, facts = plan(packed(docs, cfg, id_col, text_col, source_col), cfg)
     d = d.withColumn("twin", F.row_number().over(Window.partitionBy("h", "doc_id").orderBy("begin")))
-    got = pieces(d, cfg).join(slots(facts, cfg), ["s", "block"]).groupBy("h", "doc_id", "twin", "size", "pass").agg(F.sort_array(F.collect_list(F.struct("lo", "hi"))).alias("parts"), F.sum(F.col("hi") - F.col("lo")).alias("words"))
+    got = pieces(d, cfg).join(slots(facts, cfg).hint("merge"), ["s", "block"]).groupBy("h", "doc_id", "twin", "size", "pass").agg(F.sort_array(F.collect_list(F.struct("lo", "hi"))).alias("parts"), F.sum(F.col("hi") - F.col("lo")).alias("words"))
     got = got.select(F.col("h").alias("__h"), F.col("doc_id").alias("__id"), F.col("twin").alias("__twin"), F.when(F.col("words") < F.col("size"), F.col("parts")).alias("__parts"))
     full = docs.withColumn("__h", h).withColumn("__twin", F.row_number().over(twin))
-    full = full.join(got, (full["__h"] == got["__h"]) & full[id_col].eqNullSafe(got["__id"]) & (full["__twin"] == got["__twin"]))
+    full = full.join(got.hint("merge"), (full["__h"] == got["__h"]) & full[id_col].eqNullSafe(got["__id"]) & (full["__twin"] == got["__twin"]))
     words = F.regexp_extract_all(F.col(text_col), F.lit(rf"({WORD}[\x20\x09-\x0D]*)"), 1)
     cut = F.array_join(F.flatten(F.transform("__parts", lambda p: F.slice(words, (p["lo"] + 1).cast("int"), (p["hi"] - p["lo"]).cast("int")))), "")
     text = F.when(F.col("__parts").isNull(), F.col(text_col)).otherwise(cut)

@@ -8,7 +8,7 @@ The automaton is built on the driver and shipped, so its input is bounded: a ben
 scanned in blocks of items, one automaton and one pass for each block, and the blocks' hits are merged. No item
 is dropped.
 
-Edge cases: null texts have no words; items without words have no windows; equal items all count; an item of
+Edge cases: null texts have no words; items without words have no windows; rows of one item id are one item; an item of
 fewer words than a window is one window; an empty benchmark hits nothing; an empty document table gives no rows.
 """
 
@@ -112,7 +112,7 @@ def _scanner(key: str, shared, size: int) -> Scanner:
 
 
 def digest(ids) -> str:
-    return hashlib.sha256(",".join(sorted(map(str, ids))).encode()).hexdigest()
+    return hashlib.sha256(",".join(sorted(set(map(str, ids)))).encode()).hexdigest()
 
 
 def contamination(docs: DataFrame, bench: DataFrame, size: int = 10, max_chars: int = 32_000_000, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -131,7 +131,7 @@ def contamination(docs: DataFrame, bench: DataFrame, size: int = 10, max_chars:
                 for i, t in zip(ids, texts, strict=True):
                     n, hit, seen = s.scan(t)
                     k = 0 if hit is None else int(hit.sum())
-                    found = [s.ids[j] for j in seen]
+                    found = {s.ids[j] for j in seen}
                     out.append((i, n, k, len(found), digest(found), k > 0))
                 return out
 
@@ -152,7 +152,7 @@ def contamination(docs: DataFrame, bench: DataFrame, size: int = 10, max_chars:
                 for i, t, h, x in zip(ids, texts, hits, items, strict=True):
                     _, hit, seen = s.scan(t)
                     new = sorted(set(h) | set(np.flatnonzero(hit).tolist())) if hit is not None else h
-                    out.append((i, t, new, x + [str(s.ids[j]) for j in seen]))
+                    out.append((i, t, new, sorted({*x, *(str(s.ids[j]) for j in seen)})))
                 return out
 
             return rows

@@ -158,5 +158,7 @@ def mixed_documents(docs: DataFrame, cfg: MixConfig = MixConfig(), id_col: str =
     full = full.join(got.hint("merge"), (full["__h"] == got["__h"]) & full[id_col].eqNullSafe(got["__id"]) & (full["__twin"] == got["__twin"]))
     words = F.regexp_extract_all(F.col(text_col), F.lit(rf"({WORD}[\x20\x09-\x0D]*)"), 1)
     cut = F.array_join(F.flatten(F.transform("__parts", lambda p: F.slice(words, (p["lo"] + 1).cast("int"), (p["hi"] - p["lo"]).cast("int")))), "")
-    text = F.when(F.col("__parts").isNull(), F.col(text_col)).otherwise(cut)
-    return full.select(*(text.alias(c) if c == text_col else F.char_length(text).cast("long").alias(c) if c == "n_chars" else F.col(c) for c in docs.columns))
+    full = full.withColumn("__text", F.when(F.col("__parts").isNull(), F.col(text_col)).otherwise(cut))
+    # one evaluation of the cut: two copies of the lambda in one projection would share its variable
+    put = {text_col: F.col("__text"), "n_chars": F.char_length("__text").cast("long")}
+    return full.select(*(put[c].alias(c) if c in put else F.col(c) for c in docs.columns))

@@ -92,5 +92,46 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     }
 
 
+UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+
+JOIN_SQL = rf"""WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+  s AS (SELECT doc_id, CASE WHEN len(ws) = 0 THEN [] ELSE list_distinct(list_transform(generate_series(1, greatest(1, len(ws) - 4)),
+    lambda i: array_to_string(list_slice(ws, i, i + 4), ' '))) END AS sh FROM w),
+  t AS MATERIALIZED (SELECT doc_id, len(sh) AS n, unnest(sh) AS x FROM s),
+  m AS (SELECT a.doc_id AS a, b.doc_id AS b, any_value(a.n) AS na, any_value(b.n) AS nb, count(*) AS k FROM t a JOIN t b ON a.x = b.x AND a.doc_id <> b.doc_id GROUP BY 1, 2),
+  links AS MATERIALIZED (SELECT a, b FROM m WHERE 100 * k >= 80 * (na + nb - k)),
+  reach(a, b) AS (SELECT a, b FROM links UNION SELECT r.a, l.b FROM reach r JOIN links l ON r.b = l.a)
+  SELECT s.doc_id, CAST(len(sh) AS BIGINT) AS n_shingles, least(s.doc_id, min(r.b)) AS component_id FROM s LEFT JOIN reach r ON r.a = s.doc_id GROUP BY s.doc_id, len(sh)"""
+
+_CLEAN = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+LEAKS_SQL = f"""WITH dw AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '{_CLEAN}') AS ws FROM documents),
+  iw AS (SELECT item_id, regexp_extract_all(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '{_CLEAN}') AS ws FROM benchmark),
+  win AS (SELECT DISTINCT item_id, least(10, len(ws)) AS n, array_to_string(list_slice(ws, i, i + 9), ' ') AS x
+    FROM (SELECT item_id, ws, unnest(generate_series(1, greatest(1, len(ws) - 9))) AS i FROM iw WHERE len(ws) > 0)),
+  g AS (SELECT doc_id, n, i, array_to_string(list_slice(ws, i, i + n - 1), ' ') AS x FROM
+    (SELECT doc_id, ws, n, unnest(generate_series(1, len(ws) - n + 1)) AS i FROM dw, (SELECT DISTINCT n FROM win) WHERE len(ws) >= n)),
+  h AS MATERIALIZED (SELECT g.doc_id, g.i, g.n, win.item_id FROM g JOIN win USING (n, x)),
+  hit AS (SELECT doc_id, count(DISTINCT p) AS k FROM (SELECT doc_id, unnest(generate_series(i, i + n - 1)) AS p FROM h) GROUP BY 1),
+  it AS (SELECT doc_id, count(*) AS k, string_agg(x, ',' ORDER BY x) AS ids FROM (SELECT DISTINCT doc_id, CAST(item_id AS VARCHAR) AS x FROM h) GROUP BY 1)
+  SELECT dw.doc_id, CAST(len(ws) AS BIGINT) AS n_words, coalesce(hit.k, 0) AS n_hit, coalesce(it.k, 0) AS n_items, sha256(coalesce(it.ids, '')) AS items_sha256,
+    coalesce(hit.k, 0) > 0 AS contaminated FROM dw LEFT JOIN hit USING (doc_id) LEFT JOIN it USING (doc_id)"""
+
+
+def rules_sql(what: str) -> str:
+    order = sorted(URL_RULES, key=lambda r: (-len(r.name), -len(r.host), r.name))
+    return "CASE " + " ".join(f"WHEN (host = '{r.host}' OR host LIKE '%.{r.host}') AND path LIKE '{r.path}%' THEN '{getattr(r, what)}'" for r in order) + " END"
+
+
+#: The given pages link to no other host, so each host's trust and distrust are its seeds; propagation itself is
+#: tested against plain iteration.
+URLS_SQL = rf"""WITH p AS (SELECT page_id, translate(regexp_extract(coalesce(url, ''), '(?s)^.*?://([^/?#]*)', 1), '{UPPER}', '{LOWER}') AS host,
+    regexp_extract(coalesce(url, ''), '(?s)^.*?://[^/?#]*([^?#]*)', 1) AS path FROM pages),
+  q AS (SELECT *, {rules_sql("name")} AS rule, {rules_sql("verdict")} AS said FROM p),
+  h AS (SELECT host, avg(CASE WHEN said = 'allow' THEN 1.0 ELSE 0.0 END) AS trust, avg(CASE WHEN said = 'block' THEN 1.0 ELSE 0.0 END) AS distrust FROM q WHERE host <> '' GROUP BY 1)
+  SELECT page_id, host, path, rule, CASE WHEN said IS NOT NULL THEN said WHEN distrust >= 0.5 AND distrust > trust THEN 'block' ELSE 'allow' END AS verdict,
+    trust, distrust FROM q LEFT JOIN h USING (host)"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """Other operators rest on hashing, compression, models or tokenizers: tests hold them against brute force."""
+    return {"op2_ngram_join": JOIN_SQL, "op9_decontaminate": LEAKS_SQL, "op10_url_rules": URLS_SQL}

@@ -7,8 +7,8 @@ long text is not averaged away. Embeddings and softmax weights are trained toget
 on the window that scores highest in each text (positives learn from their worst window, negatives from theirs).
 Unseen misspellings share most n-grams with known words and so get similar vectors.
 
-Fitting uses a bounded sample: of each class, the ``per_class`` labelled texts with the smallest id hash among
-texts of at most ``max_chars`` characters outside the held-out fold. Scoring reads whole texts.
+Fitting uses a bounded sample: the ``positives`` toxic and ``negatives`` other labelled texts with the smallest
+id hash among texts of at most ``max_chars`` characters outside the held-out fold. Scoring reads whole texts.
 
 Edge cases: null, empty and wordless texts get the score of an empty window, the bias alone; rows are independent;
 a label that is null is ignored; with no usable labels every score is 0.
@@ -17,6 +17,7 @@ a label that is null is ignored; with no usable labels every score is 0.
 from __future__ import annotations
 
 import zlib
+from array import array
 from dataclasses import dataclass
 
 import numpy as np
@@ -28,17 +29,19 @@ from .texts import held_out, map_texts, new_key, per_worker, words_of
 
 @dataclass(frozen=True)
 class ToxicConfig:
-    per_class: int = 2000
+    #: Bounds of the training sample: toxic texts and others.
+    positives: int = 2000
+    negatives: int = 6000
     max_chars: int = 8000
     log2_rows: int = 17
     dim: int = 8
     grams: tuple[int, ...] = (3, 4, 5)
     window: int = 24
     text_epochs: int = 6
-    window_epochs: int = 22
+    window_epochs: int = 14
     rate: float = 0.5
     #: Windows of each negative text that the second phase learns from.
-    hard: int = 4
+    hard: int = 2
     batch: int = 64
     threshold: float = 0.3
     seed: int = 7
@@ -61,7 +64,7 @@ def window_means(values: np.ndarray, words: np.ndarray, size: int) -> np.ndarray
     if not n:
         return np.zeros(0)
     window = np.arange(n) // size
-    _, first = np.unique(window * (int(words.max()) + 1) + words, return_index=True)
+    _, first = np.unique(window * (int(words.max()) + 1) + words.astype(np.int64), return_index=True)
     return np.bincount(window[first], weights=values[first]) / np.bincount(window)
 
 
@@ -70,10 +73,13 @@ class Trainer:
         self.cfg = cfg
         self.y = np.array(labels, np.int64)
         ids: dict[str, int] = {}
-        self.docs = [np.fromiter((ids.setdefault(w, len(ids)) for w in words_of(t)), np.int64) for t in texts]
-        bags = [subwords(w, cfg) for w in ids]
-        self.flat = np.fromiter((s for b in bags for s in b), np.int64)
-        self.size = np.array([len(b) for b in bags], np.int64)
+        self.docs = [np.fromiter((ids.setdefault(w, len(ids)) for w in words_of(t)), np.int32) for t in texts]
+        flat, size = array("i"), array("i")
+        for w in ids:
+            bag = subwords(w, cfg)
+            flat.extend(bag)
+            size.append(len(bag))
+        self.flat, self.size = np.array(flat, np.int32), np.array(size, np.int64)
         self.at = np.concatenate([[0], np.cumsum(self.size)])
         rng = np.random.default_rng(cfg.seed)
         self.rng = rng
@@ -149,11 +155,11 @@ class Trainer:
 
 
 def sample(docs: DataFrame, labels: DataFrame, cfg: ToxicConfig) -> tuple[list[str], list[int]]:
-    """At most ``per_class`` texts of each class, never from the held-out fold."""
+    """At most ``positives`` toxic and ``negatives`` other texts, never from the held-out fold."""
     lab = labels.select("doc_id", "toxic").filter(F.col("toxic").isin(0, 1) & ~held_out(F.col("doc_id"))).distinct()
     short = docs.select("doc_id").filter(F.length("text").between(1, cfg.max_chars))
     ranked = lab.join(short, "doc_id", "left_semi").select("doc_id", "toxic", F.xxhash64("doc_id").alias("h"))
-    picked = [r for c in (0, 1) for r in ranked.filter(F.col("toxic") == c).orderBy("h", "doc_id").limit(cfg.per_class).collect()]
+    picked = [r for c, n in ((0, cfg.negatives), (1, cfg.positives)) for r in ranked.filter(F.col("toxic") == c).orderBy("h", "doc_id").limit(n).collect()]
     if not picked:
         return [], []
     ids = docs.sparkSession.createDataFrame([(r.doc_id, r.toxic) for r in picked], "doc_id long, toxic int")

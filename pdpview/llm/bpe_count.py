@@ -22,6 +22,16 @@ from .texts import map_texts, per_worker
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
+#: Marks that always are a pretoken of their own at the end of a piece, after a letter.
+ENDS = ".,"
+
+
+def word_before_end(piece: str) -> bool:
+    """True if the character before the last is a letter up to Latin-1, so the last begins a new pretoken."""
+    c = piece[-2:-1]
+    return c.isalpha() and c <= "\xff" and len(piece) <= 64
+
+
 def byte_alphabet() -> dict[int, str]:
     """The printable stand-in of each byte in byte-level vocabularies: printable Latin-1 stays, the rest moves past 255."""
     keep = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <= b <= 255]
@@ -78,8 +88,7 @@ class Counter:
         import regex
 
         self.ranks, self.memo_size = ranks, memo_size
-        self.memo: dict[str, int] = {}
-        self.spaced: dict[str, int] = {}  # counts of " " + key
+        self.joined, self.spaced = Counts(self.piece, ""), Counts(self.piece, " ")
         self.pretokens = regex.compile(PRETOKEN).findall
         # a space before a non-space always begins a pretoken, so texts can be cut there
         self.cut = re.compile(r"(?= \S)").split
@@ -96,25 +105,27 @@ class Counter:
             return len(found) + sum(self.count_plain(p) for p in self.special.split(text))
         return self.count_plain(text)
 
-    def known(self, memo: dict[str, int], key: str, piece: str) -> int:
-        n = memo.get(key)
-        if n is None:
-            n = self.piece(piece)
-            if len(key) <= 64:  # long oddities are not worth keeping
-                if len(memo) >= self.memo_size:
-                    memo.clear()
-                memo[key] = n
-        return n
-
     def count_plain(self, text: str) -> int:
+        for memo in (self.joined, self.spaced):
+            if len(memo) > self.memo_size:
+                memo.clear()
         if self.uneven(text):
-            return sum(self.known(self.memo, p, p) for p in self.cut(text))
+            return sum(map(self.joined.__getitem__, self.cut(text)))
         head, *tail = text.split(" ")
-        total = self.known(self.memo, head, head)
-        try:
-            return total + sum(map(self.spaced.__getitem__, tail))
-        except KeyError:
-            return total + sum([self.known(self.spaced, p, " " + p) for p in tail])
+        return self.joined[head] + sum(map(self.spaced.__getitem__, tail))
+
+
+class Counts(dict):
+    """Counts of pieces after ``before``, found when first asked for."""
+
+    def __init__(self, count, before: str):
+        self.count, self.before = count, before
+
+    def __missing__(self, p: str) -> int:
+        n = self[p[:-1]] + 1 if p[-1:] in ENDS and word_before_end(p) else self.count(self.before + p)
+        if len(p) <= 64:  # long oddities are not worth keeping
+            self[p] = n
+        return n
 
 
 def token_counts(docs: DataFrame, tokenizer_path: str, limit: int = 1024, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -14,7 +14,7 @@ from .params import Params
 from .plans import oracles as sql
 from .plans import workloads as wl
 from .plans.views import ViewSpec
-from .sources.tables import load
+from .sources.tables import load, stored
 
 
 @dataclass(frozen=True)
@@ -31,7 +31,12 @@ def add(name: str, run: Callable[[SparkSession, str], DataFrame], sql: str | Non
 
 
 def sums(spec: ViewSpec, spark: SparkSession, sf_dir: str) -> DataFrame:
-    return derive.summaries(spec, *wl.sides(spec, spark, sf_dir))
+    """The step summaries, computed once and kept as a file of one row a step: traces read them several times."""
+    return kept(derive.summaries(spec, *wl.sides(spec, spark, sf_dir)))
+
+
+def kept(steps_frame: DataFrame) -> DataFrame:
+    return stored(steps_frame.coalesce(1), "summaries")
 
 
 Run = tuple[str, str, Params]
@@ -248,7 +253,7 @@ add("udtf_release_trace", _udtf, sql.trace_sql(wl.W1W, both(_P1), "SELECT run, s
 
 def placed(spec: ViewSpec, run: Run, s: SparkSession, d: str) -> DataFrame:
     left, right = wl.sides(spec, s, d)
-    t = release.trace(derive.summaries(spec, left, right), [run])
+    t = kept(release.trace(kept(derive.summaries(spec, left, right)), [run]))
     return release.place_rows(derive.numbered(derive.derive(spec, left, right)), t, run[2].purge_every)
 
 
@@ -385,6 +390,56 @@ def comparison(spec: ViewSpec, p: Params):
 for _name, _spec in (("comparison_w1w", wl.W1W), ("comparison_w2", wl.W2)):
     add(_name, *comparison(_spec, _spec.params))
 
+
+
+
+def _gain(s: SparkSession, d: str) -> DataFrame:
+    table = comparison(wl.W1W, _P1)[0](s, d)
+    return metrics.improvement(table, "ep", "mean_view_rows").withColumnRenamed("gain", "size_gain_over_ep").join(
+        metrics.improvement(table, "otm", "mean_l1").withColumnRenamed("gain", "accuracy_gain_over_otm"), "strategy"
+    )
+
+
+add(
+    "improvement_w1w",
+    _gain,
+    f"""WITH c AS ({QUERIES["comparison_w1w"].sql}) SELECT strategy,
+      round((SELECT mean_view_rows FROM c WHERE strategy = 'ep') / nullif(mean_view_rows, 0), 4) AS size_gain_over_ep,
+      round((SELECT mean_l1 FROM c WHERE strategy = 'otm') / nullif(mean_l1, 0), 4) AS accuracy_gain_over_otm FROM c""",
+)
+_BUDGET = replace(wl.W1W, params=_P1.but(pad_rule="budget"))
+add_over_sums("padding_by_budget", _BUDGET, lambda d: d.select("step", "n_padded"), "SELECT step, n_padded FROM sums")
+
+
+def _timings(s: SparkSession, d: str) -> DataFrame:
+    from .experiments import run
+
+    return run(s, d, wl.W1W)
+
+
+add("timings_w1w", _timings)
+
+
+def _udf(s: SparkSession, d: str) -> DataFrame:
+    from .functions.vectorized import laplace_udf
+
+    g = s.range(1, 2001).select(F.col("id").cast("int").alias("step"))
+    z = noise.joint_word("7", "rel", F.col("step"))
+    return g.select("step", z.alias("word"), F.round(laplace_udf(z, 10 / 1.5), 6).alias("noise"))
+
+
+add("udf_noise", _udf, QUERIES["joint_noise"].sql)
+
+
+def _udaf(s: SparkSession, d: str) -> DataFrame:
+    from .functions.vectorized import max_contribution_udaf
+
+    pairs = derive.true_pairs(wl.W2M72, *wl.sides(wl.W2M72, s, d))
+    return max_contribution_udaf(pairs, "born_step", "l_rid")
+
+
+add("udaf_max_contrib", _udaf, f"WITH {sql.pairs_ctes(wl.W2M72)} SELECT born_step, max(k) AS most FROM (SELECT born_step, l_rid, count(*) AS k FROM truth GROUP BY 1, 2) GROUP BY 1")
+
 # --- leakage and privacy -------------------------------------------------------------------------------------------
 
 _CAP = 900
@@ -497,7 +552,7 @@ for _name, (_f, _wrap) in WRAPS.items():
     for _tag, _spec in (("", wl.W1W), ("_w2", wl.W2)):
         add(
             _name + _tag,
-            lambda s, d, f=_f, spec=_spec: sweep(release.trace(derive.summaries(spec, *f(*wl.sides(spec, s, d))), seeds(spec.params, "default"))),
+            lambda s, d, f=_f, spec=_spec: sweep(release.trace(kept(derive.summaries(spec, *f(*wl.sides(spec, s, d)))), seeds(spec.params, "default"))),
             sql.trace_sql(_spec, seeds(_spec.params, "default"), SWEEP_SQL, _wrap),
         )
 

@@ -60,3 +60,65 @@ def gains(runs: DataFrame) -> DataFrame:
         g = metrics.improvement(runs, base, "qet_s").select("strategy", F.col("gain").alias(f"gain_over_{base}"))
         out = g if out is None else out.join(g, "strategy")
     return out
+
+
+def mean_over_seeds(sums: DataFrame, settings: list[tuple[str, str, object]], seeds: int = 20) -> DataFrame:
+    """setting, strategy, l1, rel, rows, releases: means over seeds of a run's mean over steps."""
+    runs = [(f"{name}|{strategy}|{k}", strategy, p.but(seed=str(500 + k))) for name, strategy, p in settings for k in range(seeds)]
+    t = release.trace(sums, runs)
+    one = t.groupBy("run").agg(
+        F.avg("l1").alias("l1"),
+        F.avg(F.when(F.col("truth") > 0, F.col("l1") / F.col("truth"))).alias("rel"),
+        F.avg("view_rows").alias("rows"),
+        F.sum(F.col("fires").cast("long")).alias("releases"),
+    )
+    parts = F.split("run", r"\|")
+    return one.groupBy(parts[0].alias("setting"), parts[1].alias("strategy")).agg(*(F.round(F.avg(c), 3).alias(c) for c in ("l1", "rel", "rows", "releases")))
+
+
+def report(spark: SparkSession, sf_dir: str, seeds: int = 20) -> str:
+    """The experiments' tables as Markdown: comparison, privacy, density, interval and threshold, omega, scale."""
+    from .catalog import comparison
+
+    out: list[str] = []
+
+    def table(title: str, df: DataFrame, order: list[str]) -> None:
+        rows = df.orderBy(*order).collect()
+        out.append(f"\n### {title}\n\n| {' | '.join(df.columns)} |\n|{' --- |' * len(df.columns)}")
+        out.extend("| " + " | ".join("" if v is None else f"{v:.6g}" if isinstance(v, float) else str(v) for v in r) + " |" for r in rows)
+
+    two = lambda name, p: [(name, s, p) for s in ("interval", "threshold")]
+    table("w2: strategies, paper's budget of two uses", comparison(wl.W2, wl.W2.params)[0](spark, sf_dir), ["strategy"])
+    for spec in (wl.W1W, wl.W2B30):
+        p = spec.params
+        left, right = (stored(x, "side") for x in wl.sides(spec, spark, sf_dir))
+        sums = stored(derive.summaries(spec, left, right).coalesce(1), "summaries")
+        table(f"{spec.name}: strategies, default parameters", comparison(spec, p)[0](spark, sf_dir), ["strategy"])
+        table(f"{spec.name}: seconds on stored views", run(spark, sf_dir, spec), ["strategy"])
+        table(f"{spec.name}: privacy", mean_over_seeds(sums, [x for e in wl.EPS_SWEEP for x in two(f"eps {e:05.2f}", p.but(eps=e))], seeds), ["strategy", "setting"])
+        rate = sums.agg(F.avg("n_real")).first()[0]
+        steps = [(t, max(1.0, round(rate * t))) for t in wl.T_SWEEP]
+        for e in (0.1, 1.0, 10.0):
+            table(f"{spec.name}: interval and threshold at eps {e}", mean_over_seeds(sums, [x for t, th in steps for x in two(f"T {t:>3} theta {th:g}", p.but(eps=e, interval=t, theta=th))], seeds), ["strategy", "setting"])
+        dens = []
+        for name, f in (("sparse", lambda a, b: (a, wl.sparse(b))), ("burst", lambda a, b: (wl.burst(a), wl.burst(b))), ("4 x", lambda a, b: (wl.burst(a, 4), wl.burst(b, 4)))):
+            s = stored(derive.summaries(spec, *f(left, right)).coalesce(1), "summaries")
+            dens.append(mean_over_seeds(s, two(name, p), seeds))
+        table(f"{spec.name}: density and scale", dens[0].unionByName(dens[1]).unionByName(dens[2]), ["setting", "strategy"])
+    rows = None
+    for w in wl.OMEGA_SWEEP:
+        spec = wl.w2m(72, 36, w)
+        sums = stored(derive.summaries(spec, *wl.sides(spec, spark, sf_dir)).coalesce(1), "summaries")
+        x = mean_over_seeds(sums, two(f"omega {w:>2}", spec.params), seeds)
+        x = x.crossJoin(F.broadcast(sums.agg(F.sum("n_true").alias("true_pairs"), F.sum("n_real").alias("kept_pairs"), F.sum("n_padded").alias("padded_slots"))))
+        rows = x if rows is None else rows.unionByName(x)
+    table("w2m_72: truncation bound, budget twice the bound", rows, ["strategy", "setting"])
+    return "\n".join(out)
+
+
+if __name__ == "__main__":
+    import sys
+
+    session = SparkSession.builder.master("local[8]").config("spark.sql.shuffle.partitions", "8").config("spark.driver.memory", "8g").config("spark.ui.enabled", "false").config("spark.sql.session.timeZone", "UTC").getOrCreate()
+    session.sparkContext.setLogLevel("ERROR")
+    print(report(session, sys.argv[1]))

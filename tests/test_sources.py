@@ -18,8 +18,9 @@ from pdpview.streaming.maintain import Maintainer
 def test_formats(spark, small, tmp_path, form):
     e = load(spark, small, "events").select([f.name for f in EVENTS_SCHEMA.fields])
     path = str(tmp_path / form)
-    e.write.format(form).option("escape", '"').save(path)
-    back = spark.read.schema(EVENTS_SCHEMA).format(form).option("escape", '"').load(path)
+    exact = {"escape": '"', "timestampNTZFormat": "yyyy-MM-dd'T'HH:mm:ss.SSSSSS"}
+    e.write.format(form).options(**exact).save(path)
+    back = spark.read.schema(EVENTS_SCHEMA).format(form).options(**exact).load(path)
     assert back.exceptAll(e).count() == 0 and back.count() == e.count()
 
 

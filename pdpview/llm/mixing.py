@@ -156,8 +156,10 @@ def mixed_documents(docs: DataFrame, cfg: MixConfig = MixConfig(), id_col: str =
     got = got.select(F.col("h").alias("__h"), F.col("doc_id").alias("__id"), F.col("twin").alias("__twin"), F.when(F.col("words") < F.col("size"), F.col("parts")).alias("__parts"))
     full = docs.withColumn("__h", h).withColumn("__twin", F.row_number().over(twin))
     full = full.join(got.hint("merge"), (full["__h"] == got["__h"]) & full[id_col].eqNullSafe(got["__id"]) & (full["__twin"] == got["__twin"]))
+    # explode of one array is a barrier: inside the lambda below the words would be taken from the text for every part
     words = F.regexp_extract_all(F.col(text_col), F.lit(rf"({WORD}[\x20\x09-\x0D]*)"), 1)
-    cut = F.array_join(F.flatten(F.transform("__parts", lambda p: F.slice(words, (p["lo"] + 1).cast("int"), (p["hi"] - p["lo"]).cast("int")))), "")
+    full = full.withColumn("__words", F.explode(F.array(F.when(F.col("__parts").isNotNull(), words))))
+    cut = F.array_join(F.flatten(F.transform("__parts", lambda p: F.slice("__words", (p["lo"] + 1).cast("int"), (p["hi"] - p["lo"]).cast("int")))), "")
     full = full.withColumn("__text", F.when(F.col("__parts").isNull(), F.col(text_col)).otherwise(cut))
     # one evaluation of the cut: two copies of the lambda in one projection would share its variable
     put = {text_col: F.col("__text"), "n_chars": F.char_length("__text").cast("long")}

@@ -164,8 +164,8 @@ def judge(texts: list[str | None], refs: dict, rules: QualityRules) -> list[tupl
     for k, (base, c, _) in enumerate(made):
         n, repeat = base[0], base[4]
         failed = n < rules.min_words or 100 * repeat > rules.max_repeat_percent * n
-        cj = float(far[0, k]) if c.sum() >= rules.min_chars else None
-        wj = float(far[1, k]) if n >= rules.min_hist_words else None
+        cj = round(float(far[0, k]), 6) if c.sum() >= rules.min_chars else None
+        wj = round(float(far[1, k]), 6) if n >= rules.min_hist_words else None
         odd = (cj is not None and cj > rules.max_class_distance) or (wj is not None and wj > rules.max_word_distance)
         out.append((*base, failed, cj, wj, not failed and not odd))
     return out

@@ -117,6 +117,44 @@ LEAKS_SQL = f"""WITH dw AS (SELECT doc_id, regexp_extract_all(translate(coalesce
     coalesce(hit.k, 0) > 0 AS contaminated FROM dw LEFT JOIN hit USING (doc_id) LEFT JOIN it USING (doc_id)"""
 
 
+CLASS_PATTERNS = [r"\x20\x09-\x0D", "a-z", "A-Z", "0-9", r"!\x22\x27()+,\-./:;=?@\[\x5C\]\^_`{}~", "#*$%&|<>", r"\x00-\x08\x0E-\x1F\x7F"]
+
+
+def quality_sql() -> str:
+    """Histograms, references and distances as rows of (document, language, cell)."""
+    r = quality.QualityRules()
+    counts = ", ".join([*(f"length(regexp_replace(t, '[^{p}]', '', 'g'))" for p in CLASS_PATTERNS), r"length(regexp_replace(t, '[\x00-\x7F]', '', 'g'))"])
+    common = ", ".join(f"('{lang}', '{w}')" for lang in quality.LANGS for w in sorted(set(quality.COMMON[lang])))
+    js = lambda cells, refs: f"""(SELECT row, min(js) AS js FROM (SELECT row, lang, sqrt(least(1, greatest(0, (sum(CASE WHEN p > 0 THEN p * log2(p / ((p + q) / 2)) ELSE 0 END)
+        + sum(CASE WHEN q > 0 THEN q * log2(q / ((p + q) / 2)) ELSE 0 END)) / 2))) AS js
+      FROM (SELECT c.row, f.lang, c.n / greatest(sum(c.n) OVER (PARTITION BY c.row, f.lang), 1) AS p, f.n / greatest(sum(f.n) OVER (PARTITION BY c.row, f.lang), 1) AS q
+        FROM {cells} c JOIN {refs} f ON f.cell = c.cell AND (c.lang IS NULL OR c.lang = f.lang)) GROUP BY 1, 2) GROUP BY 1)"""
+    return rf"""WITH d AS MATERIALIZED (SELECT row_number() OVER () AS row, doc_id, lang, coalesce(text, '') AS t FROM documents),
+  w AS MATERIALIZED (SELECT row, doc_id, lang, t, regexp_extract_all(t, '[^ 	-]+') AS ws FROM d),
+  common(lang, word) AS (VALUES {common}),
+  pos AS MATERIALIZED (SELECT row, unnest(ws) AS x, generate_subscripts(ws, 1) AS i, len(ws) AS n FROM w),
+  tri AS (SELECT row, i, x || chr(10) || lead(x) OVER o || chr(10) || lead(x, 2) OVER o AS k FROM pos WINDOW o AS (PARTITION BY row ORDER BY i)),
+  often AS (SELECT row, unnest([i, i + 1, i + 2]) AS p FROM (SELECT row, i, count(*) OVER (PARTITION BY row, k) AS c FROM tri WHERE k IS NOT NULL) WHERE c > 1),
+  rep AS (SELECT row, count(DISTINCT p) AS n FROM often GROUP BY 1),
+  lines AS (SELECT row, count(*) - count(DISTINCT x) AS n FROM (SELECT row, unnest(string_split(t, chr(10))) AS x FROM d) WHERE regexp_matches(x, '[^ 	-]') GROUP BY 1),
+  cc AS MATERIALIZED (SELECT row, NULL AS lang, unnest(range(8)) AS cell, CAST(unnest([{counts}]) AS DOUBLE) AS n FROM d),
+  cref AS MATERIALIZED (SELECT d.lang, cell, sum(n) AS n FROM cc JOIN d USING (row) WHERE d.lang IN (SELECT lang FROM common) GROUP BY 1, 2),
+  lw AS MATERIALIZED (SELECT row, translate(x, '{UPPER}', '{LOWER}') AS word, count(*) AS n FROM pos GROUP BY 1, 2),
+  tot AS (SELECT row, sum(n) AS n FROM lw GROUP BY 1),
+  own AS (SELECT lw.row, c.lang, lw.word AS cell, CAST(lw.n AS DOUBLE) AS n FROM lw JOIN common c USING (word)),
+  cells AS (SELECT DISTINCT lang, word AS cell FROM common UNION ALL SELECT DISTINCT lang, '' FROM common),
+  wc AS MATERIALIZED (SELECT t.row, e.lang, e.cell, CASE WHEN e.cell = '' THEN t.n - coalesce((SELECT sum(n) FROM own o WHERE o.row = t.row AND o.lang = e.lang), 0) ELSE coalesce(o.n, 0) END AS n
+    FROM tot t CROSS JOIN cells e LEFT JOIN own o ON o.row = t.row AND o.lang = e.lang AND o.cell = e.cell),
+  wref AS MATERIALIZED (SELECT wc.lang, cell, sum(n) AS n FROM wc JOIN d USING (row) WHERE d.lang = wc.lang GROUP BY 1, 2),
+  cj AS ({js("cc", "cref")}), wj AS ({js("wc", "wref")}),
+  f AS (SELECT w.doc_id, CAST(len(ws) AS BIGINT) AS n_words, CAST(length(t) - length(regexp_replace(t, '[^ 	-]', '', 'g')) AS BIGINT) AS word_chars,
+      CAST(length(regexp_replace(t, '[^#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols, coalesce(lines.n, 0) AS n_dup_lines, coalesce(rep.n, 0) AS n_repeat_words,
+      len(ws) < {r.min_words} OR 100 * coalesce(rep.n, 0) > {r.max_repeat_percent} * len(ws) AS base_failed,
+      CASE WHEN length(t) >= {r.min_chars} THEN round(cj.js, 6) END AS class_js, CASE WHEN len(ws) >= {r.min_hist_words} THEN round(wj.js, 6) END AS word_js
+    FROM w LEFT JOIN rep USING (row) LEFT JOIN lines USING (row) LEFT JOIN cj USING (row) LEFT JOIN wj USING (row))
+  SELECT *, NOT base_failed AND NOT (coalesce(class_js > {r.max_class_distance}, FALSE) OR coalesce(word_js > {r.max_word_distance}, FALSE)) AS kept FROM f"""
+
+
 def rules_sql(what: str) -> str:
     order = sorted(URL_RULES, key=lambda r: (-len(r.name), -len(r.host), r.name))
     return "CASE " + " ".join(f"WHEN (host = '{r.host}' OR host LIKE '%.{r.host}') AND path LIKE '{r.path}%' THEN '{getattr(r, what)}'" for r in order) + " END"
@@ -134,4 +172,4 @@ URLS_SQL = rf"""WITH p AS (SELECT page_id, translate(regexp_extract(coalesce(url
 
 def oracle_sql() -> dict[str, str]:
     """Other operators rest on hashing, compression, models or tokenizers: tests hold them against brute force."""
-    return {"op2_ngram_join": JOIN_SQL, "op9_decontaminate": LEAKS_SQL, "op10_url_rules": URLS_SQL}
+    return {"op1_quality": quality_sql(), "op2_ngram_join": JOIN_SQL, "op9_decontaminate": LEAKS_SQL, "op10_url_rules": URLS_SQL}

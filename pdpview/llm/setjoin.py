@@ -3,7 +3,9 @@
 Sets: distinct 5-word shingles as 64-bit hashes. Documents with equal sets are one node. The join runs in steps:
 
 1. Shared shingles. Each task packs its sets' hashes by hash range into compact sorted blocks; one task for each
-   range finds the shingles that two or more different sets hold, with their frequencies. Only those go on.
+   range finds the shingles that two or more different sets hold, with their frequencies. Only those go on. A shingle
+   that is frequent already inside a pack sends its count there and its sets elsewhere, dealt out by pack, so that no
+   task meets all sets of a hot shingle; a join brings the frequencies back.
 2. Index. A set needs 80 % of its shingles shared to have any partner; others leave. A set's shared shingles are
    ordered from rare to frequent (its private ones come before all), and by the prefix principle two sets can only
    link if they meet in the index list of one of their first n - ceil(0.8 n) + 1 shingles.
@@ -31,12 +33,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .texts import drop_stored, map_texts, stored
+from .texts import drop_stored, stored
 
 #: A-Z to a-z in UTF-8 bytes.
 LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 MIX = np.uint64(0x9E3779B97F4A7C15)
 BITMAP_WORDS = 16
+#: In packs for hash ranges, values from here on stand for counts, not for sets; fingerprints never fall there.
+COUNT, COUNT_RANGE = -(1 << 63), 1 << 40
 
 
 @dataclass(frozen=True)
@@ -48,6 +52,10 @@ class JoinConfig:
     pack: int = 2_000_000
     #: Hash ranges for each shuffle partition.
     ranges: int = 4
+    #: Texts that are split at a time.
+    texts: int = 2048
+    #: A shingle in so many different sets of one pack is counted there; its sets do not go to its range's task.
+    heavy: int = 16
     #: Rounds of comparing index lists with one set.
     rounds: int = 2
 
@@ -59,54 +67,68 @@ def finish(h: np.ndarray) -> np.ndarray:
 
 
 class Shingler:
-    """Sorted distinct shingle hashes of whole texts; word hashes are memoised in a bounded table."""
+    """Sorted distinct shingle hashes of whole texts, a column at a time: words are split and numbered in Arrow, each
+    different word is hashed once."""
 
-    def __init__(self, size: int, memo_size: int = 400_000):
+    def __init__(self, size: int):
         import xxhash
 
-        self.size, self.hash, self.memo, self.memo_size = size, xxhash.xxh3_64_intdigest, {}, memo_size
-
-    def sets(self, texts: list[str | None]) -> list[np.ndarray]:
-        words = [t.encode("utf-8", "replace").translate(LOWER).split() if t else [] for t in texts]
-        memo, h = self.memo, self.hash
-        if len(memo) > self.memo_size:
-            memo.clear()
-        for w in words:
-            for x in set(w).difference(memo):
-                memo[x] = h(x)
-        out, k = [], self.size
-        for w in words:
-            n = len(w)
-            if not n:
+        self.size, self.hash = size, xxhash.xxh3_64_intdigest
+
+    def sets(self, texts: pa.Array) -> list[np.ndarray]:
+        import pyarrow.compute as pc
+
+        # the six ASCII separators are Arrow's ASCII white space; a text that begins or ends with one gives an empty piece
+        lists = pc.ascii_split_whitespace(pc.ascii_lower(pc.fill_null(texts, "")))
+        offsets = lists.offsets.to_numpy().astype(np.int64)
+        values = lists.values.slice(offsets[0], offsets[-1] - offsets[0])
+        offsets = offsets - offsets[0]
+        coded = values.dictionary_encode()
+        words = coded.dictionary.cast(pa.binary()).to_pylist()
+        table = np.fromiter(map(self.hash, words), np.uint64, len(words))
+        code = coded.indices.to_numpy()
+        real = pc.binary_length(values).to_numpy() > 0
+        ends = np.concatenate([[0], np.cumsum(real)])[offsets]
+        h = table[code[real]]
+        k = self.size
+        rolled = np.zeros(max(0, len(h) - k + 1), np.uint64)
+        for i in range(k):
+            rolled = rolled * MIX + h[i : len(h) - k + 1 + i] if len(rolled) else rolled
+        rolled = finish(rolled + np.uint64(k))
+        out = []
+        for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True):
+            if b - a >= k:
+                out.append(np.unique(rolled[a : b - k + 1]))
+            elif b > a:
+                s = np.zeros(1, np.uint64)
+                for x in h[a:b]:
+                    s = s * MIX + x
+                out.append(finish(s + np.uint64(b - a)))
+            else:
                 out.append(np.zeros(0, np.uint64))
-                continue
-            a = np.fromiter(map(memo.__getitem__, w), np.uint64, n)
-            m = min(n, k)
-            s = np.zeros(n - m + 1, np.uint64)
-            for i in range(m):
-                s = s * MIX + a[i : n - m + 1 + i]
-            out.append(np.unique(finish(s + np.uint64(m))))
         return out
 
 
 def fingerprint(s: np.ndarray) -> int:
     """64-bit identity of a set: an order-free sum of mixed hashes."""
     x = (int(finish(s ^ np.uint64(0xD6E8FEB86659FD93)).sum()) + len(s) * int(MIX)) & (1 << 64) - 1
-    return x - (1 << 64) if x >> 63 else x
+    x = x - (1 << 64) if x >> 63 else x
+    return x if x >= COUNT + COUNT_RANGE else x + COUNT_RANGE  # keeps clear of the counts
 
 
 def document_sets(docs: DataFrame, cfg: JoinConfig, id_col: str, text_col: str) -> DataFrame:
     """doc_id, n, fp of each row."""
 
-    def make():
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sh = Shingler(cfg.words)
+        for batch in batches:
+            for at in range(0, batch.num_rows, cfg.texts):
+                part = batch.slice(at, cfg.texts)
+                sets = sh.sets(part.column(1))
+                cols = [part.column(0).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([fingerprint(s) if len(s) else None for s in sets], pa.int64())]
+                yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "n", "fp"])
 
-        def rows(ids, texts):
-            return [(i, len(s), fingerprint(s) if len(s) else None) for i, s in zip(ids, sh.sets(texts), strict=True)]
-
-        return rows
-
-    return map_texts(docs, [id_col, text_col], make, "doc_id long, n long, fp long")
+    return docs.select(id_col, text_col).mapInArrow(run, "doc_id long, n long, fp long")
 
 
 def pack(h: np.ndarray, owner: np.ndarray) -> bytes:
@@ -132,9 +154,11 @@ def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str) -> DataFram
     ranges = cfg.ranges * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
+
         sh = Shingler(cfg.words)
         sets: dict[int, np.ndarray] = {}
-        held = 0
+        held, packs, task = 0, 0, TaskContext.get().partitionId()
 
         def flush() -> pa.RecordBatch:
             fps = np.fromiter(sets.keys(), np.int64, len(sets))
@@ -142,31 +166,50 @@ def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str) -> DataFram
             owner = np.repeat(np.arange(len(fps)), [len(s) for s in sets.values()])
             order = np.argsort(h)
             h, owner = h[order], owner[order]
-            at = np.searchsorted(h, (np.arange(1, ranges, dtype=np.float64) * (2.0**64 / ranges)).astype(np.uint64))
-            cuts = np.concatenate([[0], at, [len(h)]])
+            first = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]]))
+            times = np.diff(np.append(first, len(h)))
+            often = times >= cfg.heavy
             cols: tuple[list, ...] = ([], [], [], [])
+
+            def put(p: int, h: np.ndarray, owner: np.ndarray, names: np.ndarray) -> None:
+                used, local = np.unique(owner, return_inverse=True)
+                for c, v in zip(cols, (p, len(h), names[used].tobytes(), pack(h, local)), strict=True):
+                    c.append(v)
+
+            if often.any():
+                # sets of frequent shingles: packs are dealt out evenly, whatever the shingle
+                of = np.repeat(often, times)
+                put(ranges + (task + 7919 * packs) % ranges, h[of], owner[of], fps)
+            # to the ranges: a frequent shingle once, with its count in place of a set (below COUNT); others with their sets
+            light = ~np.repeat(often, times)
+            names = np.concatenate([fps, COUNT + times[often]])
+            h2 = np.concatenate([h[light], h[first[often]]])
+            owner2 = np.concatenate([owner[light], len(fps) + np.arange(int(often.sum()))])
+            order = np.argsort(h2, kind="stable")
+            h2, owner2 = h2[order], owner2[order]
+            at = np.searchsorted(h2, (np.arange(1, ranges, dtype=np.float64) * (2.0**64 / ranges)).astype(np.uint64))
+            cuts = np.concatenate([[0], at, [len(h2)]])
             for p in range(ranges):
                 a, b = int(cuts[p]), int(cuts[p + 1])
                 if a < b:
-                    used, local = np.unique(owner[a:b], return_inverse=True)
-                    for c, v in zip(cols, (p, b - a, fps[used].tobytes(), pack(h[a:b], local)), strict=True):
-                        c.append(v)
+                    put(p, h2[a:b], owner2[a:b], names)
             types = (pa.int32(), pa.int64(), pa.binary(), pa.binary())
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=["p", "n", "fps", "packed"])
 
         for batch in batches:
-            for at in range(0, batch.num_rows, 128):
-                for s in sh.sets(batch.column(0).slice(at, 128).to_pylist()):
+            for at in range(0, batch.num_rows, cfg.texts):
+                for s in sh.sets(batch.column(0).slice(at, cfg.texts)):
                     if len(s) and (fp := fingerprint(s)) not in sets:
                         sets[fp] = s
                         held += len(s)
                         if held >= cfg.pack:
                             yield flush()
-                            sets, held = {}, 0
+                            sets, held, packs = {}, 0, packs + 1
         if sets:
             yield flush()
 
     def meet(table: pa.Table) -> pa.Table:
+        """Rows (fp, tok, df); df is null for sets of frequent shingles, fp is null where such a shingle's df stands."""
         hs, fs = [], []
         for n, fps, raw in zip(*(table.column(c).to_pylist() for c in ("n", "fps", "packed")), strict=True):
             h, o = unpack(raw, n)
@@ -174,24 +217,33 @@ def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str) -> DataFram
             fs.append(np.frombuffer(fps, np.int64)[o])
         h, f = np.concatenate(hs), np.concatenate(fs)
         del hs, fs
+        if table.column("p")[0].as_py() >= ranges:
+            return pa.table({"fp": f, "tok": h.view(np.int64), "df": pa.nulls(len(h), pa.int64())})
+        counted = (f >= COUNT) & (f < COUNT + COUNT_RANGE)
         order = np.argsort(h, kind="stable")
-        h, f = h[order], f[order]
+        h, f, counted = h[order], f[order], counted[order]
         same = h[1:] == h[:-1]
-        twice = np.concatenate([same, [False]]) | np.concatenate([[False], same])
-        h, f = h[twice], f[twice]
-        order = np.lexsort((f, h))  # the same set may come from several blocks
-        h, f = h[order], f[order]
+        keep = np.concatenate([same, [False]]) | np.concatenate([[False], same]) | counted
+        h, f, counted = h[keep], f[keep], counted[keep]
+        order = np.lexsort((f, h))  # the same set may come from several packs
+        h, f, counted = h[order], f[order], counted[order]
         new = np.ones(len(h), bool)
-        new[1:] = (h[1:] != h[:-1]) | (f[1:] != f[:-1])
-        h, f = h[new], f[new]
+        new[1:] = (h[1:] != h[:-1]) | (f[1:] != f[:-1]) | counted[1:]
+        h, f, counted = h[new], f[new], counted[new]
         start = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]])) if len(h) else np.zeros(0, np.int64)
-        df = np.diff(np.append(start, len(h)))
-        df = np.repeat(df, df)
-        keep = df > 1
-        return pa.table({"fp": f[keep], "tok": h[keep].view(np.int64), "df": df[keep].astype(np.int64)})
+        size = np.diff(np.append(start, len(h)))
+        df = np.add.reduceat(np.where(counted, f - COUNT, 1), start) if len(h) else np.zeros(0, np.int64)
+        frequent = np.add.reduceat(counted.astype(np.int64), start) > 0 if len(h) else np.zeros(0, bool)
+        each = np.repeat(df, size)
+        rows = ~counted & (each > 1)
+        fp = pa.concat_arrays([pa.array(f[rows]), pa.nulls(int(frequent.sum()), pa.int64())])
+        tok = np.concatenate([h[rows], h[start[frequent]]]).view(np.int64)
+        return pa.table({"fp": fp, "tok": tok, "df": np.concatenate([each[rows], df[frequent]]).astype(np.int64)})
 
     packed = docs.select(text_col).mapInArrow(blocks, "p int, n long, fps binary, packed binary")
-    return packed.groupBy("p").applyInArrow(meet, "fp long, tok long, df long")
+    met = stored(packed.groupBy("p").applyInArrow(meet, "fp long, tok long, df long"), "shared")
+    often = met.filter("df IS NULL").select("fp", "tok").join(met.filter("fp IS NULL").select("tok", "df").hint("merge"), "tok")
+    return met.filter("fp IS NOT NULL AND df IS NOT NULL").unionByName(often)
 
 
 def needed(n: Column, percent: int) -> Column:
@@ -201,7 +253,8 @@ def needed(n: Column, percent: int) -> Column:
 
 def index_nodes(shared: DataFrame, sizes: DataFrame, cfg: JoinConfig) -> DataFrame:
     """fp, n, u (private shingles), toks (shared, rare first), bits (parity bitmap of toks), for sets that can link."""
-    r = shared.groupBy("fp").agg(F.sort_array(F.collect_list(F.struct("df", "tok"))).alias("t"))
+    # equal sets of different packs may repeat a frequent shingle
+    r = shared.groupBy("fp").agg(F.sort_array(F.collect_set(F.struct("df", "tok"))).alias("t"))
     r = r.join(sizes, "fp").filter(F.size("t") * 100 >= F.col("n") * cfg.percent)
     r = r.select("fp", "n", (F.col("n") - F.size("t")).alias("u"), F.col("t.tok").alias("toks"))
 

@@ -54,6 +54,7 @@ class Maintainer:
     def put(self, df: DataFrame, name: str, *by: str) -> None:
         df.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy(*by).parquet(self.path(name))
 
+    PAIRS = "born_step int, key long, l_rid long, r_rid long, ord long, step int"
     ROWS = "side string, rid long, key long, day timestamp, batch long, step int"
 
     def batch(self, rows: DataFrame, batch_id: int) -> None:
@@ -80,7 +81,7 @@ class Maintainer:
         left, right = (rows.filter(F.col("side") == s).select("rid", "key", "day", "step") for s in "LR")
         pairs = derive.numbered(derive.increment(self.spec, left, right, t))
         self.put(pairs.withColumn("step", F.lit(t)), "pairs", "step")
-        n = self.spark.read.parquet(f"{self.path('pairs')}").filter(F.col("step") == t).count()
+        n = self.table("pairs", self.PAIRS).filter(F.col("step") == t).count()
         before = self.table("state", STATE).filter(F.col("step") == t - 1).first() if t > 1 and self.has("state") else None
         self.put(self.spark.createDataFrame([self.advance(t, n, before)], STATE), "state", "step")
 

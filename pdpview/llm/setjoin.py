@@ -49,11 +49,11 @@ class JoinConfig:
     #: Links need 100 * intersection >= percent * union.
     percent: int = 80
     #: Hashes that a task packs at a time.
-    pack: int = 2_000_000
+    pack: int = 1_200_000
     #: Hash ranges for each shuffle partition.
     ranges: int = 4
     #: Texts that are split at a time.
-    texts: int = 2048
+    texts: int = 512
     #: A shingle in so many different sets of one pack is counted there; its sets do not go to its range's task.
     heavy: int = 16
     #: Rounds of comparing index lists with one set.

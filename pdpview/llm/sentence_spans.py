@@ -1,6 +1,8 @@
 """Substring deduplication by sliding spans of sentences.
 
-A sentence ends at ``.``, ``!`` or ``?`` before white space, or at a line end. At every sentence a span begins: it
+A sentence ends at ``.``, ``!`` or ``?`` before white space, or at a line end; commas, colons and semicolons end one
+too, and a stretch of more than ``long`` words without any mark is cut after words that their hash picks. So a passage
+pasted into the middle of a sentence still holds complete sentences in this sense. At every sentence a span begins: it
 runs over consecutive sentences until it has ``sentences`` of them and ``least_words`` words, or earlier when it
 reaches ``words`` words. Spans are hashed to 128 bits over their lower-cased words. A span's first occurrence is
 in the document with the smallest id, at its earliest place there; sentences under any other occurrence are cut.
@@ -16,14 +18,24 @@ comes first; an empty table gives no rows; extra columns are not read.
 from __future__ import annotations
 
 import re
+import struct
+from collections import Counter
+from collections.abc import Iterator
 from dataclasses import dataclass
+from zlib import crc32
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .texts import map_texts, words_of
+from .texts import WORDS, map_texts, words_of
 
-SENTENCE_END = re.compile(r"(?<=[.!?])[\x20\x09-\x0D]+|\n[\x20\x09-\x0D]*")
+SENTENCE_END = re.compile(r"(?<=[.!?,;:])[\x20\x09-\x0D]+|\n[\x20\x09-\x0D]*")
+
+
+#: Stands for a null id; it comes before all ids.
+NO_ID = -(1 << 63)
 
 
 @dataclass(frozen=True)
@@ -31,6 +43,8 @@ class SpanConfig:
     sentences: int = 3
     least_words: int = 10
     words: int = 20
+    #: Longer stretches are cut at about every sixth word.
+    long: int = 20
 
 
 def sentence_bounds(text: str) -> list[tuple[int, int]]:
@@ -45,78 +59,104 @@ def sentence_bounds(text: str) -> list[tuple[int, int]]:
     return out
 
 
-def spans(text: str | None, cfg: SpanConfig) -> tuple[list[tuple[int, int]], list[tuple[int, int, int, int]]]:
-    """Sentence bounds, and (hash high, hash low, first sentence, end sentence) of each complete span."""
-    import xxhash
+def cut_long(text: str, a: int, b: int) -> list[tuple[int, int]]:
+    """Bounds of a long stretch, cut after words picked by their own hash: the same words are cut alike anywhere."""
+    out, at, last = [], a, False
+    for m in WORDS.finditer(text, a, b):
+        if last:
+            out.append((at, m.start()))
+            at = m.start()
+        last = crc32(m[0].lower().encode("utf-8", "replace")) % 6 == 0
+    return [*out, (at, b)]
+
+
+def units(text: str, cfg: SpanConfig) -> list[tuple[int, int, str, int]]:
+    """(begin, end, lower-cased words in one string, number of words) of each sentence."""
+    out = []
+    for a, b in sentence_bounds(text):
+        words = text[a:b].lower().split()
+        if len(words) <= cfg.long:
+            out.append((a, b, " ".join(words), len(words)))
+        else:
+            for x, y in cut_long(text, a, b):
+                words = text[x:y].lower().split()
+                out.append((x, y, " ".join(words), len(words)))
+    return out
+
+
+def spans(text: str | None, cfg: SpanConfig) -> tuple[list[tuple[int, int]], list[tuple[bytes, int, int]]]:
+    """Sentence bounds, and (hash of 16 bytes, first sentence, end sentence) of each complete span."""
+    from xxhash import xxh3_128_digest
 
     if not text:
         return [], []
-    bounds = sentence_bounds(text)
-    words = [words_of(text[a:b].lower()) for a, b in bounds]
-    count = [len(w) for w in words]
-    joined = [" ".join(w) for w in words]
+    u = units(text, cfg)
+    norm, count = [x[2] for x in u], [x[3] for x in u]
     out, j, total, used = [], 0, 0, 0  # sentences i..j-1 hold ``total`` words, ``used`` of them are not empty
-    for i in range(len(bounds)):
-        while j < len(bounds) and total < cfg.words and (used < cfg.sentences or total < cfg.least_words):
+    n, want, least, few = len(u), cfg.words, cfg.least_words, cfg.sentences
+    for i in range(n):
+        while j < n and total < want and (used < few or total < least):
             total += count[j]
             used += count[j] > 0
             j += 1
-        if total < cfg.words and (used < cfg.sentences or total < cfg.least_words):
+        if total < want and (used < few or total < least):
             break
         if count[i]:
-            h = xxhash.xxh3_128_intdigest("\n".join(filter(None, joined[i:j])))
-            out.append((signed(h >> 64), signed(h & (1 << 64) - 1), i, j))
-        total -= count[i]
-        used -= count[i] > 0
-    return bounds, out
-
-
-def signed(x: int) -> int:
-    return x - (1 << 64) if x >> 63 else x
+            out.append((xxh3_128_digest(" ".join(filter(None, norm[i:j]))), i, j))
+            total -= count[i]
+            used -= 1
+    return [x[:2] for x in u], out
 
 
 def repeated_spans(docs: DataFrame, cfg: SpanConfig = SpanConfig(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, hits: the spans of each document whose first occurrence is in another document."""
-
-    def make():
-        def rows(ids, texts):
-            out = []
-            for i, t in zip(ids, texts, strict=True):
-                seen = set()
-                for hi, lo, a, b in spans(t, cfg)[1]:
-                    if (hi, lo) not in seen:
-                        seen.add((hi, lo))
-                        out.append((hi, lo, i))
-            return out
-
-        return rows
-
-    found = map_texts(docs, [id_col, text_col], make, "hi long, lo long, doc_id long", rows=128)
-    least = -(1 << 63)
-    found = found.withColumn("doc", F.coalesce("doc_id", F.lit(least)))
-    first = found.groupBy("hi", "lo").agg(F.min("doc").alias("first"), F.max("doc").alias("last")).filter("first < last")
-    later = found.join(first.select("hi", "lo", "first").hint("merge"), ["hi", "lo"]).filter("doc > first")
-    return later.groupBy("doc").agg(F.collect_set(F.struct("hi", "lo")).alias("hits"))
+    """doc, hits: hashes of each document's spans that occur in an earlier document (``whole``) or earlier in this one."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                digests: list[bytes] = []
+                again: list[bool] = []
+                sizes = []
+                for t in part.column(1).to_pylist():
+                    times = Counter(x[0] for x in spans(t, cfg)[1])  # a span goes out once for each document
+                    digests += times.keys()
+                    again += [k > 1 for k in times.values()]
+                    sizes.append(len(times))
+                h = np.frombuffer(b"".join(digests), ">i8").astype(np.int64).reshape(-1, 2)
+                ids = pa.array(np.repeat(np.arange(len(sizes)), sizes))
+                cols = [pa.array(np.ascontiguousarray(h[:, 0])), pa.array(np.ascontiguousarray(h[:, 1])), part.column(0).cast(pa.int64()).take(ids), pa.array(again, pa.bool_())]
+                yield pa.RecordBatch.from_arrays(cols, names=["hi", "lo", "doc_id", "again"])
+
+    found = docs.select(id_col, text_col).mapInArrow(run, "hi long, lo long, doc_id long, again boolean")
+    found = found.withColumn("doc", F.coalesce("doc_id", F.lit(NO_ID)))
+    first = found.groupBy("hi", "lo").agg(F.min("doc").alias("first"), F.max("doc").alias("last"), F.max("again").alias("twice")).filter("first < last OR twice")
+    later = found.join(first.select("hi", "lo", "first").hint("merge"), ["hi", "lo"]).filter("doc > first OR again")
+    return later.groupBy("doc").agg(F.collect_set(F.struct("hi", "lo", (F.col("doc") > F.col("first")).alias("whole"))).alias("hits"))
 
 
 def remove_repeats(docs: DataFrame, cfg: SpanConfig = SpanConfig(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_sentences, n_removed, removed_words, removed (character spans), text without them."""
+    """doc_id, n_removed (sentences), removed_words, removed (character spans), text without them."""
     hits = repeated_spans(docs, cfg, id_col, text_col)
     d = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
-    d = d.withColumn("doc", F.coalesce("doc_id", F.lit(-(1 << 63)))).join(hits.hint("merge"), "doc", "left")
+    d = d.withColumn("doc", F.coalesce("doc_id", F.lit(NO_ID))).join(hits.hint("merge"), "doc", "left")
 
     def make():
         def rows(ids, texts, hits):
             out = []
             for i, t, h in zip(ids, texts, hits, strict=True):
-                known = {(x["hi"], x["lo"]) for x in h or ()}
+                if not h:
+                    out.append((i, 0, 0, [], t))
+                    continue
+                known = {struct.pack(">qq", x["hi"], x["lo"]): x["whole"] for x in h}
                 bounds, own = spans(t, cfg)
                 gone = [False] * len(bounds)
                 seen = set()
-                for hi, lo, a, b in own:
-                    if (hi, lo) in known or (hi, lo) in seen:  # seen: an earlier place in this document
-                        gone[a:b] = [True] * (b - a)
-                    seen.add((hi, lo))
+                for x, a, b in own:
+                    if x in known:
+                        if known[x] or x in seen:  # the first occurrence of all is in this document: it stays
+                            gone[a:b] = [True] * (b - a)
+                        seen.add(x)
                 cut, kept, words = [], [], 0
                 for (a, b), g in zip(bounds, gone, strict=True):
                     if not g:
@@ -127,10 +167,10 @@ def remove_repeats(docs: DataFrame, cfg: SpanConfig = SpanConfig(), id_col: str
                         cut[-1] = (cut[-1][0], b)
                     else:
                         cut.append((a, b))
-                out.append((i, len(bounds), sum(gone), words, [{"begin": a, "end": b} for a, b in cut], "".join(kept) if t else t))
+                out.append((i, sum(gone), words, [{"begin": a, "end": b} for a, b in cut], "".join(kept) if t else t))
             return out
 
         return rows
 
-    schema = "doc_id long, n_sentences long, n_removed long, removed_words long, removed array<struct<begin:long,end:long>>, text string"
+    schema = "doc_id long, n_removed long, removed_words long, removed array<struct<begin:long,end:long>>, text string"
     return map_texts(d, ["doc_id", "text", "hits"], make, schema, rows=128)

@@ -361,10 +361,10 @@ def spans_brute(rows, cfg):
     for i, t in rows:
         _, own = sentence_spans.spans(t, cfg)
         gone = set()
-        for hi, lo, a, b in own:
-            if (hi, lo) in seen:
+        for h, a, b in own:
+            if h in seen:
                 gone |= set(range(a, b))
-            seen.setdefault((hi, lo), i)
+            seen.setdefault(h, i)
         out[i] = len(gone)
     return out
 
@@ -393,6 +393,16 @@ def test_planted_passage(spark):
         assert (inner in out[k].text) == (k == 0)
 
 
+def test_passage_inside_sentences(spark):
+    """A passage of 55 words that is pasted into the middle of sentences, with few marks of its own."""
+    rng = random.Random(8)
+    words = lambda n: " ".join("".join(rng.choices("abcdefghij", k=6)) for _ in range(n))
+    passage = words(55)
+    rows = [(k, words(15) + ". " + words(7) + (" " + passage if k % 2 else "") + " " + words(9) + ". " + words(12) + ".", "en", "s") for k in range(12)]
+    out = {r.doc_id: r.n_removed for r in sentence_spans.remove_repeats(docs_of(spark, rows)).collect()}
+    assert {k for k, n in out.items() if n} == {3, 5, 7, 9, 11}
+
+
 def test_span_edges(odd, empty):
     out = sentence_spans.remove_repeats(odd).collect()
     assert len(out) == len(odd_rows()) and sentence_spans.remove_repeats(empty).count() == 0

@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .texts import drop_stored, stored
+from .texts import drop_stored, give_back, stored
 
 #: A-Z to a-z in UTF-8 bytes.
 LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
@@ -49,11 +49,11 @@ class JoinConfig:
     #: Links need 100 * intersection >= percent * union.
     percent: int = 80
     #: Hashes that a task packs at a time.
-    pack: int = 1_200_000
+    pack: int = 800_000
     #: Hash ranges for each shuffle partition.
     ranges: int = 4
     #: Texts that are split at a time.
-    texts: int = 512
+    texts: int = 256
     #: A shingle in so many different sets of one pack is counted there; its sets do not go to its range's task.
     heavy: int = 16
     #: Rounds of comparing index lists with one set.
@@ -127,6 +127,7 @@ def document_sets(docs: DataFrame, cfg: JoinConfig, id_col: str, text_col: str)
                 sets = sh.sets(part.column(1))
                 cols = [part.column(0).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([fingerprint(s) if len(s) else None for s in sets], pa.int64())]
                 yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "n", "fp"])
+        give_back()
 
     return docs.select(id_col, text_col).mapInArrow(run, "doc_id long, n long, fp long")
 
@@ -207,6 +208,8 @@ def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str) -> DataFram
                             sets, held, packs = {}, 0, packs + 1
         if sets:
             yield flush()
+        sets = {}
+        give_back()
 
     def meet(table: pa.Table) -> pa.Table:
         """Rows (fp, tok, df); df is null for sets of frequent shingles, fp is null where such a shingle's df stands."""
@@ -217,6 +220,7 @@ def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str) -> DataFram
             fs.append(np.frombuffer(fps, np.int64)[o])
         h, f = np.concatenate(hs), np.concatenate(fs)
         del hs, fs
+        give_back()
         if table.column("p")[0].as_py() >= ranges:
             return pa.table({"fp": f, "tok": h.view(np.int64), "df": pa.nulls(len(h), pa.int64())})
         counted = (f >= COUNT) & (f < COUNT + COUNT_RANGE)

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import ctypes
 import re
+import sys
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -31,6 +33,15 @@ def per_worker(kind: str, key: str, build: Callable[[], object]) -> object:
     return _KEPT[kind][1]
 
 
+def give_back() -> None:
+    """Returns freed memory of this Python worker to the system: workers live on between tasks, several an executor."""
+    pa.default_memory_pool().release_unused()
+    if sys.platform == "linux":
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc only
+        if trim is not None:
+            trim(0)
+
+
 def new_key() -> str:
     return uuid.uuid4().hex
 
@@ -58,6 +69,7 @@ def map_texts(
                     yield pa.RecordBatch.from_arrays(
                         [pa.array(c, type=arrow.field(i).type) for i, c in enumerate(cols)], names=fields
                     )
+        give_back()
 
     return df.select(*columns).mapInArrow(run, schema)
 
@@ -74,6 +86,7 @@ def filter_rows(df: DataFrame, columns: list[str], make: Callable[[], Callable[.
                 keep = f(*(part.column(i).to_pylist() for i in where))
                 if any(keep):
                     yield part.filter(pa.array(keep, pa.bool_()))
+        give_back()
 
     return df.mapInArrow(run, df.schema)
 

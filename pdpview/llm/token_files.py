@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from .bpe_count import byte_alphabet
 from .rans import RansConfig, Segment, encode_segment
-from .texts import map_texts, per_worker, stored
+from .texts import give_back, map_texts, per_worker, stored
 
 SEGMENT_SCHEMA = "shard int, seg int, n_docs long, n_tokens long, bytes binary"
 
@@ -156,6 +156,8 @@ def encode_segments(docs: DataFrame, tokenizer_path: str, end_id: int = 0, segme
                     ids, parts, sizes, held, seg = [], [], [], 0, seg + 1
         if ids:
             yield flush()
+        ids, parts, sizes = [], [], []
+        give_back()
 
     return d.mapInArrow(run, SEGMENT_SCHEMA)
 

@@ -4,8 +4,12 @@ A rule names a host and the beginning of a path; it fits the host and its subdom
 longest wins (the longer host on a tie). Pages without a rule get their host's verdict from the link graph: trust
 flows along links from hosts with allowed pages (personalised PageRank), distrust flows against links from hosts
 with blocked pages. Seeds are shares: a host's seed is the part of its pages that a rule allows or blocks. A host
-without links onward keeps its own score, so no mass moves through a global sum and scores stay within 0..1. A
-host is blocked where its distrust reaches ``block_from`` and is above its trust.
+without links onward keeps its own score, so no mass moves through a global sum.
+
+A flowing score depends on how many links a host has. Verdicts rest on its share of what the host would get if every
+host's seed were 1: an average of seeds, within 0..1, that links to the host (for trust: from it) do not change. A
+host's own seed is the least it is judged by. A host is blocked where its distrust reaches ``block_from`` and is
+above its trust.
 
 Edge cases: null urls and urls without ``://`` have empty host and path and get ``allow``; repeated pages each get
 a row and count in the shares; null or link-less html adds no edge; empty tables give no rows.
@@ -67,46 +71,46 @@ def host_edges(pages: DataFrame, html: str = "html") -> DataFrame:
 
 
 def propagate(seeds: DataFrame, edges: DataFrame, cfg: RankConfig = RankConfig()) -> DataFrame:
-    """host, trust, distrust: ``seeds`` has host, trust, distrust; hosts that are only linked to are added."""
+    """host, trust, distrust, own_ (the seeds), all_ (the scores if every seed were 1), linked: ``seeds`` has host,
+    trust, distrust; hosts that are only linked to are added."""
     edges = stored(edges, "edges")
     if edges.isEmpty():
-        return seeds
+        return seeds.select("host", "trust", "distrust", F.col("trust").alias("own_trust"), F.col("distrust").alias("own_distrust"), F.lit(1.0).alias("all_trust"), F.lit(1.0).alias("all_distrust"), F.lit(False).alias("linked"))
     out_sum, in_sum = edges.groupBy("src").agg(F.sum("n").alias("o")), edges.groupBy("dst").agg(F.sum("n").alias("i"))
     flows = stored(edges.join(out_sum, "src").join(in_sum, "dst").select("src", "dst", (F.col("n") / F.col("o")).alias("w_out"), (F.col("n") / F.col("i")).alias("w_in")), "flows")
     ends = flows.select(F.col("src").alias("host")).union(flows.select(F.col("dst").alias("host"))).distinct()
-    base = ends.join(seeds, "host", "full").select("host", *(F.coalesce(c, F.lit(0.0)).alias(c + "0") for c in ("trust", "distrust")))
+    base = ends.join(seeds, "host", "full").select("host", *(F.coalesce(c, F.lit(0.0)).alias("own_" + c) for c in ("trust", "distrust")))
     base = base.join(out_sum.select(F.col("src").alias("host"), F.lit(True).alias("gives")), "host", "left").join(in_sum.select(F.col("dst").alias("host"), F.lit(True).alias("taken")), "host", "left")
     base = stored(base.fillna(False, ["gives", "taken"]), "hosts")
-    now = base.select("host", F.col("trust0").alias("trust"), F.col("distrust0").alias("distrust"))
+    ahead_of, back_of = ("trust", "all_trust"), ("distrust", "all_distrust")
+    scores = (*ahead_of, *back_of)
+    seed = {"trust": F.col("own_trust"), "distrust": F.col("own_distrust"), "all_trust": F.lit(1.0), "all_distrust": F.lit(1.0)}
+    now = base.select("host", *(seed[c].alias(c) for c in scores))
+    first, a = True, cfg.damping
     for _ in range(cfg.max_steps):
-        ahead = flows.join(now.select(F.col("host").alias("src"), "trust"), "src").select(F.col("dst").alias("host"), (F.col("trust") * F.col("w_out")).alias("t"), F.lit(0.0).alias("d"))
-        back = flows.join(now.select(F.col("host").alias("dst"), "distrust"), "dst").select(F.col("src").alias("host"), F.lit(0.0).alias("t"), (F.col("distrust") * F.col("w_in")).alias("d"))
-        got = ahead.unionByName(back).groupBy("host").agg(F.sum("t").alias("t"), F.sum("d").alias("d"))
-        a = cfg.damping
-        new = base.join(now, "host").join(got, "host", "left").select(
-            "host",
-            ((1 - a) * F.col("trust0") + a * (F.coalesce("t", F.lit(0.0)) + F.when(F.col("gives"), 0.0).otherwise(F.col("trust")))).alias("trust"),
-            ((1 - a) * F.col("distrust0") + a * (F.coalesce("d", F.lit(0.0)) + F.when(F.col("taken"), 0.0).otherwise(F.col("distrust")))).alias("distrust"),
-            F.col("trust").alias("old_t"),
-            F.col("distrust").alias("old_d"),
-        )
+        ahead = flows.join(now.select(F.col("host").alias("src"), *ahead_of), "src").select(F.col("dst").alias("host"), *((F.col(c) * F.col("w_out")).alias("to_" + c) for c in ahead_of), *(F.lit(0.0).alias("to_" + c) for c in back_of))
+        back = flows.join(now.select(F.col("host").alias("dst"), *back_of), "dst").select(F.col("src").alias("host"), *(F.lit(0.0).alias("to_" + c) for c in ahead_of), *((F.col(c) * F.col("w_in")).alias("to_" + c) for c in back_of))
+        got = ahead.unionByName(back).groupBy("host").agg(*(F.sum("to_" + c).alias("to_" + c) for c in scores))
+        score = lambda c: (1 - a) * seed[c] + a * (F.coalesce("to_" + c, F.lit(0.0)) + F.when(F.col("gives" if c in ahead_of else "taken"), 0.0).otherwise(F.col(c)))
+        new = base.join(now, "host").join(got, "host", "left").select("host", *(score(c).alias(c) for c in scores), *(F.col(c).alias("old_" + c) for c in scores))
         new = stored(new, "ranks")
-        moved = new.agg(F.max(F.greatest(F.abs(F.col("trust") - F.col("old_t")), F.abs(F.col("distrust") - F.col("old_d"))))).first()[0]
-        if "old_t" in now.columns:
+        moved = new.agg(F.max(F.greatest(*(F.abs(F.col(c) - F.col("old_" + c)) for c in scores)))).first()[0]
+        if not first:
             drop_stored(now)
-        now = new
+        now, first = new.select("host", *scores), False
         if moved is None or moved < cfg.tolerance:
             break
-    return now.select("host", "trust", "distrust")
+    return now.join(base, "host").select("host", "trust", "distrust", "own_trust", "own_distrust", "all_trust", "all_distrust", (F.col("gives") | F.col("taken")).alias("linked"))
 
 
 def judge_urls(pages: DataFrame, rules: list[Rule], cfg: RankConfig = RankConfig(), id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """page_id, host, path, rule, verdict, trust, distrust for each row of ``pages``."""
+    """page_id, host, path, rule, verdict, trust, distrust (the host's, as judged) for each row of ``pages``."""
     host, path = host_of(F.col(url_col)), path_of(F.col(url_col))
     p = pages.select(F.col(id_col).alias("page_id"), host.alias("host"), path.alias("path"))
     p = p.select("*", rule_of(F.col("host"), F.col("path"), rules, lambda r: r.name).alias("rule"), rule_of(F.col("host"), F.col("path"), rules, lambda r: r.verdict).alias("said"))
     seeds = p.filter(F.col("host") != "").groupBy("host").agg(F.avg(F.when(F.col("said") == "allow", 1.0).otherwise(0.0)).alias("trust"), F.avg(F.when(F.col("said") == "block", 1.0).otherwise(0.0)).alias("distrust"))
     ranks = propagate(seeds, host_edges(pages.select(host.alias("host"), F.col(html_col).alias("html"))), cfg)
-    bad = ranks.select(F.col("host").alias("h"), "trust", "distrust")
+    judged = lambda c: F.when(F.col("linked"), F.greatest(F.col("own_" + c), F.col(c) / F.col("all_" + c))).otherwise(F.col("own_" + c))
+    bad = ranks.select(F.col("host").alias("h"), *(judged(c).alias(c) for c in ("trust", "distrust")))
     verdict = F.when(F.col("said").isNotNull(), F.col("said")).when((F.col("distrust") >= cfg.block_from) & (F.col("distrust") > F.col("trust")), "block").otherwise("allow")
     return p.join(bad, p.host == bad.h, "left").select("page_id", "host", "path", "rule", verdict.alias("verdict"), "trust", "distrust")

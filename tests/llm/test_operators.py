@@ -521,3 +521,22 @@ def test_links_between_hosts(spark):
     html = """<a href="http://B.org/x">1</a> <a HREF='//c.org'>2</a> <a href="/own">3</a> <a href=https://a.org/>self</a> <a href="mailto:x@y">m</a>"""
     pages = spark.createDataFrame([("a.org", html), ("a.org", None), ("", html)], "host string, html string")
     assert sorted(map(tuple, url_rules.host_edges(pages).collect())) == [("a.org", "b.org", 1), ("a.org", "c.org", 1)]
+
+
+def test_verdicts_of_linked_hosts(spark):
+    """Links to a blocked host do not free it, and links to a linker change neither its verdict nor its scores."""
+    rules = [*(url_rules.Rule(h, "/bad/", "block") for h in ("spam.org", "spam.net", "spam.biz")), url_rules.Rule("good.org", "/", "allow")]
+    to = lambda *hosts: " ".join(f'<a href="http://{h}/">x</a>' for h in hosts)
+
+    def judged(links):
+        pages = [(f"http://{h}/{'bad/' * (k > 0 and h.startswith('spam'))}{k}", html) for h, html in links.items() for k in range(5)]
+        df = spark.createDataFrame([(k, u, t) for k, (u, t) in enumerate(pages)], "page_id long, url string, html string")
+        return {r.host: r for r in url_rules.judge_urls(df, rules).collect() if r.path == "/0"}
+
+    links = {"spam.org": "", "spam.net": "", "spam.biz": to(*(f"d{k}.org" for k in range(9))), "a.org": to("spam.org", "spam.net"), "big.org": to("spam.org", *(f"c{k}.org" for k in range(30))), "good.org": to("a.org")}
+    one, more = judged(links), judged(links | {"b.org": to("a.org"), "c.org": to("spam.biz")})
+    for out in (one, more):
+        assert all(out[h].verdict == ("block" if h.startswith("spam") else "allow") for h in out if h != "a.org")
+        assert all(0 <= x <= 1 + 1e-9 for r in out.values() for x in (r.trust, r.distrust))
+    assert one["a.org"].verdict == more["a.org"].verdict and one["a.org"].distrust == pytest.approx(more["a.org"].distrust, abs=1e-3)
+    assert one["a.org"].distrust > 0.35 > one["big.org"].distrust

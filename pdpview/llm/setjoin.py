@@ -16,7 +16,8 @@ Sets: distinct 5-word shingles as 64-bit hashes. Documents with equal sets are o
    places of the meeting shingle in both sets bound their overlap), by size, and by a parity bitmap that bounds the
    symmetric difference from below. What passes is verified exactly. No list or candidate is capped.
 
-Components come from minimum labels with pointer jumping; each round is written to the shared folder.
+Components come from minimum labels: each round jumps one pointer and lowers nodes and the nodes their labels name, until
+nothing moves (12 rounds on chains of 2,000 in random order); each round is written to the shared folder.
 
 Edge cases: documents of fewer than five words are one shingle; null, empty and wordless ones have no shingle and
 are alone; repeated rows and equal ids are one node each if their sets are equal; a component's id is the smallest
@@ -273,22 +274,23 @@ def index_nodes(shared: DataFrame, sizes: DataFrame, cfg: JoinConfig) -> DataFra
     return r.mapInArrow(bitmaps, "fp long, n long, u long, toks array<long>, bits array<long>")
 
 
-def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame) -> DataFrame:
     """v, c: the smallest node reachable from each node of ``edges`` (a, b)."""
     both = stored(edges.select("a", "b").union(edges.select(F.col("b"), F.col("a"))).distinct(), "edges")
     now = stored(both.groupBy(F.col("a").alias("v")).agg(F.min("b").alias("m")).select("v", F.least("v", "m").alias("c")), "labels")
-    for _ in range(rounds):
-        near = both.join(now.select(F.col("v").alias("b"), "c").hint("merge"), "b").groupBy(F.col("a").alias("v")).agg(F.min("c").alias("m"))
-        lower = now.join(near.hint("merge"), "v").select("v", F.col("c").alias("was"), F.least("c", "m").alias("c"))
+    while True:  # labels only fall, and each is a node, so this ends
         jump = now.select(F.col("v").alias("c"), F.col("c").alias("cc"))
-        new = stored(lower.join(jump.hint("merge"), "c", "left").select("v", "was", F.least("c", F.coalesce("cc", "c")).alias("c")), "labels")
+        far = now.join(jump.hint("merge"), "c")
+        near = both.join(far.select(F.col("v").alias("b"), "cc").hint("merge"), "b").groupBy(F.col("a").alias("v")).agg(F.min("cc").alias("m"))
+        # the least label next to a node lowers the node and the node that its label names
+        low = far.join(near.hint("merge"), "v").select("v", "c", F.least("cc", "m").alias("m"))
+        low = low.select(F.explode(F.array(F.struct("v", "c", "m"), F.struct(F.col("c").alias("v"), F.lit(None).cast("long").alias("c"), "m"))).alias("x")).select("x.*")
+        new = stored(low.groupBy("v").agg(F.max("c").alias("was"), F.min("m").alias("c")), "labels")
         moved = new.filter("c <> was").limit(1).count()
         drop_stored(now)
         now = new.select("v", "c")
         if not moved:
             break
-    else:
-        raise RuntimeError("components did not settle")
     return now
 
 

@@ -163,6 +163,18 @@ def test_join_edges(odd, empty):
     assert sorted(r.doc_id for r in kept.collect() if r.doc_id is not None) == [1, 2, 3, 4, 5, 6, 8]
 
 
+def test_components_of_a_chain(spark):
+    """A shuffled chain of 2,000 nodes, a shorter one, a star and a pair."""
+    rng = random.Random(5)
+    names = [rng.getrandbits(63) - (1 << 62) for _ in range(2_400)]
+    groups = [names[:2_000], names[2_000:2_300], names[2_300:2_398], names[2_398:]]
+    pairs = [p for g in (groups[0], groups[1], groups[3]) for p in zip(g[:-1], g[1:], strict=True)] + [(groups[2][0], x) for x in groups[2][1:]]
+    rng.shuffle(pairs)
+    got = setjoin.components(spark.createDataFrame([(min(p), max(p)) for p in pairs], "a long, b long")).collect()
+    assert sorted(map(tuple, got)) == sorted((v, min(g)) for g in groups for v in g)
+    assert setjoin.components(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
 # --- mixing --------------------------------------------------------------------------------------------------------
 
 

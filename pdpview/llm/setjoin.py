@@ -118,7 +118,7 @@ def fingerprint(s: np.ndarray) -> int:
 
 
 def document_sets(docs: DataFrame, cfg: JoinConfig, id_col: str, text_col: str) -> DataFrame:
-    """doc_id, n, fp of each row."""
+    """doc_id, n, fp, text_hash of each row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sh = Shingler(cfg.words)
@@ -126,11 +126,11 @@ def document_sets(docs: DataFrame, cfg: JoinConfig, id_col: str, text_col: str)
             for at in range(0, batch.num_rows, cfg.texts):
                 part = batch.slice(at, cfg.texts)
                 sets = sh.sets(part.column(1))
-                cols = [part.column(0).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([fingerprint(s) if len(s) else None for s in sets], pa.int64())]
-                yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "n", "fp"])
+                cols = [part.column(0).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([fingerprint(s) if len(s) else None for s in sets], pa.int64()), part.column(2)]
+                yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "n", "fp", "text_hash"])
         give_back()
 
-    return docs.select(id_col, text_col).mapInArrow(run, "doc_id long, n long, fp long")
+    return docs.select(id_col, text_col, F.xxhash64(text_col)).mapInArrow(run, "doc_id long, n long, fp long, text_hash long")
 
 
 def pack(h: np.ndarray, owner: np.ndarray) -> bytes:
@@ -349,12 +349,17 @@ def links(docs: DataFrame, sizes: DataFrame, cfg: JoinConfig, text_col: str) ->
     return found.unionByName(last)
 
 
-def join_components(docs: DataFrame, cfg: JoinConfig = JoinConfig(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_shingles, component_id, fp for each row of ``docs``."""
+def labelled_sets(docs: DataFrame, cfg: JoinConfig, id_col: str, text_col: str) -> DataFrame:
+    """doc_id, n, fp, text_hash, c (least fp of the component; null without shingles) for each row of ``docs``."""
     d = stored(document_sets(docs, cfg, id_col, text_col), "sets")
     sizes = d.filter("n > 0").groupBy("fp").agg(F.max("n").alias("n"))
     labels = components(links(docs, sizes, cfg, text_col))
-    d = stored(d.join(labels.withColumnRenamed("v", "fp").hint("merge"), "fp", "left").withColumn("c", F.coalesce("c", "fp")), "labelled")
+    return stored(d.join(labels.withColumnRenamed("v", "fp").hint("merge"), "fp", "left").withColumn("c", F.coalesce("c", "fp")), "labelled")
+
+
+def join_components(docs: DataFrame, cfg: JoinConfig = JoinConfig(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, n_shingles, component_id, fp for each row of ``docs``."""
+    d = labelled_sets(docs, cfg, id_col, text_col)
     least = d.filter("n > 0").groupBy("c").agg(F.min("doc_id").alias("component_id"))
     out = d.filter("n > 0").join(least.hint("merge"), "c").select("doc_id", F.col("n").alias("n_shingles"), "component_id", "fp")
     alone = d.filter("n = 0").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"), "fp")
@@ -362,9 +367,13 @@ def join_components(docs: DataFrame, cfg: JoinConfig = JoinConfig(), id_col: str
 
 
 def keep_one(docs: DataFrame, cfg: JoinConfig = JoinConfig(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row of each component, that of its smallest id, with all columns of ``docs``; of equal rows one stays."""
-    c = join_components(docs, cfg, id_col, text_col)
-    gone = c.filter((F.col("doc_id") != F.col("component_id")) | (F.col("doc_id").isNull() & F.col("component_id").isNotNull()))
-    gone = gone.select(F.col("doc_id").alias("__gone")).distinct()
-    stay = docs.join(gone.hint("merge"), docs[id_col].eqNullSafe(gone["__gone"]), "left_anti")
-    return stay.dropDuplicates([id_col])
+    """One row of each component, with all columns of ``docs``: of its smallest id (null is largest), then of the least
+    fingerprint and text hash. Rows are told apart by id and 64-bit hash of the text, so ids may be null or repeat;
+    rows without shingles stay, and only rows of equal id and text become one."""
+    row = lambda i, h: [i.isNull().alias("__none"), F.coalesce(i.cast("long"), F.lit(0)).alias("__id"), h.alias("__text")]
+    d = labelled_sets(docs, cfg, id_col, text_col)
+    best = d.filter("n > 0").groupBy("c").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "fp", "text_hash")).alias("x")).select("x.*")
+    keep = best.select("doc_id", "text_hash").union(d.filter("n = 0").select("doc_id", "text_hash").distinct())
+    keep = keep.select(*row(F.col("doc_id"), F.col("text_hash")))
+    stay = docs.select("*", *row(F.col(id_col), F.xxhash64(text_col))).join(keep.hint("merge"), keep.columns, "left_semi")
+    return stay.dropDuplicates(keep.columns).select(*docs.columns)

@@ -163,6 +163,15 @@ def test_join_edges(odd, empty):
     assert sorted(r.doc_id for r in kept.collect() if r.doc_id is not None) == [1, 2, 3, 4, 5, 6, 8]
 
 
+def test_keep_one_with_odd_ids(spark):
+    """Null and repeated ids: each component keeps one row, and only equal rows of other texts become one."""
+    a, b, c, d, e = (" ".join(f"{x}{k}" for k in range(60)) for x in "abcde")
+    rows = [(1, a), (1, b), (None, c), (None, d), (None, a + " more"), (2, b), (2, e), (2, e), (None, d), (3, ""), (3, ""), (3, None), (None, None), (None, None), (None, " ")]
+    kept = setjoin.keep_one(docs_of(spark, [(i, t, "en", "s") for i, t in rows]).repartition(3))
+    key = lambda x: tuple((v is not None, v) for v in x)
+    assert sorted(((r.doc_id, r.text) for r in kept.collect()), key=key) == sorted([(1, a), (1, b), (None, c), (None, d), (2, e), (3, ""), (3, None), (None, None), (None, " ")], key=key)
+
+
 def test_components_of_a_chain(spark):
     """A shuffled chain of 2,000 nodes, a shorter one, a star and a pair."""
     rng = random.Random(5)

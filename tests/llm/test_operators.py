@@ -99,6 +99,26 @@ def test_quality_edges(odd, empty):
     assert kept.columns == odd.columns and kept.count() == len(odd_rows()) - 4
 
 
+def test_quality_of_other_languages(spark, docs):
+    """Clean texts of a language without a fixed list stay, noise among them goes; unknown languages are not judged."""
+    rng = random.Random(6)
+    syllable = lambda: "".join(rng.choice(x) for x in ("bcdfglmnprstvz", "aeiou"))
+    word = lambda: "".join(syllable() for _ in range(rng.randint(2, 4)))
+    small_words = "di che il la un per non una sono con del si da come ma le anche se i al piu della ha questo nel".split()
+    clean = lambda: " ".join(rng.choice(small_words) if rng.random() < 0.45 else word() for _ in range(260))
+    noise = [" ".join(word() for _ in range(260)), " ".join("#%&*" * 2 + str(rng.random()) for _ in range(260))]
+    made = [(1_000_000 + k, clean(), "it", "s") for k in range(30)] + [(1_000_100 + k, t, "it", "s") for k, t in enumerate(noise)]
+    made += [(1_000_200 + k, clean(), lang, "s") for k, lang in enumerate([None, "", None])]
+    both = docs.select("doc_id", "text", "lang").union(docs_of(spark, made).select("doc_id", "text", "lang"))
+    out = {r.doc_id: r for r in quality.assess(both).collect()}
+    kept = {r.doc_id for r in quality.keep_good(both).collect()}
+    assert kept == {i for i, r in out.items() if r.kept}
+    assert all(out[i].kept == (not 1_000_100 <= i < 1_000_200) for i, _, _, _ in made)
+    assert all(out[1_000_200 + k].class_js is None and out[1_000_200 + k].word_js is None for k in range(3))
+    given = {r.doc_id: r for r in quality.assess(docs).collect()}
+    assert all(out[i] == r for i, r in given.items())
+
+
 # --- join ----------------------------------------------------------------------------------------------------------
 
 LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")

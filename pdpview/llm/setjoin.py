@@ -9,12 +9,19 @@ Sets: distinct 5-word shingles as 64-bit hashes. Documents with equal sets are o
 2. Index. A set needs 80 % of its shingles shared to have any partner; others leave. A set's shared shingles are
    ordered from rare to frequent (its private ones come before all), and by the prefix principle two sets can only
    link if they meet in the index list of one of their first n - ceil(0.8 n) + 1 shingles.
-3. Answers from similar sets. In every index list all sets are compared with the list's most central set (fewest
-   private shingles). Linked sets share a component, so within a list only pairs whose components still differ are
-   of interest: whole lists and all pairs inside a component are skipped.
-4. Rest. Left-over sets of a list are compared with the sets of other components in it, skipping by position (the
-   places of the meeting shingle in both sets bound their overlap), by size, and by a parity bitmap that bounds the
-   symmetric difference from below. What passes is verified exactly. No list or candidate is capped.
+3. Centres. In every index list all sets are compared with the list's centre (the set with the fewest private
+   shingles), then with a random one. Linked sets share a component, so within a list only pairs whose components
+   still differ are of interest: whole lists and all pairs inside a component are skipped.
+4. Answers from similar sets, for left-over sets of long lists. The centre's answers are known, and a set's answers
+   follow from how the set differs from the centre: two sets whose differences from it have d1 and d2 shingles differ
+   in d1 + d2 less twice what the differences share, so to link they must share a known number of differing shingles.
+   Those are indexed instead of the sets. They are ordered by how many members differ in them, members are cut into
+   blocks by the size of their difference, and a list of differing shingles is split by pairs of blocks: a member is
+   in it only if its place (differing shingles from there on) lets it meet that block's bound; else the block is skipped.
+   So a group of G near copies with U members that link to nothing costs about G, not U x G.
+   Lists of up to ``short`` sets are one block: their left-over pairs pass by position (the places of the meeting
+   shingle bound the overlap), size, and a parity bitmap that bounds the symmetric difference from below.
+What passes is verified exactly. No list or candidate is capped.
 
 Components come from minimum labels: each round jumps one pointer and lowers nodes and the nodes their labels name, until
 nothing moves (12 rounds on chains of 2,000 in random order); each round is written to the shared folder.
@@ -34,7 +41,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .texts import drop_stored, give_back, stored
+from .texts import Scratch, give_back, stored
 
 #: A-Z to a-z in UTF-8 bytes.
 LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
@@ -42,6 +49,8 @@ MIX = np.uint64(0x9E3779B97F4A7C15)
 BITMAP_WORDS = 16
 #: In packs for hash ranges, values from here on stand for counts, not for sets; fingerprints never fall there.
 COUNT, COUNT_RANGE = -(1 << 63), 1 << 40
+#: So many keys of a frame are treated as hot, if they have so many rows and the frame so many bytes; shares of each.
+HOT_KEYS, HOT_ROWS, HOT_BYTES, SHARES = 500, 1000, 1 << 20, 64
 
 
 @dataclass(frozen=True)
@@ -50,15 +59,19 @@ class JoinConfig:
     #: Links need 100 * intersection >= percent * union.
     percent: int = 80
     #: Hashes that a task packs at a time.
-    pack: int = 800_000
+    pack: int = 500_000
     #: Hash ranges for each shuffle partition.
-    ranges: int = 4
+    ranges: int = 6
     #: Texts that are split at a time.
     texts: int = 256
     #: A shingle in so many different sets of one pack is counted there; its sets do not go to its range's task.
     heavy: int = 16
     #: Rounds of comparing index lists with one set.
     rounds: int = 2
+    #: Lists of so many sets are one block: left-over pairs are formed directly. Longer ones go by differences.
+    short: int = 32
+    #: A block of members spans differences of one shingle, or of this part of their centre's shingles.
+    blocks: int = 128
 
 
 def finish(h: np.ndarray) -> np.ndarray:
@@ -151,7 +164,7 @@ def unpack(raw: bytes, n: int) -> tuple[np.ndarray, np.ndarray]:
     return np.cumsum(d, dtype=np.uint64), o
 
 
-def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str) -> DataFrame:
+def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str, keep: Scratch) -> DataFrame:
     """fp, tok, df: the shingles that at least two different sets hold, for each set that holds them."""
     ranges = cfg.ranges * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
@@ -246,7 +259,7 @@ def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str) -> DataFram
         return pa.table({"fp": fp, "tok": tok, "df": np.concatenate([each[rows], df[frequent]]).astype(np.int64)})
 
     packed = docs.select(text_col).mapInArrow(blocks, "p int, n long, fps binary, packed binary")
-    met = stored(packed.groupBy("p").applyInArrow(meet, "fp long, tok long, df long"), "shared")
+    met = keep(packed.groupBy("p").applyInArrow(meet, "fp long, tok long, df long"), "shared")
     often = met.filter("df IS NULL").select("fp", "tok").join(met.filter("fp IS NULL").select("tok", "df").hint("merge"), "tok")
     return met.filter("fp IS NOT NULL AND df IS NOT NULL").unionByName(often)
 
@@ -274,31 +287,54 @@ def index_nodes(shared: DataFrame, sizes: DataFrame, cfg: JoinConfig) -> DataFra
     return r.mapInArrow(bitmaps, "fp long, n long, u long, toks array<long>, bits array<long>")
 
 
-def components(edges: DataFrame) -> DataFrame:
+def hot_keys(df: DataFrame, key: str) -> list:
+    """The most frequent keys of a stored frame, at most ``HOT_KEYS`` of them; small frames have none that matter."""
+    if int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()) < HOT_BYTES:
+        return []
+    sizes = df.filter(F.col(key).isNotNull()).groupBy(key).agg(F.count("*").alias("k")).filter(F.col("k") >= HOT_ROWS)
+    return [r[0] for r in sizes.orderBy(F.desc("k")).limit(HOT_KEYS).select(key).collect()]
+
+
+def lookup(left: DataFrame, right: DataFrame, key: str, other: str, how: str = "inner", hot: list | None = None) -> DataFrame:
+    """``left`` with the columns of ``right``, which has one row for a key at most.
+
+    Rows of ``left`` with a hot key (or none) are dealt out by the hash of the column ``other``, and a hot key's row of
+    ``right`` is repeated for each share: no task meets such a key's rows alone.
+    """
+    hot = hot_keys(left, key) if hot is None else hot
+    is_hot = F.col(key).isin(hot) if hot else F.lit(False)
+    dealt = left.withColumn("__share", F.when(F.col(key).isNull() | is_hot, F.pmod(F.xxhash64(other), F.lit(SHARES))).otherwise(F.lit(0)).cast("int"))
+    given = right.withColumn("__share", F.explode(F.when(is_hot, F.sequence(F.lit(0), F.lit(SHARES - 1))).otherwise(F.array(F.lit(0)))) if hot else F.lit(0))
+    return dealt.join(given.hint("merge"), [key, "__share"], how).drop("__share")
+
+
+def components(edges: DataFrame, keep: Scratch) -> DataFrame:
     """v, c: the smallest node reachable from each node of ``edges`` (a, b)."""
-    both = stored(edges.select("a", "b").union(edges.select(F.col("b"), F.col("a"))).distinct(), "edges")
-    now = stored(both.groupBy(F.col("a").alias("v")).agg(F.min("b").alias("m")).select("v", F.least("v", "m").alias("c")), "labels")
+    both = keep(edges.select("a", "b").union(edges.select(F.col("b"), F.col("a"))).distinct(), "edges")
+    hubs = hot_keys(both, "b")
+    now = keep(both.groupBy(F.col("a").alias("v")).agg(F.min("b").alias("m")).select("v", F.least("v", "m").alias("c")), "labels")
     while True:  # labels only fall, and each is a node, so this ends
         jump = now.select(F.col("v").alias("c"), F.col("c").alias("cc"))
-        far = now.join(jump.hint("merge"), "c")
-        near = both.join(far.select(F.col("v").alias("b"), "cc").hint("merge"), "b").groupBy(F.col("a").alias("v")).agg(F.min("cc").alias("m"))
+        far = lookup(now, jump, "c", "v")
+        near = lookup(both, far.select(F.col("v").alias("b"), "cc"), "b", "a", hot=hubs).groupBy(F.col("a").alias("v")).agg(F.min("cc").alias("m"))
         # the least label next to a node lowers the node and the node that its label names
         low = far.join(near.hint("merge"), "v").select("v", "c", F.least("cc", "m").alias("m"))
         low = low.select(F.explode(F.array(F.struct("v", "c", "m"), F.struct(F.col("c").alias("v"), F.lit(None).cast("long").alias("c"), "m"))).alias("x")).select("x.*")
-        new = stored(low.groupBy("v").agg(F.max("c").alias("was"), F.min("m").alias("c")), "labels")
+        new = keep(low.groupBy("v").agg(F.max("c").alias("was"), F.min("m").alias("c")), "labels")
         moved = new.filter("c <> was").limit(1).count()
-        drop_stored(now)
+        keep.drop_previous()
         now = new.select("v", "c")
         if not moved:
             break
     return now
 
 
-def verified(pairs: DataFrame, nodes: DataFrame, cfg: JoinConfig) -> DataFrame:
+def verified(pairs: DataFrame, nodes: DataFrame, cfg: JoinConfig, keep: Scratch) -> DataFrame:
     """a, b of the pairs that link: exact intersection of the shared shingles (private ones cannot meet)."""
     left = nodes.select(F.col("fp").alias("a"), F.col("n").alias("na"), F.col("toks").alias("ta"))
     right = nodes.select(F.col("fp").alias("b"), F.col("n").alias("nb"), F.col("toks").alias("tb"))
-    both = pairs.join(left.hint("merge"), "a").join(right.hint("merge"), "b")
+    pairs = keep(pairs, "pairs")
+    both = lookup(lookup(pairs, left, "a", "b"), right, "b", "a", hot=hot_keys(pairs, "b"))
     m = F.size(F.array_intersect("ta", "tb"))
     return both.filter(100 * m >= cfg.percent * (F.col("na") + F.col("nb") - m)).select("a", "b")
 
@@ -313,55 +349,125 @@ def pair_columns(x: Column, y: Column) -> list[Column]:
     return [F.least(x, y).alias("a"), F.greatest(x, y).alias("b")]
 
 
-def links(docs: DataFrame, sizes: DataFrame, cfg: JoinConfig, text_col: str) -> DataFrame:
+def short_list_pairs(mixed: DataFrame, nodes: DataFrame, cfg: JoinConfig) -> DataFrame:
+    """a, b: candidates of lists that are one block. ``mixed``: tok, fp, n, u, at, c, main (the list's largest component)."""
+    d = mixed.join(nodes.select("fp", "bits").hint("merge"), "fp")
+    rest = d.filter("c <> main").select("tok", *(F.col(x).alias(x + "2") for x in ("fp", "n", "u", "at", "c", "bits")))
+    apart = F.aggregate(F.zip_with("bits", "bits2", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
+    both = (
+        (F.col("c") != F.col("c2"))
+        & ((F.col("c") == F.col("main")) | (F.col("fp") < F.col("fp2")))
+        & can_link(cfg, F.col("n"), F.col("n2"), F.col("at"), F.col("at2"))
+        & ((100 + cfg.percent) * (F.col("u") + F.col("u2") + apart) <= (100 - cfg.percent) * (F.col("n") + F.col("n2")))
+    )
+    met = d.alias("l").join(rest.alias("r").hint("merge"), (F.col("l.tok") == F.col("r.tok")) & both)
+    return met.select(*pair_columns(F.col("fp"), F.col("fp2"))).distinct()
+
+
+def differences(members: DataFrame, nodes: DataFrame, cfg: JoinConfig) -> DataFrame:
+    """How each member differs from its centre: home, fp, c, d (shingles in one of the two only), q, own, toks, tail, width.
+
+    ``toks`` are the differing shingles that another member of the centre differs in too, rare first; ``own`` is the
+    number of the others, which come before them; ``tail`` the number of the centre's private shingles, in which all
+    members differ, at the end; ``width`` is that of a block in ``q``. ``q`` is (100 + p) d - (100 - p) n: two members link
+    exactly if their differences have at least (q1 + q2) / (2 (100 + p)) shingles in common.
+    """
+    one = nodes.select("fp", "n", "u", "toks")
+    both = lookup(members.join(one.hint("merge"), "fp"), one.select(F.col("fp").alias("home"), F.col("u").alias("tail"), F.col("toks").alias("base"), F.col("n").alias("size")), "home", "fp", hot=hot_keys(members, "home"))
+    both = both.select("home", "fp", "c", "n", "u", "tail", "size", F.concat(F.array_except("toks", "base"), F.array_except("base", "toks")).alias("apart"))
+    both = both.withColumn("d", F.col("u") + F.col("tail") + F.size("apart")).drop("u")
+    each = both.select("home", "fp", F.explode("apart").alias("tok"))
+    often = each.groupBy("home", "tok").agg(F.count("*").alias("f")).filter("f > 1")
+    ranked = each.join(often.hint("merge"), ["home", "tok"]).groupBy("home", "fp").agg(F.sort_array(F.collect_list(F.struct("f", "tok"))).alias("t"))
+    out = both.drop("apart").join(ranked.select("home", "fp", F.col("t.tok").alias("toks")).hint("merge"), ["home", "fp"], "left")
+    out = out.withColumn("toks", F.coalesce("toks", F.array().cast("array<long>")))
+    width = (100 + cfg.percent) * F.greatest(F.lit(1), F.floor(F.col("size") / cfg.blocks))
+    q = (100 + cfg.percent) * F.col("d") - (100 - cfg.percent) * F.col("n")
+    return out.select("home", "fp", "c", "d", q.alias("q"), (F.col("d") - F.col("tail") - F.size("toks")).alias("own"), "toks", "tail", width.alias("width"))
+
+
+def offered(d: DataFrame, kinds: DataFrame, partners: str, cfg: JoinConfig) -> DataFrame:
+    """The shingles that each member offers to each block of partners: home, fp, c, main, q, kind (its own block), other
+    (the partners' block), tok (null: the centre's private ones), left (differing shingles from this one on)."""
+    x = lookup(d, kinds.select("home", F.col(partners).alias("others")), "home", "fp").withColumn("other", F.explode("others"))
+    common = F.greatest(F.lit(1), F.ceil((F.col("q") + F.col("other") * F.col("width")) / (2 * (100 + cfg.percent))))
+    x = x.withColumn("reach", (F.col("d") - common + 1 - F.col("own")).cast("int")).filter("reach > 0")
+    whole = F.when((F.col("reach") > F.size("toks")) & (F.col("tail") > 0), F.concat(F.col("toks"), F.array(F.lit(None).cast("long")))).otherwise(F.col("toks"))
+    x = x.select("home", "fp", "c", "main", "q", "d", "own", "kind", "other", F.posexplode(F.slice(whole, 1, F.col("reach"))).alias("i", "tok"))
+    return x.withColumn("left", F.col("d") - F.col("own") - F.col("i")).drop("i", "own", "d")
+
+
+def offers(members: DataFrame, nodes: DataFrame, cfg: JoinConfig, keep: Scratch) -> tuple[DataFrame, DataFrame]:
+    """What left-over members offer, and what all members offer to them."""
+    main = members.groupBy("home", "c").agg(F.count("*").alias("k")).groupBy("home").agg(F.max(F.struct("k", "c")).alias("x"))
+    d = lookup(differences(members, nodes, cfg), main.select("home", F.col("x.c").alias("main")), "home", "fp", hot=hot_keys(members, "home"))
+    d = keep(d.withColumn("kind", F.floor(F.col("q") / F.col("width")).cast("long")), "differences")
+    kinds = d.select("home", "kind", (F.col("c") != F.col("main")).alias("rest")).distinct()
+    kinds = kinds.groupBy("home").agg(F.collect_set("kind").alias("all"), F.collect_set(F.when(F.col("rest"), F.col("kind"))).alias("rest"))
+    return offered(d.filter("c <> main"), kinds, "all", cfg), offered(d, kinds, "rest", cfg)
+
+
+def centre_pairs(members: DataFrame, nodes: DataFrame, cfg: JoinConfig, keep: Scratch) -> DataFrame:
+    """a, b: candidates among the members of long lists, each answered by how it differs from its list's centre.
+
+    ``members``: home (the centre), fp, c (component); pairs of one component are of no interest. Members are cut into
+    blocks by their ``q``. For every block of partners a member offers only as many of its differing shingles, rarest
+    first, as such partners may make it share: blocks in which that is none are skipped as a whole, and what is offered
+    is mostly a member's own and meets nobody. So members that resemble the centre but link to nothing cost no pairs.
+    """
+    mine, theirs = (x.alias(k) for x, k in zip(offers(members, nodes, cfg, keep), "lr", strict=True))
+    on = (F.col("l.home") == F.col("r.home")) & F.col("l.tok").eqNullSafe(F.col("r.tok")) & (F.col("l.kind") == F.col("r.other")) & (F.col("l.other") == F.col("r.kind"))
+    may = (
+        (F.col("l.c") != F.col("r.c"))
+        & ((F.col("r.c") == F.col("r.main")) | (F.col("l.fp") < F.col("r.fp")))
+        & (2 * (100 + cfg.percent) * F.least("l.left", "r.left") >= F.col("l.q") + F.col("r.q"))
+    )
+    return mine.join(theirs.hint("merge"), on & may).select(*pair_columns(F.col("l.fp"), F.col("r.fp"))).distinct()
+
+
+def links(docs: DataFrame, sizes: DataFrame, cfg: JoinConfig, text_col: str, keep: Scratch) -> DataFrame:
     """a, b: enough links between different sets to connect every component of the full link graph."""
-    nodes = stored(index_nodes(shared_shingles(docs, cfg, text_col), sizes, cfg), "nodes")
+    nodes = keep(index_nodes(shared_shingles(docs, cfg, text_col, keep), sizes, cfg), "nodes")
     first = F.col("n") - needed(F.col("n"), cfg.percent) + 1 - F.col("u")
     lists = nodes.filter(first > 0).select("fp", "n", "u", F.posexplode(F.slice("toks", 1, first.cast("int"))).alias("i", "tok"))
-    lists = stored(lists.select("tok", "fp", "n", "u", (F.col("u") + F.col("i")).alias("at")), "lists")
-    found, labels = None, None
+    lists = keep(lists.select("tok", "fp", "n", "u", (F.col("u") + F.col("i")).alias("at")), "lists")
+    found = nodes.limit(0).select(F.col("fp").alias("a"), F.col("fp").alias("b"))
     labelled = lists.withColumn("c", F.col("fp"))
     for k in range(cfg.rounds):
         # the centre of a list: first the set with the fewest private shingles, then any
-        rank = F.struct("u", "n", "fp") if k == 0 else F.struct(F.xxhash64("fp", F.lit(k)).alias("u"), "n", "fp")
+        rank = F.struct("u", "n", "fp", "at", "c") if k == 0 else F.struct(F.xxhash64("fp", F.lit(k)).alias("h"), "fp", "n", "at", "c")
         centre = labelled.groupBy("tok").agg(F.min(rank).alias("x"), F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo < hi")
-        centre = labelled.select("tok", F.col("fp").alias("f2"), F.col("c").alias("c2"), F.col("n").alias("n2"), F.col("at").alias("at2")).join(centre.select("tok", F.col("x.fp").alias("f2")).hint("merge"), ["tok", "f2"])
-        p = labelled.join(centre.hint("merge"), "tok").filter((F.col("c") != F.col("c2")) & can_link(cfg, F.col("n"), F.col("n2"), F.col("at"), F.col("at2")))
-        new = verified(p.select(*pair_columns(F.col("fp"), F.col("f2"))).distinct(), nodes, cfg)
-        found = stored(new if found is None else found.unionByName(new), "links")
-        labels = components(found)
-        labelled = stored(lists.join(labels.withColumnRenamed("v", "fp").hint("merge"), "fp", "left").withColumn("c", F.coalesce("c", "fp")), "lists")
+        centre = centre.select("tok", *(F.col(f"x.{c}").alias(c + "2") for c in ("fp", "n", "at", "c")))
+        p = lookup(labelled, centre, "tok", "fp").filter((F.col("c") != F.col("c2")) & can_link(cfg, F.col("n"), F.col("n2"), F.col("at"), F.col("at2")))
+        new = verified(p.select(*pair_columns(F.col("fp"), F.col("fp2"))).distinct(), nodes, cfg, keep)
+        labels = components(found.unionByName(new), keep)
+        found = labels.filter("v <> c").select(F.col("c").alias("a"), F.col("v").alias("b"))  # the same components
+        labelled = keep(lists.join(labels.withColumnRenamed("v", "fp").hint("merge"), "fp", "left").withColumn("c", F.coalesce("c", "fp")), "lists")
     # what is left: lists that still hold several components
-    share = labelled.groupBy("tok", "c").agg(F.count("*").alias("k"))
-    main = share.groupBy("tok").agg(F.max(F.struct("k", "c")).alias("x"), F.count("*").alias("cs")).filter("cs > 1").select("tok", F.col("x.c").alias("main"))
-    mixed = labelled.join(main.hint("merge"), "tok").join(nodes.select("fp", "bits").hint("merge"), "fp")
-    mixed = stored(mixed, "mixed")
-    rest = mixed.filter("c <> main").select("tok", *(F.col(x).alias(x + "2") for x in ("fp", "n", "u", "at", "c", "bits")))
-    apart = F.aggregate(F.zip_with("bits", "bits2", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
-    both = (
-        (F.col("c") != F.col("c2"))
-        & ((F.col("c") == F.col("main")) | (F.col("fp") < F.col("fp2")))
-        & can_link(cfg, F.col("n"), F.col("n2"), F.col("at"), F.col("at2"))
-        & ((100 + cfg.percent) * (F.col("u") + F.col("u2") + apart) <= (100 - cfg.percent) * (F.col("n") + F.col("n2")))
-    )
-    left = mixed.alias("l").join(rest.alias("r").hint("merge"), (F.col("l.tok") == F.col("r.tok")) & both)
-    last = verified(left.select(*pair_columns(F.col("fp"), F.col("fp2"))).distinct(), nodes, cfg)
-    return found.unionByName(last)
+    share = labelled.groupBy("tok", "c").agg(F.count("*").alias("k"), F.min(F.struct("u", "n", "fp")).alias("x"))
+    share = share.groupBy("tok").agg(F.max(F.struct("k", "c")).alias("most"), F.count("*").alias("cs"), F.sum("k").alias("m"), F.min("x").alias("x")).filter("cs > 1")
+    mixed = keep(lookup(labelled, share.select("tok", F.col("most.c").alias("main"), "m", F.col("x.fp").alias("home")), "tok", "fp"), "mixed")
+    short = short_list_pairs(mixed.filter(F.col("m") <= cfg.short), nodes, cfg)
+    members = mixed.filter((F.col("m") > cfg.short) & (F.col("fp") != F.col("home"))).select("home", "fp", "c").distinct()
+    members = keep(members, "members")
+    last = short.union(centre_pairs(members, nodes, cfg, keep)).distinct()
+    return found.unionByName(verified(last, nodes, cfg, keep))
 
 
 def labelled_sets(docs: DataFrame, cfg: JoinConfig, id_col: str, text_col: str) -> DataFrame:
     """doc_id, n, fp, text_hash, c (least fp of the component; null without shingles) for each row of ``docs``."""
-    d = stored(document_sets(docs, cfg, id_col, text_col), "sets")
-    sizes = d.filter("n > 0").groupBy("fp").agg(F.max("n").alias("n"))
-    labels = components(links(docs, sizes, cfg, text_col))
-    return stored(d.join(labels.withColumnRenamed("v", "fp").hint("merge"), "fp", "left").withColumn("c", F.coalesce("c", "fp")), "labelled")
+    with Scratch(docs.sparkSession) as keep:
+        d = keep(document_sets(docs, cfg, id_col, text_col), "sets")
+        sizes = d.filter("n > 0").groupBy("fp").agg(F.max("n").alias("n"))
+        labels = components(links(docs, sizes, cfg, text_col, keep), keep)
+        return stored(lookup(d, labels.withColumnRenamed("v", "fp"), "fp", "doc_id", "left").withColumn("c", F.coalesce("c", "fp")), "labelled")
 
 
 def join_components(docs: DataFrame, cfg: JoinConfig = JoinConfig(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id, fp for each row of ``docs``."""
     d = labelled_sets(docs, cfg, id_col, text_col)
     least = d.filter("n > 0").groupBy("c").agg(F.min("doc_id").alias("component_id"))
-    out = d.filter("n > 0").join(least.hint("merge"), "c").select("doc_id", F.col("n").alias("n_shingles"), "component_id", "fp")
+    out = lookup(d.filter("n > 0"), least, "c", "doc_id").select("doc_id", F.col("n").alias("n_shingles"), "component_id", "fp")
     alone = d.filter("n = 0").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"), "fp")
     return out.unionByName(alone)
 

@@ -22,7 +22,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .texts import drop_stored, stored
+from .texts import Scratch, stored
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -41,7 +41,7 @@ class Rule:
 @dataclass(frozen=True)
 class RankConfig:
     damping: float = 0.85
-    max_steps: int = 30
+    #: Scores are iterated until none moves by more; each round shrinks moves by the damping, so the rounds are few.
     tolerance: float = 1e-6
     block_from: float = 0.5
 
@@ -73,30 +73,36 @@ def host_edges(pages: DataFrame, html: str = "html") -> DataFrame:
 def propagate(seeds: DataFrame, edges: DataFrame, cfg: RankConfig = RankConfig()) -> DataFrame:
     """host, trust, distrust, own_ (the seeds), all_ (the scores if every seed were 1), linked: ``seeds`` has host,
     trust, distrust; hosts that are only linked to are added."""
-    edges = stored(edges, "edges")
-    if edges.isEmpty():
-        return seeds.select("host", "trust", "distrust", F.col("trust").alias("own_trust"), F.col("distrust").alias("own_distrust"), F.lit(1.0).alias("all_trust"), F.lit(1.0).alias("all_distrust"), F.lit(False).alias("linked"))
+    with Scratch(seeds.sparkSession) as keep:
+        edges = keep(edges, "edges")
+        if not edges.isEmpty():
+            return stored(flow(seeds, edges, cfg, keep), "ranks")
+    return seeds.select("host", "trust", "distrust", F.col("trust").alias("own_trust"), F.col("distrust").alias("own_distrust"), F.lit(1.0).alias("all_trust"), F.lit(1.0).alias("all_distrust"), F.lit(False).alias("linked"))
+
+
+def flow(seeds: DataFrame, edges: DataFrame, cfg: RankConfig, keep: Scratch) -> DataFrame:
+    """``propagate`` over at least one edge."""
     out_sum, in_sum = edges.groupBy("src").agg(F.sum("n").alias("o")), edges.groupBy("dst").agg(F.sum("n").alias("i"))
-    flows = stored(edges.join(out_sum, "src").join(in_sum, "dst").select("src", "dst", (F.col("n") / F.col("o")).alias("w_out"), (F.col("n") / F.col("i")).alias("w_in")), "flows")
+    flows = keep(edges.join(out_sum, "src").join(in_sum, "dst").select("src", "dst", (F.col("n") / F.col("o")).alias("w_out"), (F.col("n") / F.col("i")).alias("w_in")), "flows")
     ends = flows.select(F.col("src").alias("host")).union(flows.select(F.col("dst").alias("host"))).distinct()
     base = ends.join(seeds, "host", "full").select("host", *(F.coalesce(c, F.lit(0.0)).alias("own_" + c) for c in ("trust", "distrust")))
     base = base.join(out_sum.select(F.col("src").alias("host"), F.lit(True).alias("gives")), "host", "left").join(in_sum.select(F.col("dst").alias("host"), F.lit(True).alias("taken")), "host", "left")
-    base = stored(base.fillna(False, ["gives", "taken"]), "hosts")
+    base = keep(base.fillna(False, ["gives", "taken"]), "hosts")
     ahead_of, back_of = ("trust", "all_trust"), ("distrust", "all_distrust")
     scores = (*ahead_of, *back_of)
     seed = {"trust": F.col("own_trust"), "distrust": F.col("own_distrust"), "all_trust": F.lit(1.0), "all_distrust": F.lit(1.0)}
     now = base.select("host", *(seed[c].alias(c) for c in scores))
     first, a = True, cfg.damping
-    for _ in range(cfg.max_steps):
+    while True:
         ahead = flows.join(now.select(F.col("host").alias("src"), *ahead_of), "src").select(F.col("dst").alias("host"), *((F.col(c) * F.col("w_out")).alias("to_" + c) for c in ahead_of), *(F.lit(0.0).alias("to_" + c) for c in back_of))
         back = flows.join(now.select(F.col("host").alias("dst"), *back_of), "dst").select(F.col("src").alias("host"), *(F.lit(0.0).alias("to_" + c) for c in ahead_of), *((F.col(c) * F.col("w_in")).alias("to_" + c) for c in back_of))
         got = ahead.unionByName(back).groupBy("host").agg(*(F.sum("to_" + c).alias("to_" + c) for c in scores))
         score = lambda c: (1 - a) * seed[c] + a * (F.coalesce("to_" + c, F.lit(0.0)) + F.when(F.col("gives" if c in ahead_of else "taken"), 0.0).otherwise(F.col(c)))
         new = base.join(now, "host").join(got, "host", "left").select("host", *(score(c).alias(c) for c in scores), *(F.col(c).alias("old_" + c) for c in scores))
-        new = stored(new, "ranks")
+        new = keep(new, "ranks")
         moved = new.agg(F.max(F.greatest(*(F.abs(F.col(c) - F.col("old_" + c)) for c in scores)))).first()[0]
         if not first:
-            drop_stored(now)
+            keep.drop_previous()
         now, first = new.select("host", *scores), False
         if moved is None or moved < cfg.tolerance:
             break

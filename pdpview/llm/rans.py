@@ -2,14 +2,15 @@
 
 A segment is one self-contained byte string:
 
-    header  magic 'RTS1', scale bits, documents, tokens, symbols, blocks (little-endian 32/64 bit)
+    header  magic 'RTS2', scale bits, documents, tokens, symbols, blocks, checkpoint rows (little-endian 32/64 bit)
     tables  zstandard-packed: document ids, document lengths, symbols and their normalised frequencies; with crc32
     index   for each block: tokens, lanes, checkpoints, words, byte offset, crc32 of its bytes
     blocks  for each block: lane states at its start and at each checkpoint with the word offset there, then words
 
 All blocks of a segment share one frequency table. A block deals its tokens to lanes round robin; every lane keeps
 a 63-bit state and spills 32-bit words into one stream in decoding order, so a row of lanes is one numpy step.
-Decoding may begin at any block, and inside a block at any checkpoint; each block is checked by its crc32.
+Decoding may begin at any block, and inside a block at any checkpoint; each block is checked by its crc32,
+and a decoder that reaches a block's end checks that every lane is back in its first state and no word is left over.
 """
 
 from __future__ import annotations
@@ -20,8 +21,8 @@ from dataclasses import dataclass
 
 import numpy as np
 
-MAGIC = b"RTS1"
-HEADER = struct.Struct("<4sIQQII")
+MAGIC = b"RTS2"
+HEADER = struct.Struct("<4sIQQIII")
 TABLES = struct.Struct("<IIIIII")
 INDEX = struct.Struct("<IIIIQI")
 LOW = np.uint64(1 << 31)
@@ -93,7 +94,7 @@ def encode_block(symbols: np.ndarray, freq: np.ndarray, cum: np.ndarray, bits: i
 
 
 def decode_rows(x: np.ndarray, words: np.ndarray, at: int, n: int, tables: tuple, bits: int) -> np.ndarray:
-    """``n`` symbol numbers from lane states ``x`` and the words from ``at`` on."""
+    """The last ``n`` symbol numbers of a block from lane states ``x`` and the words from ``at`` on."""
     slot_symbol, freq, cum = tables
     w, out = len(x), np.empty(n, np.uint32)
     k, mask = np.uint64(bits), np.uint64((1 << bits) - 1)
@@ -110,6 +111,8 @@ def decode_rows(x: np.ndarray, words: np.ndarray, at: int, n: int, tables: tuple
             xs[low] = (xs[low] << WORD) | words[at : at + m].astype(np.uint64)
             at += m
         x[: b - a] = xs
+    if at != len(words) or (x != LOW).any():
+        raise ValueError("the block does not end where its tokens do")
     return out
 
 
@@ -152,19 +155,19 @@ def encode_segment(doc_ids: list[int | None], lengths: np.ndarray, ids: np.ndarr
     for n, w, marks, words, body in blocks:
         index.append(INDEX.pack(n, w, marks, words, offset, zlib.crc32(body)))
         offset += len(body)
-    head = HEADER.pack(MAGIC, bits, len(doc_ids), len(ids), len(known), len(blocks))
+    head = HEADER.pack(MAGIC, bits, len(doc_ids), len(ids), len(known), len(blocks), cfg.checkpoint_rows)
     lens = TABLES.pack(*(len(p) for p in packed), zlib.crc32(head + tables + b"".join(index)))
     return b"".join([head, lens, tables, *index, *(b[-1] for b in blocks)])
 
 
 class Segment:
-    """A parsed segment; blocks decode independently."""
+    """A parsed segment; blocks decode independently, whatever settings it was written with."""
 
-    def __init__(self, blob: bytes, cfg: RansConfig = RansConfig()):
+    def __init__(self, blob: bytes):
         import zstandard
 
         z = zstandard.ZstdDecompressor()
-        magic, self.bits, n_docs, self.n_tokens, n_symbols, n_blocks = HEADER.unpack_from(blob)
+        magic, self.bits, n_docs, self.n_tokens, n_symbols, n_blocks, self.checkpoint_rows = HEADER.unpack_from(blob)
         if magic != MAGIC:
             raise ValueError("not a token segment")
         *sizes, crc = TABLES.unpack_from(blob, HEADER.size)
@@ -184,7 +187,7 @@ class Segment:
         self.known = np.cumsum(np.frombuffer(parts[3], "<u4").astype(np.int64)).astype(np.uint32)
         freq = np.frombuffer(parts[4], "<u4").astype(np.int64)
         self.blocks = [INDEX.unpack_from(blob, at + INDEX.size * i) for i in range(n_blocks)]
-        self.base, self.blob, self.cfg = end, blob, cfg
+        self.base, self.blob = end, blob
         cum = np.concatenate([[0], np.cumsum(freq)[:-1]]) if n_symbols else freq
         self.tables = (np.repeat(np.arange(n_symbols, dtype=np.uint32), freq), freq.astype(np.uint64), cum.astype(np.uint64))
 
@@ -201,7 +204,7 @@ class Segment:
             at, x = struct.unpack_from("<Q", body, where)[0], np.frombuffer(body, "<u8", w, where + 8)
         else:
             at, x = 0, np.frombuffer(body, "<u8", w, 0)
-        left = n - checkpoint * self.cfg.checkpoint_rows * w
+        left = n - checkpoint * self.checkpoint_rows * w
         return self.known[decode_rows(x.astype(np.uint64), words, at, left, self.tables, self.bits)]
 
     def ids(self) -> np.ndarray:

@@ -4,9 +4,10 @@ For each language a raw-content zstandard dictionary is filled with whole traini
 with every dictionary; the language whose dictionary gives the smallest output wins. When the smallest and the
 second smallest differ by less than ``margin`` of the smallest, the call is rejected (``narrow``).
 
-The dictionaries are fitted on a bounded sample: in each language, of texts of at most ``max_chars`` characters,
-one per hash bucket of the id (``buckets`` of them), as many as fit ``dictionary_bytes``. Prediction reads whole
-texts.
+The dictionaries are fitted on a bounded sample: in each language, one text per hash bucket of the id (``buckets`` of
+them), of a longer text a stretch of ``max_chars`` characters from a place that its id picks, as many as fit
+``dictionary_bytes``. Every language is learned; more than ``max_langs`` values of the column raise an error, as they
+are no languages. Prediction reads whole texts.
 
 Edge cases: null texts and texts without a letter give ``und`` with score 0; rows are independent; ties go to the
 first language by name; without any training text every prediction is ``und``.
@@ -27,7 +28,7 @@ class LangConfig:
     dictionary_bytes: int = 64 * 1024
     buckets: int = 64
     max_chars: int = 6000
-    max_langs: int = 256
+    max_langs: int = 4096
     level: int = 9
     #: A text is compressed in parts of so many bytes, each with the dictionary anew: the text's own repeats matter less.
     part_bytes: int = 2048
@@ -35,16 +36,20 @@ class LangConfig:
 
 
 def sample(docs: DataFrame, cfg: LangConfig, id_col: str, text_col: str, lang_col: str) -> dict[str, list[str]]:
-    """At most ``buckets`` training texts of each of at most ``max_langs`` languages."""
+    """At most ``buckets`` training texts of each language."""
     d = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t"), F.col(lang_col).alias("l"))
-    d = d.filter(F.col("l").isNotNull() & ~held_out(F.col("i")) & (F.length("t").between(1, cfg.max_chars)))
+    d = d.filter(F.col("l").isNotNull() & ~held_out(F.col("i")) & (F.length("t") > 0))
     d = d.withColumn("h", F.xxhash64("i"))
     least = d.groupBy("l", F.pmod("h", F.lit(cfg.buckets)).alias("b")).agg(F.min("h").alias("h"))
-    chosen = least.groupBy("l").agg(F.collect_list("h").alias("hs")).orderBy("l").limit(cfg.max_langs).collect()
+    chosen = least.groupBy("l").agg(F.collect_list("h").alias("hs")).limit(cfg.max_langs + 1).collect()
+    if len(chosen) > cfg.max_langs:
+        raise ValueError(f"more than {cfg.max_langs} languages; raise max_langs or clean the column")
     wanted = [h for r in chosen for h in r.hs]  # at most max_langs * buckets numbers
     if not wanted:
         return {}
     ids = docs.sparkSession.createDataFrame([(r.l, h) for r in chosen for h in r.hs], "l string, h long")
+    free = F.greatest(F.length("t") - cfg.max_chars + 1, F.lit(1))
+    d = d.withColumn("t", F.substring("t", F.pmod(F.xxhash64("h"), free) + 1, F.lit(cfg.max_chars)))
     out: dict[str, dict[int, str]] = {}
     for r in d.join(F.broadcast(ids), ["l", "h"]).groupBy("l", "h").agg(F.min("t").alias("t")).collect():
         out.setdefault(r.l, {})[r.h] = r.t

@@ -1,11 +1,13 @@
 """Substring deduplication by sliding spans of sentences.
 
-A sentence ends at ``.``, ``!`` or ``?`` before white space, or at a line end; commas, colons and semicolons end one
-too, and a stretch of more than ``long`` words without any mark is cut after words that their hash picks. So a passage
-pasted into the middle of a sentence still holds complete sentences in this sense. At every sentence a span begins: it
-runs over consecutive sentences until it has ``sentences`` of them and ``least_words`` words, or earlier when it
-reaches ``words`` words. Spans are hashed to 128 bits over their lower-cased words. A span's first occurrence is
-in the document with the smallest id, at its earliest place there; sentences under any other occurrence are cut.
+A sentence ends at ``.``, ``!`` or ``?`` before white space, or at a line end. At every sentence a span begins: it runs
+over consecutive sentences until it has ``sentences`` of them and ``least_words`` words. Spans are hashed to 128 bits
+over their lower-cased words. A span's first occurrence is in the document with the smallest id, at its earliest place
+there; sentences under any other occurrence are cut.
+
+Parameter ``long``: a sentence of more words is cut after words that their hash picks (about every sixth), and its
+pieces count as sentences. Text without marks, and a passage pasted into the middle of a sentence, so still hold
+complete runs; 0 turns it off.
 
 All spans of all documents meet by hash: a partial aggregate gives each hash its first document and keeps hashes
 that occur again, and a join (which Spark splits when one hash is hot) finds the later occurrences.
@@ -31,7 +33,7 @@ from pyspark.sql import functions as F
 
 from .texts import WORDS, map_texts, words_of
 
-SENTENCE_END = re.compile(r"(?<=[.!?,;:])[\x20\x09-\x0D]+|\n[\x20\x09-\x0D]*")
+SENTENCE_END = re.compile(r"(?<=[.!?])[\x20\x09-\x0D]+|\n[\x20\x09-\x0D]*")
 
 
 #: Stands for a null id; it comes before all ids.
@@ -40,11 +42,10 @@ NO_ID = -(1 << 63)
 
 @dataclass(frozen=True)
 class SpanConfig:
-    sentences: int = 3
-    least_words: int = 10
-    words: int = 20
-    #: Longer stretches are cut at about every sixth word.
-    long: int = 20
+    sentences: int = 2
+    least_words: int = 12
+    #: Longer sentences are cut at about every sixth word (0: none).
+    long: int = 16
 
 
 def sentence_bounds(text: str) -> list[tuple[int, int]]:
@@ -75,7 +76,7 @@ def units(text: str, cfg: SpanConfig) -> list[tuple[int, int, str, int]]:
     out = []
     for a, b in sentence_bounds(text):
         words = text[a:b].lower().split()
-        if len(words) <= cfg.long:
+        if not cfg.long or len(words) <= cfg.long:
             out.append((a, b, " ".join(words), len(words)))
         else:
             for x, y in cut_long(text, a, b):
@@ -93,13 +94,13 @@ def spans(text: str | None, cfg: SpanConfig) -> tuple[list[tuple[int, int]], lis
     u = units(text, cfg)
     norm, count = [x[2] for x in u], [x[3] for x in u]
     out, j, total, used = [], 0, 0, 0  # sentences i..j-1 hold ``total`` words, ``used`` of them are not empty
-    n, want, least, few = len(u), cfg.words, cfg.least_words, cfg.sentences
+    n, least, few = len(u), cfg.least_words, cfg.sentences
     for i in range(n):
-        while j < n and total < want and (used < few or total < least):
+        while j < n and (used < few or total < least):
             total += count[j]
             used += count[j] > 0
             j += 1
-        if total < want and (used < few or total < least):
+        if used < few or total < least:
             break
         if count[i]:
             out.append((xxh3_128_digest(" ".join(filter(None, norm[i:j]))), i, j))

@@ -15,6 +15,8 @@ An empty table gives no references and no rows.
 
 from __future__ import annotations
 
+from collections import Counter
+from collections.abc import Iterable
 from dataclasses import dataclass
 
 import numpy as np
@@ -79,11 +81,28 @@ class QualityRules:
     max_word_distance: float = 0.28
 
 
+def class_counts(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """How often each byte comes, and each character class."""
+    bytes_ = np.bincount(np.frombuffer(raw, np.uint8), minlength=256)
+    return bytes_, np.bincount(CLASS, weights=bytes_, minlength=9)[:CLASSES]
+
+
+def word_counts(words: Iterable[tuple[bytes, int]], own: dict[str, int] | None) -> tuple[np.ndarray, np.ndarray | None]:
+    """Common-word histogram of (word, times), and that of learned words ``own``."""
+    common = np.zeros(OTHER_WORD + 1)
+    learned = None if own is None else np.zeros(len(own) + 1)
+    for w, times in words:
+        word = w.lower().decode("utf-8", "replace")
+        common[WORD_CELLS.get(word, OTHER_WORD)] += times
+        if learned is not None:
+            learned[own.get(word, -1)] += times
+    return common, learned
+
+
 def features(text: str | None, own: dict[str, int] | None = None) -> tuple[list[int], np.ndarray, np.ndarray, np.ndarray | None]:
     """Base counts, class histogram and common-word histogram of one whole text, and that of learned words ``own``."""
     raw = (text or "").encode("utf-8", "replace")
-    bytes_ = np.bincount(np.frombuffer(raw, np.uint8), minlength=256)
-    classes = np.bincount(CLASS, weights=bytes_, minlength=9)[:CLASSES]
+    bytes_, classes = class_counts(raw)
     words = raw.split()  # bytes split at exactly the six separators
     n = len(words)
     lines = [x for x in raw.split(b"\n") if x.strip()]
@@ -101,15 +120,7 @@ def features(text: str | None, own: dict[str, int] | None = None) -> tuple[list[
         for k in range(3):
             hit[k : n - 2 + k] |= often
         repeat = int(hit.sum())
-    common = np.zeros(OTHER_WORD + 1)
-    learned = None if own is None else np.zeros(len(own) + 1)
-    if n:
-        per_id = np.bincount(seq, minlength=len(ids))
-        for w, i in ids.items():
-            word = w.lower().decode("utf-8", "replace")
-            common[WORD_CELLS.get(word, OTHER_WORD)] += per_id[i]
-            if learned is not None:
-                learned[own.get(word, -1)] += per_id[i]
+    common, learned = word_counts(zip(ids, np.bincount(seq, minlength=len(ids)), strict=True), own)
     chars = int(bytes_.sum() - bytes_[0x80:0xC0].sum())
     base = [n, chars - int(classes[0]), int(classes[5]), len(lines) - len(set(lines)), repeat]
     return base, classes, common, learned
@@ -170,7 +181,9 @@ def references(docs: DataFrame, text_col: str = "text", lang_col: str = "lang")
             out = {}
             for t, lang in zip(texts, langs, strict=True):
                 if t and (lang in COMMON or lang in cells):
-                    _, c, w, mine = features(t, cells.get(lang))
+                    raw = t.encode("utf-8", "replace")
+                    _, c = class_counts(raw)
+                    w, mine = word_counts(Counter(raw.split()).items(), cells.get(lang))
                     w = w if mine is None else mine
                     a = out.setdefault(lang, np.zeros(CLASSES + len(w)))
                     a[:CLASSES] += c

@@ -14,6 +14,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from pdpview.llm import bpe_count, decontaminate, langid, mixing, quality, rans, registry, sentence_spans, setjoin, token_files, toxicity, url_rules
+from pdpview.llm.texts import Scratch
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, size long, n int, h string, taken long, component_id string"
@@ -192,6 +193,43 @@ def test_keep_one_with_odd_ids(spark):
     assert sorted(((r.doc_id, r.text) for r in kept.collect()), key=key) == sorted([(1, a), (1, b), (None, c), (None, d), (2, e), (3, ""), (3, None), (None, None), (None, " ")], key=key)
 
 
+def group_rows(spark, size):
+    """What the join's last stage makes of one group of near copies: offered shingles, their meetings, candidates."""
+    rng = random.Random(12)
+    word = lambda: "".join(rng.choices("abcdefghijklmnop", k=7))
+    base, rows = [word() for _ in range(150)], []
+    for i in range(size):
+        w = list(base)
+        for _ in range(rng.randint(0, 6)):
+            w[rng.randrange(len(w))] = word()
+        rows.append((i, " ".join(w), "en", "s"))
+    docs, seen = docs_of(spark, rows), {}
+    real = setjoin.offers
+
+    def spy(members, nodes, cfg, keep):
+        mine, theirs = real(members, nodes, cfg, keep)
+        key = lambda d, a, b: d.groupBy("home", F.coalesce("tok", F.lit(0)).alias("tok"), F.col(a).alias("x"), F.col(b).alias("y")).agg(F.count("*").alias("k"))
+        met = key(mine, "kind", "other").join(key(theirs, "other", "kind").withColumnRenamed("k", "k2"), ["home", "tok", "x", "y"])
+        seen.update(members=members.count(), mine=mine.count(), theirs=theirs.count(), met=met.agg(F.sum(F.col("k") * F.col("k2"))).first()[0] or 0)
+        return mine, theirs
+
+    setjoin.offers = spy
+    try:
+        again = sorted((r.doc_id, r.component_id) for r in setjoin.join_components(docs).collect())
+    finally:
+        setjoin.offers = real
+    assert again == sorted((int(a), int(c)) for a, _, c in components_brute([(i, t) for i, t, _, _ in rows]))
+    return seen
+
+
+def test_join_rows_grow_with_the_group(spark):
+    """Rows of the left-over stage for groups of 200, 400 and 800, in which many members link to nothing."""
+    a, b, c = (group_rows(spark, n) for n in (200, 400, 800))
+    assert c["members"] > 400
+    for kind in ("members", "mine", "theirs", "met"):
+        assert b[kind] <= 3 * max(a[kind], 100) and c[kind] <= 3 * max(b[kind], 200), (a, b, c)
+
+
 def test_components_of_a_chain(spark):
     """A shuffled chain of 2,000 nodes, a shorter one, a star and a pair."""
     rng = random.Random(5)
@@ -199,9 +237,11 @@ def test_components_of_a_chain(spark):
     groups = [names[:2_000], names[2_000:2_300], names[2_300:2_398], names[2_398:]]
     pairs = [p for g in (groups[0], groups[1], groups[3]) for p in zip(g[:-1], g[1:], strict=True)] + [(groups[2][0], x) for x in groups[2][1:]]
     rng.shuffle(pairs)
-    got = setjoin.components(spark.createDataFrame([(min(p), max(p)) for p in pairs], "a long, b long")).collect()
+    frame = lambda pairs: spark.createDataFrame([(min(p), max(p)) for p in pairs], "a long, b long")
+    with Scratch(spark) as keep:
+        got = setjoin.components(frame(pairs), keep).collect()
+        assert setjoin.components(frame([]), keep).count() == 0
     assert sorted(map(tuple, got)) == sorted((v, min(g)) for g in groups for v in g)
-    assert setjoin.components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
 # --- mixing --------------------------------------------------------------------------------------------------------
@@ -271,6 +311,71 @@ def test_mixed_documents(docs, odd, empty):
     assert mixing.mix_words(empty).count() == 0 and mixing.mixed_documents(empty).count() == 0
 
 
+def test_mix_keeps_clashing_columns(spark):
+    names = ("__h", "__twin", "__parts", "__words", "__text", "h", "id", "twin", "row", "parts", "new_text", "a.b")
+    rows = [(k % 7, f"w{k % 5} " * (20 + k % 5 * 30), "en", "ab"[k % 2], *range(len(names))) for k in range(40)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, " + ", ".join(f"`{n}` long" for n in names)).repartition(3)
+    out = mixing.mixed_documents(df)
+    assert out.columns == df.columns
+    got = out.collect()
+    assert got and all(tuple(r)[4:] == tuple(range(len(names))) for r in got)
+    assert sum(len(r.text.split()) for r in got) == mixing.mix_words(df).agg(F.sum("taken")).first()[0]
+
+
+def test_mix_order_and_content(spark):
+    """A cut text is a document's words in their order, in runs that begin and end where blocks do."""
+    rows = [(k, " ".join(f"d{k}w{j}" for j in range(rng_size)), "en", "abc"[k % 3]) for k, rng_size in enumerate([500, 10, 64, 129, 7, 300, 1000, 65, 90])]
+    df = docs_of(spark, rows).repartition(2)
+    texts = {i: t.split() for i, t, _, _ in rows}
+    seen = collections.Counter()
+    for r in mixing.mixed_documents(df).collect():
+        words = [int(w.split("w")[1]) for w in r.text.split()]
+        assert all(w.startswith(f"d{r.doc_id}w") for w in r.text.split()) and words == sorted(set(words))
+        assert r.text in " ".join(texts[r.doc_id]) or len(words) < len(texts[r.doc_id])
+        seen[r.doc_id] += len(words)
+    assert {k: v for k, v in seen.items() if v} == {r.doc_id: r.taken for r in mixing.mix_words(df).collect() if r.taken}
+
+
+def test_shards(spark, docs):
+    """Counts of many shards: multinomial draws, settled to the targets; blocks by shard hold the words that are taken."""
+    cfg = mixing.MixConfig(shard_slots=64, block=16)
+    d, facts = mixing.plan(mixing.packed(docs, cfg), cfg)
+    k = {r.s: r.k for r in facts.collect()}
+    deck = sum(k.values())
+    drawn = collections.Counter()
+    shards: dict = {}
+    for r in mixing.drawn_counts(facts, cfg).collect():
+        drawn[r.s] += r.drawn
+        shards.setdefault(r.shard, {})[r.s] = r.drawn
+    assert len(shards) == -(-deck // 64) > 20 and all(sum(c.values()) == 64 for j, c in shards.items() if j < deck // 64)
+    for s, n in k.items():  # mean and variance of a shard's count of a source
+        p = n / deck
+        own = np.array([c.get(s, 0) for j, c in shards.items() if j < deck // 64])
+        assert abs(own.mean() - 64 * p) < 5 * (64 * p * (1 - p) / len(own)) ** 0.5 + 1e-9
+        assert own.var() < 64 * p * (1 - p) * (1 + 6 * (2 / len(own)) ** 0.5) + 0.1
+    big = max(k, key=k.get)
+    assert np.var([c.get(big, 0) for c in shards.values()]) > 0
+    spans: dict = {}
+    for r in mixing.shard_counts(facts, cfg).collect():
+        spans.setdefault(r.s, []).append((r.shard, r.before, r["count"]))
+        late = r.shard >= len(shards)
+        assert late or r["count"] <= shards[r.shard][r.s]
+    for s, n in k.items():
+        at = 0
+        for _, before, count in sorted(spans.get(s, [])):
+            assert before == at and count > 0
+            at += count
+        assert at == n
+    mix = mixing.slots(facts, cfg).collect()
+    assert len(mix) == deck == len({(r.shard, r.place) for r in mix}) == len({(r.s, r.block, r["pass"]) for r in mix})
+    assert {r.s for r in mix if r.shard == 0} == set(shards[0])
+    got = mixing.shard_blocks(docs, cfg).collect()
+    assert {(r.shard, r.place) for r in got} == {(r.shard, r.place) for r in mix} and len(got) == len(mix)
+    assert sum(len(r.words) for r in got) == mixing.mix_words(docs, cfg).agg(F.sum("taken")).first()[0]
+    vocabulary = {w for r in docs.collect() for w in WORD.findall(r.text or "")}
+    assert all(w in vocabulary for r in got for w in r.words) and max(len(r.words) for r in got) == 16
+
+
 def test_shuffle_is_a_permutation(spark):
     for n in (1, 2, 7, 1000):
         k = spark.range(n).select(mixing.shuffled(F.col("id"), F.lit(n).cast("long"), [F.lit("s"), F.lit(3)], mixing.MixConfig()).alias("k"))
@@ -307,6 +412,83 @@ def test_language(spark, rows, docs):
     assert {r.lang_pred for r in out.values()} <= {"en", "de", "fr", "es", "und"}
 
 
+def test_language_brute_force(docs, rows):
+    """Each prediction is the language whose dictionary compresses the text's parts to the fewest bytes."""
+    import zstandard as z
+
+    cfg = langid.LangConfig()
+    dicts = langid.fit(docs, cfg)
+    out = {r.doc_id: r for r in langid.identify(docs, dicts, cfg).collect()}
+    for r in rows[:60]:
+        raw = (r.text or "").lower().encode("utf-8", "replace")
+        if not any(c.isalpha() for c in r.text or ""):
+            continue
+        size = {}
+        for lang in sorted(dicts):
+            d = z.ZstdCompressionDict(dicts[lang], dict_type=z.DICT_TYPE_RAWCONTENT)
+            c = z.ZstdCompressor(level=cfg.level, dict_data=d, write_content_size=False, write_checksum=False, write_dict_id=False)
+            size[lang] = sum(len(c.compress(raw[i : i + cfg.part_bytes])) for i in range(0, len(raw), cfg.part_bytes))
+        best, *more = sorted(size.values())
+        assert out[r.doc_id].lang_pred == min(size, key=lambda k: (size[k], k))
+        gap = (more[0] - best) / best
+        assert out[r.doc_id].score == pytest.approx(min(1.0, 0.5 + gap / 2)) and out[r.doc_id].narrow == (gap < cfg.margin)
+
+
+def test_many_languages_and_long_texts(spark):
+    """300 languages are all learned, one of which has long texts only; more than the bound is an error."""
+    rng = random.Random(3)
+    rows, i = [], 0
+    for k in range(300):
+        words = ["".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=rng.randint(2, 7))) for _ in range(40)]
+        for _ in range(3):
+            i += 1
+            rows.append((i, " ".join(rng.choices(words, k=3000 if k == 7 else 60)), f"l{k:03d}", "s"))
+    df = docs_of(spark, rows)
+    dicts = langid.fit(df)
+    train = {lang for i, _, lang, _ in rows if not held(i)}
+    assert set(dicts) == train and len(train) > 290 and "l007" in train
+    some = [r for r in rows if r[2] in train][:24]
+    got = {r.doc_id: r.lang_pred for r in langid.identify(docs_of(spark, some), dicts).collect()}
+    assert sum(got[i] == lang for i, _, lang, _ in some) >= 23
+    with pytest.raises(ValueError, match="languages"):
+        langid.fit(df, langid.LangConfig(max_langs=100))
+
+
+def test_toxicity_gradient():
+    """A training step moves table and softmax along the numeric gradient of the softmax loss of averaged subwords."""
+    cfg = toxicity.ToxicConfig(log2_rows=8, dim=3)
+    texts, y = ["bad words here bad", "good day to all", "worse words"], np.array([1, 0, 1])
+    make = lambda: toxicity.Trainer(texts, y.tolist(), cfg)
+    t = make()
+    t.table, t.out, t.bias = t.table.astype(np.float64), t.out.astype(np.float64), t.bias.astype(np.float64)
+    names = list(dict.fromkeys(w for x in texts for w in x.split()))
+
+    def loss(table, out, bias):
+        total = 0.0
+        for text, label in zip(texts, y, strict=True):
+            words = text.split()
+            # a word's repeats inside a window count in the length only
+            x = sum(table[toxicity.subwords(w, cfg)].mean(0) for w in dict.fromkeys(words)) / len(words)
+            z = x @ out + bias
+            total += np.log(np.exp(z - z.max()).sum()) + z.max() - z[label]
+        return total / len(texts)
+
+    assert len(names) == len(t.size)
+    before = [a.copy() for a in (t.table, t.out, t.bias)]
+    t.table_sq, t.out_sq, t.bias_sq = (np.full(a.shape, 1e30) for a in (t.table_sq, t.out_sq, t.bias_sq))  # AdaGrad becomes a plain small step
+    t.step(t.docs, y)
+    for k, now in enumerate((t.table, t.out, t.bias)):
+        moved = (before[k] - now) / (cfg.rate / 1e15)
+        for _ in range(25):
+            at = tuple(np.random.default_rng(_).integers(0, n) for n in now.shape)
+            probe = []
+            for step in (1e-6, -1e-6):
+                changed = [a.copy() for a in before]
+                changed[k][at] += step
+                probe.append(loss(*changed))
+            assert moved[at] == pytest.approx((probe[0] - probe[1]) / 2e-6, abs=0.05, rel=0.05)
+
+
 def test_model_edges(spark, odd, empty):
     labels = spark.createDataFrame([(5, 1), (6, 0), (4, None)], "doc_id long, toxic int")
     for df, n in ((odd, len(odd_rows())), (empty, 0)):
@@ -362,7 +544,7 @@ def test_rans_round_trip():
     for n in (0, 1, 63, 20_011):
         ids = (rng.zipf(1.3, n) % 50257).astype(np.uint32)
         blob = rans.encode_segment([3, None, -7], [n, 0, 0], ids, cfg)
-        s = rans.Segment(blob, cfg)
+        s = rans.Segment(blob)  # a reader needs no settings of the writer
         assert s.doc_ids == [3, None, -7] and (s.ids() == ids).all()
         for b, (m, w, marks, *_) in enumerate(s.blocks):
             for c in range(marks + 1):
@@ -370,11 +552,13 @@ def test_rans_round_trip():
     bad = bytearray(blob)
     bad[-1] ^= 1
     with pytest.raises(ValueError, match="damaged"):
-        rans.Segment(bytes(bad), cfg).ids()
+        rans.Segment(bytes(bad)).ids()
     bad = bytearray(blob)
     bad[60] ^= 1
     with pytest.raises(ValueError):
-        rans.Segment(bytes(bad), cfg)
+        rans.Segment(bytes(bad))
+    with pytest.raises(ValueError, match="does not end"):
+        rans.decode_rows(np.full(4, rans.LOW + np.uint64(1), np.uint64), np.zeros(0, np.uint32), 0, 0, (None, None, None), 14)
 
 
 def token_brute(rows, library):
@@ -397,24 +581,62 @@ def test_token_files(spark, docs, rows, odd, empty, library):
 # --- spans ---------------------------------------------------------------------------------------------------------
 
 
+def units_brute(text, long):
+    """Sentences from the characters alone: they end after white space that follows a mark, or after a line end."""
+    white, out, at, i = " \t\n\x0b\x0c\r", [], 0, 0
+    while i < len(text):
+        if text[i] in white and (text[i] == "\n" or (i and text[i - 1] in ".!?")):
+            while i < len(text) and text[i] in white:
+                i += 1
+            out.append(text[at:i])
+            at = i
+        else:
+            i += 1
+    out.append(text[at:])
+    cut = []
+    for u in filter(None, out):
+        words = list(WORD.finditer(u))
+        if len(u.lower().split()) <= long:
+            cut.append(u)
+            continue
+        at = 0
+        for m, nxt in zip(words, words[1:], strict=False):
+            if zlib.crc32(m[0].lower().encode("utf-8", "replace")) % 6 == 0:
+                cut.append(u[at : nxt.start()])
+                at = nxt.start()
+        cut.append(u[at:])
+    return cut
+
+
 def spans_brute(rows, cfg):
+    """Every run of sentences of every document against all runs before it, by their words."""
     seen, out = {}, {}
     for i, t in rows:
-        _, own = sentence_spans.spans(t, cfg)
+        u = [tuple(x.lower().split()) for x in units_brute(t or "", cfg.long)]
         gone = set()
-        for h, a, b in own:
-            if h in seen:
-                gone |= set(range(a, b))
-            seen.setdefault(h, i)
+        for a in range(len(u)):
+            if not u[a]:
+                continue
+            for b in range(a + 1, len(u) + 1):
+                if sum(bool(x) for x in u[a:b]) >= cfg.sentences and sum(map(len, u[a:b])) >= cfg.least_words:
+                    run = tuple(w for x in u[a:b] for w in x)
+                    if run in seen:
+                        gone |= set(range(a, b))
+                    seen.setdefault(run, i)
+                    break
         out[i] = len(gone)
     return out
 
 
 def test_spans(docs, rows):
-    cfg = sentence_spans.SpanConfig()
-    out = {r.doc_id: r for r in sentence_spans.remove_repeats(docs, cfg).collect()}
-    assert {i: r.n_removed for i, r in out.items()} == spans_brute([(r.doc_id, r.text) for r in rows], cfg)
-    for r in rows:
+    small = [r for r in rows if len(r.text or "") < 30_000]
+    ids = [r.doc_id for r in small]
+    some = docs.filter(F.col("doc_id").isin(ids))
+    for cfg in (sentence_spans.SpanConfig(), sentence_spans.SpanConfig(sentences=3, least_words=5, long=40)):
+        out = {r.doc_id: r for r in sentence_spans.remove_repeats(some, cfg).collect()}
+        assert {i: r.n_removed for i, r in out.items()} == spans_brute([(r.doc_id, r.text) for r in small], cfg)
+        assert sum(r.n_removed > 0 for r in out.values()) > 5
+    for r in small:
         o, at, left = out[r.doc_id], 0, []
         for s in o.removed:
             left.append(r.text[at : s.begin])
@@ -478,7 +700,7 @@ def leaks_brute(docs, items):
                 if got:
                     hit |= set(range(k, k + n))
                     found |= got
-        sha = hashlib.sha256(",".join(sorted(map(str, found))).encode()).hexdigest()
+        sha = hashlib.sha256(",".join(sorted(str(x) for x in found if x is not None)).encode()).hexdigest()
         out.append((i, len(w), len(hit), len(found), sha, bool(hit)))
     return sorted(out, key=repr)
 
@@ -488,19 +710,23 @@ def test_contamination(spark, small, docs, rows, odd, empty):
     items = [(r.item_id, r.text) for r in bench.collect()]
     want = leaks_brute([(r.doc_id, r.text) for r in rows], items)
     assert sum(r[5] for r in want) > 0
-    for limit in (32_000_000, 2000):  # one automaton, then many blocks
-        assert sorted(map(tuple, decontaminate.contamination(docs, bench, max_chars=limit).collect()), key=repr) == want
+    found = decontaminate.benchmark_windows(bench, 10)
+    many = found.agg(F.sum("n")).first()[0] // 3
+    assert decontaminate.blocks_of(found, many) > 5 and decontaminate.blocks_of(found, 10**9) == 1
+    for limit in (decontaminate.MAX_NODES, many):  # one automaton, then many blocks
+        assert sorted(map(tuple, decontaminate.contamination(docs, bench, max_nodes=limit).collect()), key=repr) == want
     clean = {r[0] for r in want if not r[5]}
-    for limit in (32_000_000, 2000):
-        assert {r.doc_id for r in decontaminate.drop_contaminated(docs, bench, max_chars=limit).collect()} == clean
-    few = spark.createDataFrame([(1, None), (2, "..."), (3, "The CAT"), (3, "sat on"), (4, "ÉTÉ ½")], "item_id long, text string")
+    for limit in (decontaminate.MAX_NODES, many):
+        assert {r.doc_id for r in decontaminate.drop_contaminated(docs, bench, max_nodes=limit).collect()} == clean
+    few = spark.createDataFrame([(1, None), (2, "..."), (3, "The CAT"), (3, "sat on"), (4, "ÉTÉ ½"), (None, "the mat"), (None, "it was"), (None, None)], "item_id long, text string")
     for df, have in ((odd, [(i, t) for i, t, _, _ in odd_rows()]), (empty, [])):
-        assert sorted(map(tuple, decontaminate.contamination(df, few).collect()), key=repr) == leaks_brute(have, [(r.item_id, r.text) for r in few.collect()])
+        for limit in (decontaminate.MAX_NODES, 4):
+            assert sorted(map(tuple, decontaminate.contamination(df, few, max_nodes=limit).collect()), key=repr) == leaks_brute(have, [(r.item_id, r.text) for r in few.collect()])
     assert decontaminate.contamination(odd, few.limit(0)).filter("contaminated").count() == 0
 
 
 def test_cut_keeps_offsets():
-    s = decontaminate.Scanner([(1, "alpha beta gamma")], 10)
+    s = decontaminate.Scanner.of([(1, "alpha beta gamma")], 10)
     assert s.cut("Été — Alpha,  BETA/gamma! end") == "Été — ! end"
     assert s.original_spans("nothing here") == []
 
@@ -547,7 +773,7 @@ def test_propagation_equals_iteration(spark):
         ins[b] += n
     t, d = ({h: s[k] for h, s in seed.items()} for k in (0, 1))
     linked = set(outs) | set(ins)
-    for _ in range(30):
+    while True:
         nt = {h: 0.15 * seed[h][0] + 0.85 * (sum(t[a] * n / outs[a] for (a, b), n in links.items() if b == h) + (0 if outs[h] else t[h])) for h in linked}
         nd = {h: 0.15 * seed[h][1] + 0.85 * (sum(d[b] * n / ins[b] for (a, b), n in links.items() if a == h) + (0 if ins[h] else d[h])) for h in linked}
         moved = max(max(abs(nt[h] - t[h]), abs(nd[h] - d[h])) for h in linked)
@@ -558,6 +784,16 @@ def test_propagation_equals_iteration(spark):
         assert got[h] == pytest.approx((t[h], d[h]), abs=1e-9)
 
 
+def test_propagation_reaches_far_hosts(spark):
+    """A chain of 60 hosts: trust flows to its end, whatever its length."""
+    seeds = spark.createDataFrame([("h0", 1.0, 0.0)], "host string, trust double, distrust double")
+    edges = spark.createDataFrame([(f"h{k}", f"h{k + 1}", 1) for k in range(60)], "src string, dst string, n long")
+    got = {r.host: r.trust for r in url_rules.propagate(seeds, edges, url_rules.RankConfig(tolerance=1e-9)).collect()}
+    for k in range(60):
+        assert got[f"h{k}"] == pytest.approx(0.15 * 0.85**k, abs=1e-7)
+    assert got["h60"] > 0
+
+
 def test_links_between_hosts(spark):
     html = """<a href="http://B.org/x">1</a> <a HREF='//c.org'>2</a> <a href="/own">3</a> <a href=https://a.org/>self</a> <a href="mailto:x@y">m</a>"""
     pages = spark.createDataFrame([("a.org", html), ("a.org", None), ("", html)], "host string, html string")

@@ -33,6 +33,10 @@ from pyspark.sql import functions as F
 from .texts import WORD, stored
 
 
+#: Facts of so many sources may be broadcast: some MB.
+FEW_SOURCES = 50_000
+
+
 @dataclass(frozen=True)
 class MixConfig:
     weights: tuple[float, ...] = (5.0, 2.0, 1.0)
@@ -120,6 +124,12 @@ def counted_out(d: DataFrame, last: Column, name: str, run: int = 4096) -> DataF
     return d.withColumn(name, F.explode(F.sequence("__from", F.least(F.col("__from") + run - 1, F.col("__last"))))).drop("__last", "__far", "__from")
 
 
+def by_source(facts: DataFrame, part: DataFrame) -> DataFrame:
+    """``part``, some rows for each source, as the side of a join with rows that are exploded from few, whose size
+    Spark underestimates: broadcast if the sources are few, else never."""
+    return F.broadcast(part) if facts.limit(FEW_SOURCES + 1).count() <= FEW_SOURCES else part.hint("merge")
+
+
 def drawn_counts(facts: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
     """shard, s, drawn: multinomial source counts of each shard, one independent draw for each of its slots."""
     of = facts.filter("k > 0").select("s", "first", "k", "deck")
@@ -128,23 +138,22 @@ def drawn_counts(facts: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
     slot = counted_out(of.groupBy().agg(F.max("deck").alias("deck")).filter("deck > 0"), F.col("deck") - 1, "slot")
     slot = slot.withColumn("x", F.pmod(F.xxhash64(F.lit(cfg.seed + 2), "slot"), F.col("deck")))
     slot = slot.select(F.floor(F.col("slot") / cfg.shard_slots).cast("long").alias("shard"), "x", cell(F.col("x"), F.col("deck")).alias("cell"))
-    # no hint: Spark broadcasts the cells if they are few, as it does for any small table
-    met = slot.join(ends, (slot.cell == ends.cell) & (F.col("x") >= F.col("first")) & (F.col("x") < F.col("first") + F.col("k")))
+    met = slot.join(by_source(facts, ends), (slot.cell == ends.cell) & (F.col("x") >= F.col("first")) & (F.col("x") < F.col("first") + F.col("k")))
     return met.groupBy("shard", "s").agg(F.count("*").alias("drawn"))
 
 
 def shard_counts(facts: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
     """shard, s, before, count: how many slots of a source a shard has, and how many the shards before it have."""
-    drawn = drawn_counts(facts, cfg).withColumn("far", F.floor(F.col("shard") / 4096).cast("long"))
+    drawn = stored(drawn_counts(facts, cfg), "mix-draws").withColumn("far", F.floor(F.col("shard") / 4096).cast("long"))
     sums = drawn.groupBy("s", "far").agg(F.sum("drawn").alias("all"))
     offset = sums.select("s", "far", (F.sum("all").over(Window.partitionBy("s").orderBy("far")) - F.col("all")).alias("offset"))
     near = F.sum("drawn").over(Window.partitionBy("s", "far").orderBy("shard")) - F.col("drawn")
-    d = drawn.withColumn("near", near).join(offset, ["s", "far"]).join(facts.select("s", "k"), "s")
+    d = drawn.withColumn("near", near).join(offset.hint("merge"), ["s", "far"]).join(by_source(facts, facts.select("s", "k")), "s")
     d = d.withColumn("before", F.col("offset") + F.col("near"))
     d = d.select("shard", "s", "before", F.least(F.col("drawn"), F.col("k") - F.col("before")).alias("count")).filter("count > 0")
     # what a source's draws leave open, in shards after the drawn ones
     had = sums.groupBy("s").agg(F.sum("all").alias("had"))
-    lack = facts.filter("k > 0").join(had, "s", "left").select("s", "deck", F.least(F.coalesce("had", F.lit(0)), F.col("k")).alias("had"), "k").withColumn("open", F.col("k") - F.col("had")).filter("open > 0")
+    lack = facts.filter("k > 0").join(had.hint("merge"), "s", "left").select("s", "deck", F.least(F.coalesce("had", F.lit(0)), F.col("k")).alias("had"), "k").withColumn("open", F.col("k") - F.col("had")).filter("open > 0")
     lack = lack.withColumn("at", F.sum("open").over(Window.orderBy("s")) - F.col("open"))
     shard = F.explode(F.sequence(F.floor(F.col("at") / cfg.shard_slots), F.floor((F.col("at") + F.col("open") - 1) / cfg.shard_slots)))
     lack = lack.withColumn("i", shard)
@@ -158,7 +167,7 @@ def slots(facts: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
     """The mix itself: shard, place in the shard, source s, block index, pass. One row for each slot."""
     shard = Window.partitionBy("shard")
     c = shard_counts(facts, cfg).withColumn("in_shard", F.sum("count").over(shard)).withColumn("offset", F.sum("count").over(shard.orderBy("s")) - F.col("count"))
-    k = counted_out(c.join(facts.select("s", "n"), "s"), F.col("count") - 1, "i")
+    k = counted_out(c.join(by_source(facts, facts.select("s", "n")), "s"), F.col("count") - 1, "i")
     number = F.col("before") + F.col("i")
     k = k.withColumn("pass", F.floor(number / F.col("n")).cast("long"))
     place = shuffled(F.col("offset") + F.col("i"), F.col("in_shard"), [F.lit(-1), F.col("shard")], cfg)
@@ -189,11 +198,11 @@ def shard_blocks(docs: DataFrame, cfg: MixConfig = MixConfig(), id_col: str = "d
     """The mix as output shards: shard, place, source, words (of the block in that place, ``block`` at most)."""
     inner = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), F.col(source_col).alias("source"))
     d, facts = plan(packed(inner, cfg, keep_text=True), cfg)
-    facts = facts.join(d.select("s", "source").distinct(), "s")
+    facts = stored(facts.join(d.select("s", "source").distinct(), "s"), "mix-facts")
     p = pieces(d, cfg).withColumn("words", F.regexp_extract_all("text", F.lit(rf"({WORD})"), 1))
     p = p.select("s", "block", "begin", "doc_id", F.slice("words", (F.col("lo") + 1).cast("int"), (F.col("hi") - F.col("lo")).cast("int")).alias("words"))
     full = p.groupBy("s", "block").agg(F.flatten(F.transform(F.sort_array(F.collect_list(F.struct("begin", "doc_id", "words"))), lambda x: x["words"])).alias("words"))
-    return slots(facts, cfg).join(full.hint("merge"), ["s", "block"]).join(facts.select("s", "source"), "s").select("shard", "place", "source", "words")
+    return slots(facts, cfg).join(full.hint("merge"), ["s", "block"]).join(by_source(facts, facts.select("s", "source")), "s").select("shard", "place", "source", "words")
 
 
 def mixed_documents(docs: DataFrame, cfg: MixConfig = MixConfig(), id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:

@@ -9,6 +9,8 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.tables import stored
+
 HALF = 1 << 31
 
 
@@ -39,16 +41,22 @@ def laplace_value(word: int, scale: float) -> float:
 
 
 def geometric(word: Column, scale: Column | float) -> Column:
-    """Two-sided geometric noise of the same scale: integers, without the low-order bits of a real variate."""
+    """Two-sided geometric noise, P(k) in proportion to exp(-|k| / scale): integers, without the low-order bits of a
+    real variate. Low 31 bits: the size, by inversion of P(|k| >= m) = 2 q^m / (1 + q); top bit: the sign."""
     scale = scale if isinstance(scale, Column) else F.lit(float(scale))
     r = (word.bitwiseAND(HALF - 1) + F.lit(0.5)) / F.lit(float(HALF))
     q = F.exp(-1 / scale)
-    # inverse of the two-sided distribution; the top bit picks the side, 0 is met from one side only
-    k = F.floor(F.log(r) / F.log(q))
-    return F.when(word >= HALF, k).otherwise(-k - 1).cast("long") + F.when(word >= HALF, 0).otherwise(1) * F.when(r * (1 + q) > 2 * q, 1).otherwise(0)
+    size = F.greatest(F.lit(0), F.floor(F.log(r * (1 + q) / (2 * q)) / F.log(q)) + 1)
+    return (size * F.when(word >= HALF, 1).otherwise(-1)).cast("long")
 
 
 def system_words(spark: SparkSession, steps: int, purposes: list[str], servers: int = 2) -> DataFrame:
     """Fresh words for every (step, purpose, server); store them before use, so that a retry does not draw twice."""
     rows = [(t, p, k, secrets.randbits(32)) for t in range(steps + 1) for p in purposes for k in range(servers)]
     return spark.createDataFrame(rows, "step int, purpose string, server int, word long")
+
+
+def drawn_words(spark: SparkSession, runs: list[str], last: int, purposes: tuple[str, ...], servers: int = 2) -> DataFrame:
+    """run, step 0..last and the servers' joint word for each purpose, drawn from the system once and stored."""
+    rows = [(r, t, *(reduce(lambda a, b: a ^ b, (secrets.randbits(32) for _ in range(servers))) for _ in purposes)) for r in runs for t in range(last + 1)]
+    return stored(spark.createDataFrame(rows, "run string, step int, " + ", ".join(f"word_{k} long" for k in purposes)), "words")

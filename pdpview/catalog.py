@@ -9,11 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions import noise, privacy, shares
-from .operators import baselines, budget, derive, leakage, metrics, multilevel, owner_sync, query, release, steps
+from .operators import baselines, budget, derive, leakage, metrics, multilevel, owner_sync, query, release, steps, truncate
 from .params import Params
 from .plans import oracles as sql
 from .plans import workloads as wl
-from .plans.views import ViewSpec
+from .plans.views import REGISTERED, ViewSpec
 from .sources.tables import load, stored
 
 
@@ -99,12 +99,10 @@ for _spec in (wl.W1W, wl.W2, wl.W2S):
 for _w in (1, 2, 10):
 
     def _blocks(s: SparkSession, d: str, omega: int = _w) -> DataFrame:
-        from .operators import truncate
-
         left, right = (f(s, d) for f in (wl.lines_side("l_partkey", "R", 5), wl.lines_side("l_partkey", "A", 5)))
         left = left.select("key", "step", F.col("rid").alias("l_rid"))
         right = right.select("key", "step", F.col("rid").alias("r_rid"))
-        return truncate.merge_join(left, right, ["key", "step"], ["l_rid"], ["r_rid"], omega).select("key", "step", "l_rid", "r_rid")
+        return truncate.merge_join(left, right, ["key", "step"], ["l_rid"], ["r_rid"], omega, truncate.HOT_GROUP).select("key", "step", "l_rid", "r_rid")
 
     _side = "SELECT *, (row_number() OVER (PARTITION BY key, step ORDER BY rid) - 1) // {} AS blk FROM ({})"
     add(
@@ -126,11 +124,10 @@ add(
 
 
 def _theta(s: SparkSession, d: str) -> DataFrame:
-    from .operators import truncate
-
-    spec = wl.w2m(24, 12, 2)
-    pairs = derive.within_horizon(spec, derive.true_pairs(spec, *wl.sides(spec, s, d))).select("born_step", "key", "l_rid", "r_rid")
-    return truncate.scan(pairs, ["born_step", "key"], 2)
+    """Errors with the purchases of the same user and step that are worth more: no equality to rank by."""
+    e = load(s, d, "events").select("event_id", "user_id", "event_type", "value", wl.step_of_hours(F.col("ts"), wl.EVENTS_ORIGIN, 240).alias("born_step"))
+    side = lambda kind, *names: e.filter(F.col("event_type") == kind).select("born_step", F.col("user_id").alias("key"), *(F.col(c).alias(n) for c, n in zip(("event_id", "value"), names, strict=True)))
+    return truncate.theta_join(side("error", "l_rid", "l_value"), side("purchase", "r_rid", "r_value"), ["born_step", "key"], lambda: F.col("l_value") < F.col("r_value"), 2).select("born_step", "key", "l_rid", "r_rid")
 
 
 add("trunc_theta", _theta)
@@ -221,6 +218,8 @@ add(
 add(
     "geometric_noise",
     lambda s, d: s.range(1, 2001).select(F.col("id").cast("int").alias("step"), noise.geometric(noise.joint_word("7", "geo", F.col("id").cast("int")), 10 / 1.5).alias("k")),
+    f"""WITH z AS (SELECT step, {sql.joint("'7'", "geo", "step")} AS w, exp(-1.5 / 10) AS q FROM (SELECT CAST(unnest(generate_series(1, 2000)) AS INTEGER) AS step))
+      SELECT step, CAST(greatest(0, floor(ln(((w & 2147483647) + 0.5) / 2147483648.0 * (1 + q) / (2 * q)) / ln(q)) + 1) * (CASE WHEN w >= 2147483648 THEN 1 ELSE -1 END) AS BIGINT) AS k FROM z""",
 )
 
 # --- counter, releases, views --------------------------------------------------------------------------------------
@@ -235,11 +234,24 @@ add_trace("threshold_release_w2", wl.W2, [("threshold", "threshold", _P2)])
 add_trace("threshold_purge", wl.W1W, [("threshold", "threshold", _P1.but(purge_every=100, purge_size=10))])
 add_trace("threshold_mechanism_scale", wl.W1W, [("threshold", "threshold", _P1.but(scale_release="mechanism"))])
 add_trace("w2m_72_releases", wl.W2M72, both(wl.W2M72.params))
-add(
-    "threshold_fold",
-    lambda s, d: shown(release.series(release.buffer_depth(release.threshold_sizes_fold(release.with_runs(sums(wl.W1W, s, d), [("threshold", "threshold", _P1)]))))),
-    QUERIES["threshold_release"].sql,
-)
+for _name, _sizes in (("threshold_fold", release.threshold_sizes), ("threshold_grouped", release.threshold_sizes_grouped)):
+    add(
+        _name,
+        lambda s, d, f=_sizes: shown(release.series(release.buffer_depth(f(release.with_runs(sums(wl.W1W, s, d), [("threshold", "threshold", _P1)]))))),
+        QUERIES["threshold_release"].sql,
+    )
+_RESET = _P1.but(purge_every=35, purge_size=5, purge_resets_counter=True)
+add_trace("purge_resets_counter", wl.W1W, both(_RESET))
+
+
+def _system(s: SparkSession, d: str) -> DataFrame:
+    """Two runs on words from the system: no seed foretells them, so only what holds for all noise is shown."""
+    t = release.trace(sums(wl.W1W, s, d), both(_P1.but(system_noise=True)))
+    ok = (F.col("want") == F.col("real_out") + F.col("dummy_out")) & (F.col("deferred") >= 0) & (F.col("fires") | (F.col("want") == 0))
+    return t.groupBy("run").agg(F.count("*").alias("steps"), F.bool_and(ok).alias("consistent"))
+
+
+add("system_noise", _system, f"WITH {sql.sums_ctes(wl.W1W)} SELECT run, count(*) AS steps, TRUE AS consistent FROM sums, (VALUES ('interval'), ('threshold')) AS v(run) GROUP BY run")
 
 
 def _udtf(s: SparkSession, d: str) -> DataFrame:
@@ -257,7 +269,7 @@ def placed(spec: ViewSpec, run: Run, s: SparkSession, d: str) -> DataFrame:
     return release.place_rows(derive.numbered(derive.derive(spec, left, right)), t, run[2].purge_every)
 
 
-PLACED_SQL = """numbered AS (SELECT *, row_number() OVER (PARTITION BY born_step ORDER BY key, l_rid, r_rid) AS ord FROM kept),
+PLACED_SQL = """numbered AS (SELECT *, row_number() OVER (PARTITION BY born_step ORDER BY ((key + l_rid) % 64 + 64) % 64, key, l_rid, r_rid) AS ord FROM kept),
   q AS (SELECT step, (step - 1) // purge_every AS epoch, real_out + purge_real AS k,
       sum(real_out + purge_real) OVER (PARTITION BY (step - 1) // purge_every ORDER BY step) AS hi,
       sum(n_real) OVER (PARTITION BY (step - 1) // purge_every ORDER BY step) - n_real AS before FROM traced),
@@ -309,7 +321,7 @@ add("view_sql_rewrite", _rewritten, placed_sql(wl.W1W, _I, "SELECT count(*) AS a
 # --- baselines -----------------------------------------------------------------------------------------------------
 
 _TRUTH = "CAST(sum(n_true) OVER (ORDER BY step) AS BIGINT)"
-add_over_sums("nm_by_step", wl.W1W, baselines.nm, f"SELECT step, {_TRUTH} AS truth, {_TRUTH} AS answer, CAST(0 AS BIGINT) AS view_rows, CAST(sum(n_left + n_right) OVER (ORDER BY step) AS BIGINT) AS scanned_rows FROM sums")
+add_over_sums("nm_by_step", wl.W1W, baselines.nm, f"SELECT step, {_TRUTH} AS truth, {_TRUTH} AS answer, CAST(0 AS BIGINT) AS view_rows, CAST(sum(up_left + up_right) OVER (ORDER BY step) AS BIGINT) AS scanned_rows FROM sums")
 add("nm_query", lambda s, d: baselines.nm_query(wl.W1W, *wl.sides(wl.W1W, s, d), 200), f"WITH {sql.pairs_ctes(wl.W1W)} SELECT count(*) AS answer FROM truth WHERE born_step <= 200")
 for _name, _trunc in (("ep", True), ("ep_exact", False)):
     _pad = "CAST(sum(n_padded) OVER (ORDER BY step) AS BIGINT)"
@@ -346,15 +358,10 @@ add_over_trace(
 )
 _LG = "ceil(log2(greatest({0}, 1)))"
 _COST = f"CAST(pow(2.0, {_LG}) / 4 * {_LG} * ({_LG} + 1) AS BIGINT)"
-add_over_trace(
-    "oblivious_cost",
-    wl.W1W,
-    both(_P1.but(purge_every=50)),
-    metrics.work,
-    f"""SELECT run, CAST(sum({_COST.format("n_padded")}) AS BIGINT) AS derive_work, CAST(sum(CASE WHEN fires THEN {_COST.format("sorted")} ELSE 0 END) AS BIGINT) AS release_work,
+WORK_SQL = f"""SELECT run, CAST(sum({_COST.format("n_padded")}) AS BIGINT) AS derive_work, CAST(sum(CASE WHEN fires THEN {_COST.format("sorted")} ELSE 0 END) AS BIGINT) AS release_work,
       CAST(sum(view_rows) AS BIGINT) AS query_work FROM (SELECT *, coalesce(lag(held) OVER (PARTITION BY run ORDER BY step), 0) + n_padded AS sorted FROM (SELECT *,
-      CAST(CASE WHEN step % purge_every = 0 THEN 0 ELSE greatest(0, sum(n_padded - want) OVER (PARTITION BY run, (step - 1) // purge_every ORDER BY step)) END AS BIGINT) AS held FROM traced)) GROUP BY run""",
-)
+      CAST(CASE WHEN step % purge_every = 0 THEN 0 ELSE greatest(0, sum(n_padded - want) OVER (PARTITION BY run, (step - 1) // purge_every ORDER BY step)) END AS BIGINT) AS held FROM traced)) GROUP BY run"""
+add_over_trace("oblivious_cost", wl.W1W, both(_P1.but(purge_every=50)), metrics.work, WORK_SQL)
 
 
 def comparison(spec: ViewSpec, p: Params):
@@ -370,54 +377,64 @@ def comparison(spec: ViewSpec, p: Params):
         for x in parts[1:]:
             out = out.unionByName(x)
         e = metrics.errors(out, ["strategy"]).drop("rel_of_means")
-        v = out.groupBy("strategy").agg(F.round(F.avg("view_rows"), 6).alias("mean_view_rows"), F.round(F.avg("scanned"), 6).alias("mean_scanned_rows"))
+        # a view is scanned; without one, a query joins all uploads again
+        work = F.when(F.col("strategy") == "nm", metrics.oblivious_cost(F.col("scanned"))).otherwise(F.col("scanned"))
+        v = out.groupBy("strategy").agg(F.round(F.avg("view_rows"), 6).alias("mean_view_rows"), F.round(F.avg("scanned"), 6).alias("mean_scanned_rows"), F.round(F.avg(work), 6).alias("mean_query_work"))
         return e.join(v, "strategy")
 
     union = " UNION ALL ".join(
         f"SELECT '{n}', step, sum(n_true) OVER (ORDER BY step), {a}, {v}, {c} FROM sums"
         for n, a, v, c in (
-            ("nm", "sum(n_true) OVER (ORDER BY step)", "0", "sum(n_left + n_right) OVER (ORDER BY step)"),
+            ("nm", "sum(n_true) OVER (ORDER BY step)", "0", "sum(up_left + up_right) OVER (ORDER BY step)"),
             ("ep", "sum(n_real) OVER (ORDER BY step)", "sum(n_padded) OVER (ORDER BY step)", "sum(n_padded) OVER (ORDER BY step)"),
             ("otm", "0", "0", "0"),
         )
     )
     select = f"""SELECT strategy, round(avg(abs(truth - answer)), 6) AS mean_l1, round(avg(CASE WHEN truth > 0 THEN abs(truth - answer) / CAST(truth AS DOUBLE) END), 6) AS rel_mean,
-      round(avg(view_rows), 6) AS mean_view_rows, round(avg(scanned), 6) AS mean_scanned_rows FROM (
+      round(avg(view_rows), 6) AS mean_view_rows, round(avg(scanned), 6) AS mean_scanned_rows,
+      round(avg(CASE WHEN strategy = 'nm' THEN {_COST.format("scanned")} ELSE scanned END), 6) AS mean_query_work FROM (
       SELECT run AS strategy, step, truth, answer, view_rows, view_rows AS scanned FROM traced UNION ALL {union}) GROUP BY strategy"""
     return run, sql.trace_sql(spec, both(p), select)
 
 
-for _name, _spec in (("comparison_w1w", wl.W1W), ("comparison_w2", wl.W2)):
+for _name, _spec in (("comparison_w1w", wl.W1W), ("comparison_w2", wl.W2), ("comparison_w2b30", wl.W2B30)):
     add(_name, *comparison(_spec, _spec.params))
 
+#: How many times smaller a strategy's measure is than a baseline's: gain, measure, baseline.
+GAINS = [
+    ("accuracy_gain_over_otm", "mean_l1", "otm"),
+    ("size_gain_over_ep", "mean_view_rows", "ep"),
+    ("query_gain_over_ep", "mean_query_work", "ep"),
+    ("query_gain_over_nm", "mean_query_work", "nm"),
+]
+
+
+def _gains(spec: ViewSpec, s: SparkSession, d: str) -> DataFrame:
+    table = comparison(spec, spec.params)[0](s, d)
+    parts = [metrics.improvement(table, base, value).withColumnRenamed("gain", name) for name, value, base in GAINS]
+    out = parts[0]
+    for part in parts[1:]:
+        out = out.join(part, "strategy")
+    return out
 
 
-
-def _gain(s: SparkSession, d: str) -> DataFrame:
-    table = comparison(wl.W1W, _P1)[0](s, d)
-    return metrics.improvement(table, "ep", "mean_view_rows").withColumnRenamed("gain", "size_gain_over_ep").join(
-        metrics.improvement(table, "otm", "mean_l1").withColumnRenamed("gain", "accuracy_gain_over_otm"), "strategy"
-    )
-
-
-add(
-    "improvement_w1w",
-    _gain,
-    f"""WITH c AS ({QUERIES["comparison_w1w"].sql}) SELECT strategy,
-      round((SELECT mean_view_rows FROM c WHERE strategy = 'ep') / nullif(mean_view_rows, 0), 4) AS size_gain_over_ep,
-      round((SELECT mean_l1 FROM c WHERE strategy = 'otm') / nullif(mean_l1, 0), 4) AS accuracy_gain_over_otm FROM c""",
-)
+for _tag in ("w1w", "w2", "w2b30"):
+    _cols = ", ".join(f"round((SELECT {value} FROM c WHERE strategy = '{base}') / nullif({value}, 0), 4) AS {name}" for name, value, base in GAINS)
+    add(f"improvement_{_tag}", lambda s, d, spec=REGISTERED[_tag]: _gains(spec, s, d), f"WITH c AS ({QUERIES[f'comparison_{_tag}'].sql}) SELECT strategy, {_cols} FROM c")
 _BUDGET = replace(wl.W1W, params=_P1.but(pad_rule="budget"))
 add_over_sums("padding_by_budget", _BUDGET, lambda d: d.select("step", "n_padded"), "SELECT step, n_padded FROM sums")
 
 
-def _timings(s: SparkSession, d: str) -> DataFrame:
-    from .experiments import run
+def _timings(spec: ViewSpec, s: SparkSession, d: str) -> DataFrame:
+    """Seconds of derive, release and one query for each strategy, totals, and gains over the baselines."""
+    from .experiments import gains, run, totals
 
-    return run(s, d, wl.W1W)
+    rows = run(s, d, spec)
+    return rows.join(totals(rows), "strategy").join(gains(rows), "strategy")
 
 
-add("timings_w1w", _timings)
+for _tag in ("w1w", "w2b30"):
+    add(f"timings_{_tag}", lambda s, d, spec=REGISTERED[_tag]: _timings(spec, s, d))
 
 
 def _udf(s: SparkSession, d: str) -> DataFrame:
@@ -442,17 +459,33 @@ add("udaf_max_contrib", _udaf, f"WITH {sql.pairs_ctes(wl.W2M72)} SELECT born_ste
 
 # --- leakage and privacy -------------------------------------------------------------------------------------------
 
-_CAP = 900
-add_over_trace(
-    "transcript_interval",
-    wl.W1W,
-    [_I],
-    lambda t: leakage.transcript(t, _CAP).drop("run"),
-    f"SELECT step, CAST({_CAP} AS BIGINT) AS uploaded, CAST({_CAP} * budget AS BIGINT) AS cached, CAST(want AS BIGINT) AS released, CAST(CASE WHEN step % purge_every = 0 THEN purge_size ELSE 0 END AS BIGINT) AS purged FROM traced",
-)
+#: Declared batch sizes of the transcripts (public; fixed values).
+_CAPS = (4096, 4096)
+
+
+def transcript_queries(name: str, spec: ViewSpec, strategy: str) -> None:
+    """transcript_..: the sizes that a run moved; simulator_..: the same from the mechanism's output alone."""
+    run = (strategy, strategy, spec.params)
+    mech = {"interval": leakage.mech_interval, "threshold": leakage.mech_threshold}[strategy]
+
+    def transcript(s: SparkSession, d: str) -> DataFrame:
+        q = sums(spec, s, d)
+        return leakage.transcript(q, release.trace(q, [run]), spec)
+
+    private = "up_left" if spec.right_public else "up_left + up_right"
+    text = sql.trace_sql(spec, [run], f"""SELECT t.step, CAST({private} AS BIGINT) AS uploaded, t.n_padded AS cached, CAST(t.real_out + t.dummy_out AS BIGINT) AS released,
+      CAST(t.purge_real + t.purge_dummy AS BIGINT) AS purged FROM traced t JOIN sums s USING (step)""")
+    add(f"transcript_{name}", transcript, text)
+    add(f"simulator_{name}", lambda s, d: leakage.simulate(mech(sums(spec, s, d), spec.params), spec), text)
+
+
+_OPEN1 = replace(wl.W1W, params=_P1.but(batch_cap=_CAPS, pad_rule="budget", purge_every=50))
+_OPEN2 = replace(wl.W2B30, params=wl.W2B30.params.but(batch_cap=_CAPS, purge_every=100))
+for _s in ("interval", "threshold"):
+    transcript_queries(_s, _OPEN1, _s)
+    transcript_queries(f"{_s}_w2", _OPEN2, _s)
 add("mech_interval", lambda s, d: leakage.mech_interval(sums(wl.W1W, s, d), _P1), sql.trace_sql(wl.W1W, [_I], "SELECT step, CAST(want AS BIGINT) AS v FROM traced"))
 add("mech_threshold", lambda s, d: leakage.mech_threshold(sums(wl.W1W, s, d), _P1), sql.trace_sql(wl.W1W, [_T], "SELECT step, CAST(want AS BIGINT) AS v FROM traced"))
-add("simulator_sizes", lambda s, d: leakage.simulate(leakage.mech_interval(sums(wl.W1W, s, d), _P1), _P1, _CAP), QUERIES["transcript_interval"].sql)
 
 
 def _composed(s: SparkSession, d: str) -> DataFrame:
@@ -477,7 +510,7 @@ add("user_level_eps", _user_eps, "SELECT max(n) AS ell, round(1.5 / max(n), 9) A
 # --- extensions ----------------------------------------------------------------------------------------------------
 
 _UP = """uploads AS (SELECT step, count(*) AS n FROM ({side}) GROUP BY 1), g AS (SELECT CAST(unnest(generate_series(1, (SELECT max(step) FROM uploads))) AS INTEGER) AS step),
-  sums AS (SELECT g.step, coalesce(n, 0) AS n_real, coalesce(n, 0) AS n_true, coalesce(n, 0) AS n_within, 0 AS n_padded FROM g LEFT JOIN uploads USING (step))"""
+  sums AS (SELECT g.step, coalesce(n, 0) AS n_real, coalesce(n, 0) AS n_true, coalesce(n, 0) AS n_within, 0 AS n_padded, 0 AS up_left, 0 AS up_right FROM g LEFT JOIN uploads USING (step))"""
 for _s in ("interval", "threshold"):
     _run = ("owner", _s, _P1.but(budget=1, omega=1))
     add(
@@ -497,11 +530,51 @@ add(
     "multilevel_chain",
     lambda s, d: shown(multilevel.chain(sums(wl.W1W, s, d), _LEVELS)),
     f"""WITH RECURSIVE {sql.runs_values([("level1", *_LEVELS[0])])}, {sql.sums_ctes(wl.W1W)}, {sql.trace_ctes([], into="first_level")},
-      runs2 AS (SELECT * FROM (VALUES {sql.runs_values([("level2", *_LEVELS[1])]).split("(VALUES ", 1)[1][:-1]}) AS x(run, strategy, eps, budget, every_steps, theta, purge_every, purge_size, seed, rel_k)),
-      sums2 AS (SELECT step, real_out + purge_real AS n_real, n_true, 0 AS n_within, 0 AS n_padded FROM first_level),
+      runs2 AS (SELECT * FROM (VALUES {sql.runs_values([("level2", *_LEVELS[1])]).split("(VALUES ", 1)[1][:-1]}) AS x(run, strategy, eps, budget, every_steps, theta, purge_every, purge_size, seed, rel_k, resets)),
+      sums2 AS (SELECT step, real_out + purge_real AS n_real, n_true, 0 AS n_within, 0 AS n_padded, 0 AS up_left, 0 AS up_right FROM first_level),
       {sql.trace_ctes([], sums="sums2").replace("FROM runs r", "FROM runs2 r").replace("JOIN runs r", "JOIN runs2 r")} {SHOWN_SQL}""",
 )
 
+_FIRST = ("interval", Params(eps=1.0, omega=1, budget=1, interval=1))
+_SECOND = ("threshold", wl.W2B30.params.but(eps=0.5, seed="8"))
+
+
+def _two_operators(s: SparkSession, d: str) -> DataFrame:
+    lines = wl.lines_side("l_partkey", None, 5, "l_returnflag")(s, d)
+    return shown(multilevel.filter_then_join(wl.W2B30, lines, wl.W2B30.right(s, d), F.col("l_returnflag") == "R", _FIRST, _SECOND))
+
+
+add(
+    "multilevel_operators",
+    _two_operators,
+    sql.over_sent(wl.W2B30, sql.lines_sql("l_partkey", None, 5).replace(" FROM lineitem", ", l_returnflag AS flag FROM lineitem"), ("filter", *_FIRST), ("level2", *_SECOND), SHOWN_SQL, "count(*) FILTER (flag = 'R')", "flag = 'R'"),
+)
+_OWNER = {k: Params(eps=1.0, omega=1, budget=1, interval=2, theta=40) for k in ("interval", "threshold")}
+
+
+def _owner_view(strategy: str, s: SparkSession, d: str) -> DataFrame:
+    """A view over what the owner has uploaded by its own policy: errors of both levels beside their joint bound."""
+    spec, p = wl.W2B30, _OWNER[strategy]
+    left, right = wl.sides(spec, s, d)
+    queue = kept(owner_sync.queue(left, strategy, p))
+    q = kept(owner_sync.view_sums(spec, left, right, owner_sync.uploaded(left, queue, p)))
+    return owner_sync.bounded(release.trace(q, [("interval", "interval", spec.params)]), queue, spec)
+
+
+for _s in ("interval", "threshold"):
+    add(
+        f"owner_view_{_s}",
+        lambda s, d, k=_s: _owner_view(k, s, d),
+        sql.over_sent(
+            wl.W2B30,
+            sql.lines_sql("l_partkey", "R", 5),
+            ("owner", _s, _OWNER[_s]),
+            ("interval", "interval", wl.W2B30.params),
+            """SELECT step, CAST(coalesce(o.deferred, 0) AS BIGINT) AS owner_deferred, CAST(t.deferred AS BIGINT) AS deferred, CAST(t.answer AS BIGINT) AS answer, CAST(t.truth AS BIGINT) AS truth, CAST(t.l1 AS BIGINT) AS l1,
+              round(30 * coalesce(o.deferred, 0) + 2 * 30 / 1.5 * sqrt(greatest(floor(step / 3), 10) * ln(10)), 6) AS bound FROM traced t LEFT JOIN (SELECT step, deferred FROM ot) o USING (step)""",
+        ),
+    )
+
 # --- experiments ---------------------------------------------------------------------------------------------------
 
 
@@ -542,11 +615,55 @@ def _omega_kept(s: SparkSession, d: str) -> DataFrame:
 
 add("omega_kept_pairs", _omega_kept, " UNION ALL ".join(f"SELECT * FROM (WITH {sql.pairs_ctes(wl.w2m(240, 120, w))} SELECT {w} AS omega, count(*) AS kept FROM kept)" for w in wl.OMEGA_SWEEP))
 
+WORK_AND_ERRORS_SQL = f"SELECT w.*, s.* EXCLUDE (run) FROM ({WORK_SQL}) w JOIN ({SWEEP_SQL}) s USING (run)"
+
+
+def work_and_errors(t: DataFrame) -> DataFrame:
+    return metrics.work(t).join(sweep(t), "run")
+
+
+def omega_costs(name: str, spec_of: Callable[[int], ViewSpec]) -> None:
+    """Error, view rows, and the modelled work of derive, release and queries for every truncation bound."""
+
+    def run(s: SparkSession, d: str) -> DataFrame:
+        out = None
+        for w in wl.OMEGA_SWEEP:
+            spec = spec_of(w)
+            x = work_and_errors(release.trace(sums(spec, s, d), seeds(spec.params, f"omega={w}", n=1)))
+            out = x if out is None else out.unionByName(x)
+        return out
+
+    add(name, run, " UNION ALL ".join(f"SELECT * FROM ({sql.trace_sql(spec_of(w), seeds(spec_of(w).params, f'omega={w}', n=1), WORK_AND_ERRORS_SQL)})" for w in wl.OMEGA_SWEEP))
+
+
+omega_costs("omega_sweep_w2m_240", lambda w: wl.w2m(240, 120, w))
+omega_costs("omega_sweep_w2s", lambda w: replace(wl.W2S, params=wl.W2S.params.but(omega=w, budget=2 * w)))
+
 _OFFSET = 1 << 40
+
+
+def copies_sql(n: int) -> Callable[[str, str], str]:
+    return lambda k, q: f"SELECT rid, key + c * {_OFFSET} AS key, day, step FROM ({q}), (VALUES {', '.join(f'({c})' for c in range(n))}) AS v(c)"
+
+
+SCALES = {
+    "half": (lambda l, r: (wl.half(l), wl.half(r)), lambda k, q: f"SELECT * FROM ({q}) WHERE {sql.HALF}"),
+    "once": (lambda l, r: (l, r), lambda k, q: q),
+    "twice": (lambda l, r: (wl.burst(l), wl.burst(r)), copies_sql(2)),
+    "four_times": (lambda l, r: (wl.burst(l, 4), wl.burst(r, 4)), copies_sql(4)),
+}
+for _size, (_f, _wrap) in SCALES.items():
+    for _tag in ("w1w", "w2b30"):
+        _spec = REGISTERED[_tag]
+        add(
+            f"scale_{_size}_{_tag}",
+            lambda s, d, f=_f, spec=_spec: work_and_errors(release.trace(kept(derive.summaries(spec, *f(*wl.sides(spec, s, d)))), seeds(spec.params, "default", n=1))),
+            sql.trace_sql(_spec, seeds(_spec.params, "default", n=1), WORK_AND_ERRORS_SQL, _wrap),
+        )
 WRAPS = {
     "density_sparse": (lambda l, r: (l, wl.sparse(r)), lambda k, q: f"SELECT * FROM ({q}) WHERE {sql.SPARSE}" if k == "r" else q),
-    "density_burst": (lambda l, r: (wl.burst(l), wl.burst(r)), lambda k, q: f"SELECT rid, key + c * {_OFFSET} AS key, day, step FROM ({q}), (VALUES (0), (1)) AS v(c)"),
-    "scale_replicate": (lambda l, r: (wl.burst(l, 4), wl.burst(r, 4)), lambda k, q: f"SELECT rid, key + c * {_OFFSET} AS key, day, step FROM ({q}), (VALUES (0), (1), (2), (3)) AS v(c)"),
+    "density_burst": (lambda l, r: (wl.burst(l), wl.burst(r)), copies_sql(2)),
+    "scale_replicate": (lambda l, r: (wl.burst(l, 4), wl.burst(r, 4)), copies_sql(4)),
 }
 for _name, (_f, _wrap) in WRAPS.items():
     for _tag, _spec in (("", wl.W1W), ("_w2", wl.W2)):
@@ -556,15 +673,28 @@ for _name, (_f, _wrap) in WRAPS.items():
             sql.trace_sql(_spec, seeds(_spec.params, "default"), SWEEP_SQL, _wrap),
         )
 
-BOUND_RUNS = [(f"seed{k}", "interval", _P1.but(interval=1, seed=str(1000 + k), purge_every=100_000)) for k in range(100)]
+_BOUND_SEEDS, _BETA = 200, 0.1
 
 
-def _bound(s: SparkSession, d: str) -> DataFrame:
-    """Share of seeds whose deferred rows at the last step exceed the bound for beta = 0.1, with no arrivals late."""
-    t = release.trace(sums(wl.W1W, s, d).filter("step <= 200"), BOUND_RUNS)
-    alpha = privacy.deferred_bound_interval(_P1.eps, _P1.budget, 200, 0.1)
-    return t.filter("step = 200").agg(F.round(F.lit(alpha), 6).alias("bound"), F.max("deferred").alias("most"), F.round(F.avg((F.col("deferred") >= alpha).cast("double")), 6).alias("exceeded"))
+def bound_query(name: str, strategy: str, p: Params, last: int, deferred_bound: float, dummy_bound: float) -> None:
+    """Over 200 seeds at one step: the bounds on deferred rows and on dummy rows in the view, the most there were, and
+    the share of seeds beyond each."""
+    runs = [(f"seed{k}", strategy, p.but(seed=str(1000 + k))) for k in range(_BOUND_SEEDS)]
 
-
-_ALPHA = privacy.deferred_bound_interval(_P1.eps, _P1.budget, 200, 0.1)
-add("deferred_bound", _bound, sql.trace_sql(wl.W1W, BOUND_RUNS, f"SELECT round(CAST({_ALPHA!r} AS DOUBLE), 6) AS bound, CAST(max(deferred) AS BIGINT) AS most, round(avg(CASE WHEN deferred >= {_ALPHA!r} THEN 1.0 ELSE 0.0 END), 6) AS exceeded FROM traced WHERE step = 200"))
+    def run(s: SparkSession, d: str) -> DataFrame:
+        t = release.trace(sums(wl.W1W, s, d).filter(F.col("step") <= last), runs).filter(F.col("step") == last).withColumn("dummies", F.col("view_rows") - F.col("answer"))
+        over = lambda c, most: F.round(F.avg((F.col(c) >= most).cast("double")), 6)
+        return t.agg(
+            F.round(F.lit(deferred_bound), 6).alias("deferred_bound"), F.max("deferred").alias("most_deferred"), over("deferred", deferred_bound).alias("deferred_exceeded"),
+            F.round(F.lit(dummy_bound), 6).alias("dummy_bound"), F.max("dummies").alias("most_dummies"), over("dummies", dummy_bound).alias("dummies_exceeded"),
+        )
+
+    over = lambda c, most: f"round(avg(CASE WHEN {c} >= {most!r} THEN 1.0 ELSE 0.0 END), 6)"
+    add(name, run, sql.trace_sql(wl.W1W, runs, f"""SELECT round(CAST({deferred_bound!r} AS DOUBLE), 6) AS deferred_bound, CAST(max(deferred) AS BIGINT) AS most_deferred, {over("deferred", deferred_bound)} AS deferred_exceeded,
+      round(CAST({dummy_bound!r} AS DOUBLE), 6) AS dummy_bound, CAST(max(view_rows - answer) AS BIGINT) AS most_dummies, {over("(view_rows - answer)", dummy_bound)} AS dummies_exceeded FROM traced WHERE step = {last}"""))
+
+
+# one release a step, so that 200 steps are 200 releases; the threshold rule with the default parameters
+_EACH = _P1.but(interval=1, purge_every=100, purge_size=15)
+bound_query("deferred_bound", "interval", _EACH, 199, privacy.deferred_bound_interval(_P1.eps, _P1.budget, 199, _BETA), privacy.view_bound_interval(_P1.eps, _P1.budget, 199, 1, 100, 15, _BETA))
+bound_query("threshold_bound", "threshold", _P1.but(purge_every=100, purge_size=15), 199, *privacy.bounds_threshold(_P1.eps, _P1.budget, 199, 100, 15))

@@ -38,19 +38,19 @@ def trace_with_udtf(sums: DataFrame, runs: list[tuple[str, str, Params]]) -> Dat
 
     @F.udtf(returnType="step int, c long, fires boolean, want long, real_out long, deferred long, discarded long")
     class ReleaseTrace:
-        def eval(self, strategy, arrivals, chk, rel, thr, every_steps, theta, thr0, purge_every, purge_size):
+        def eval(self, strategy, arrivals, chk, rel, thr, every_steps, theta, thr0, purge_every, purge_size, resets):
             noises = [{"chk": a, "rel": b, "thr": c} for a, b, c in zip(chk, rel, thr, strict=True)]
-            yield from walk(strategy, arrivals, noises, {"every_steps": every_steps, "theta": theta, "thr0": thr0, "purge_every": purge_every, "purge_size": purge_size})
+            yield from walk(strategy, arrivals, noises, {"every_steps": every_steps, "theta": theta, "thr0": thr0, "purge_every": purge_every, "purge_size": purge_size, "purge_resets_counter": resets})
 
     spark.udtf.register("pdpview_release_trace", ReleaseTrace)
     steps = release.threshold_noise(release.with_runs(sums, runs))
     scale = F.when(F.col("strategy") == "interval", 0.5).otherwise(1.0)  # interval noise has half the release scale of the threshold rule
     steps = steps.withColumn("rel", F.when(F.col("mech") & (F.col("strategy") == "interval"), F.col("rel") / 4).otherwise(F.col("rel") * scale)).withColumn("thr0", F.col("thr0") - F.col("theta"))
-    arrays = steps.groupBy("run", "strategy", "every_steps", "theta", "thr0", "purge_every", "purge_size").agg(F.array_sort(F.collect_list(F.struct("step", "n_real", "chk", "rel", "thr"))).alias("a"))
+    arrays = steps.groupBy("run", "strategy", "every_steps", "theta", "thr0", "purge_every", "purge_size", "resets").agg(F.array_sort(F.collect_list(F.struct("step", "n_real", "chk", "rel", "thr"))).alias("a"))
     arrays = arrays.select("*", *(F.col(f"a.{c}").alias(f"a_{c}") for c in ("n_real", "chk", "rel", "thr")))
     arrays.createOrReplaceTempView("pdpview_runs")
     return spark.sql(
-        "SELECT r.run, t.* FROM pdpview_runs r, LATERAL pdpview_release_trace(strategy, a_n_real, a_chk, a_rel, a_thr, every_steps, theta, thr0, purge_every, purge_size) t"
+        "SELECT r.run, t.* FROM pdpview_runs r, LATERAL pdpview_release_trace(strategy, a_n_real, a_chk, a_rel, a_thr, every_steps, theta, thr0, purge_every, purge_size, resets) t"
     )
 
 

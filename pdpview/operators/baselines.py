@@ -17,7 +17,7 @@ def by_step():
 
 def nm(sums: DataFrame) -> DataFrame:
     """No materialization: exact answers, each query joins all padded rows so far again."""
-    scanned = F.sum(F.col("n_left") + F.col("n_right")).over(by_step())
+    scanned = F.sum(F.col("up_left") + F.col("up_right")).over(by_step())
     truth = F.sum("n_true").over(by_step())
     return sums.select("step", truth.alias("truth"), truth.alias("answer"), F.lit(0).cast("long").alias("view_rows"), scanned.alias("scanned_rows"))
 

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from ..params import Params
-from ..sources.tables import EVENTS_ORIGIN, LINE_ORDER, ORDERS_ORIGIN
+from ..sources.tables import EVENTS_ORIGIN, LINE_ID, ORDERS_ORIGIN
 
 
 def orders_sql(days: int) -> str:
@@ -14,7 +14,7 @@ def orders_sql(days: int) -> str:
 
 def lines_sql(key: str, flag: str | None, days: int) -> str:
     where = f"AND l_returnflag = '{flag}'" if flag else ""
-    return f"""SELECT row_number() OVER (PARTITION BY {key} ORDER BY {", ".join(LINE_ORDER)}) AS rid, {key} AS key,
+    return f"""SELECT ('0x' || substr(md5(concat_ws('|', {", ".join(LINE_ID)})), 1, 15))::BIGINT AS rid, {key} AS key,
       CAST(l_shipdate AS DATE) AS day,
       CAST(floor(datediff('day', DATE '{ORDERS_ORIGIN}', CAST(l_shipdate AS DATE)) / {days}) + 1 AS INTEGER) AS step
       FROM lineitem WHERE {key} IS NOT NULL AND l_shipdate IS NOT NULL AND l_returnflag IS NOT NULL {where}"""
@@ -26,6 +26,7 @@ def events_sql(kind: str, hours: int) -> str:
       FROM events WHERE event_id IS NOT NULL AND ts IS NOT NULL AND user_id IS NOT NULL AND event_type = '{kind}'"""
 
 
+HALF = "(('0x' || substr(md5(CAST(key AS VARCHAR)), 1, 8))::BIGINT) % 2 = 0"
 SPARSE = "(('0x' || substr(md5(concat_ws('|', key, rid)), 1, 8))::BIGINT) % 10 = 0"
 
 
@@ -37,14 +38,14 @@ def sides_sql(name: str, omega: int | None = None) -> tuple[str, str]:
     if name.startswith("w2m"):
         hours = {"w2m_240": 120, "w2m_72": 36, "w2m_24": 12}[name]
         return events_sql("error", hours), events_sql("purchase", hours)
-    key = "l_suppkey" if name == "w2s" else "l_partkey"
+    key = "l_suppkey" if name.startswith("w2s") else "l_partkey"
     return lines_sql(key, "R", 5), lines_sql(key, "A", 5)
 
 
 def pairs_ctes(spec, wrap=lambda side, sql: sql) -> str:
     """CTEs l, r, truth, within_h, kept (columns born_step, key, l_rid, r_rid)."""
     p = spec.params
-    left, right = (wrap(k, s) for k, s in zip("lr", sides_sql(spec.name if not spec.name.startswith("w2b") else "w2"), strict=True))
+    left, right = (wrap(k, s) for k, s in zip("lr", sides_sql(spec.name), strict=True))
     lag = {"step": "r.step - l.step", "day": "datediff('day', l.day, r.day)", "hour": "(epoch_us(r.day) - epoch_us(l.day)) / 3.6e9"}[spec.lag_unit]
     born = "greatest(l.step, r.step)"
     late = f"{born} - {'l.step' if spec.right_public else 'least(l.step, r.step)'}"
@@ -66,9 +67,11 @@ def pairs_ctes(spec, wrap=lambda side, sql: sql) -> str:
 
 def sums_ctes(spec, wrap=lambda side, sql: sql) -> str:
     p = spec.params
-    private = "n_left" if spec.right_public else "n_left + n_right"
+    private = "up_left" if spec.right_public else "up_left + up_right"
+    ups = p.batch_cap or ("max(n_left) OVER ()", "max(n_right) OVER ()")
+    up_right = "n_right" if spec.right_public else ups[1]
     if p.pad_rule == "budget":
-        padded = f"{p.budget} * max({private}) OVER ()" if p.batch_cap is None else f"{p.budget * p.batch_cap}"
+        padded = f"{p.budget} * ({private})"
     else:
         padded = f"{p.omega} * sum({private}) OVER (ORDER BY step ROWS BETWEEN {p.horizon - 1} PRECEDING AND CURRENT ROW)"
     count = lambda cte, c: f"(SELECT {c} AS step, count(*) AS n FROM {cte} GROUP BY 1)"
@@ -80,7 +83,8 @@ def sums_ctes(spec, wrap=lambda side, sql: sql) -> str:
       FROM grid g LEFT JOIN {count("truth", "born_step")} a USING (step) LEFT JOIN {count("within_h", "born_step")} b USING (step)
       LEFT JOIN {count("kept", "born_step")} c USING (step) LEFT JOIN {count("l", "step")} d USING (step)
       LEFT JOIN {count("r", "step")} e USING (step)),
-    sums AS (SELECT step, n_true, n_within, n_real, CAST({padded} AS BIGINT) AS n_padded, n_left, n_right FROM sums0)"""
+    sums1 AS (SELECT *, CAST({ups[0]} AS BIGINT) AS up_left, CAST({up_right} AS BIGINT) AS up_right FROM sums0),
+    sums AS (SELECT step, n_true, n_within, n_real, CAST({padded} AS BIGINT) AS n_padded, n_left, n_right, up_left, up_right FROM sums1)"""
 
 
 def word(seed: str, server: int, purpose: str, step: str) -> str:
@@ -99,8 +103,8 @@ def laplace(z: str, scale: str) -> str:
 
 
 def runs_values(runs: list[tuple[str, str, Params]]) -> str:
-    rows = ", ".join(f"('{n}', '{s}', CAST({p.eps} AS DOUBLE), {p.budget}, {p.interval}, CAST({float(p.theta)} AS DOUBLE), {p.purge_every}, {p.purge_size}, '{p.seed}', {4.0 if p.scale_release == 'mechanism' else 2.0})" for n, s, p in runs)
-    return f"runs(run, strategy, eps, budget, every_steps, theta, purge_every, purge_size, seed, rel_k) AS (VALUES {rows})"
+    rows = ", ".join(f"('{n}', '{s}', CAST({p.eps} AS DOUBLE), {p.budget}, {p.interval}, CAST({float(p.theta)} AS DOUBLE), {p.purge_every}, {p.purge_size}, '{p.seed}', {4.0 if p.scale_release == 'mechanism' else 2.0}, {str(p.purge_resets_counter).upper()})" for n, s, p in runs)
+    return f"runs(run, strategy, eps, budget, every_steps, theta, purge_every, purge_size, seed, rel_k, resets) AS (VALUES {rows})"
 
 
 def trace_ctes(runs: list[tuple[str, str, Params]], sums: str = "sums", into: str = "traced") -> str:
@@ -114,7 +118,7 @@ def trace_ctes(runs: list[tuple[str, str, Params]], sums: str = "sums", into: st
         CAST(0 AS BIGINT) AS real_out, CAST(0 AS BIGINT) AS purge_real, CAST(0 AS BIGINT) AS discarded
       FROM runs r
       UNION ALL
-      SELECT run, step, CASE WHEN fires THEN 0 ELSE c END, CASE WHEN fires THEN theta + thr ELSE bound END,
+      SELECT run, step, CASE WHEN fires OR (resets AND flush) THEN 0 ELSE c END, CASE WHEN fires THEN theta + thr ELSE bound END,
         CASE WHEN flush THEN 0 ELSE depth - real_out END, c, fires, sz, want, real_out,
         CASE WHEN flush THEN least(depth - real_out, purge_size) ELSE 0 END,
         CASE WHEN flush THEN greatest(depth - real_out - purge_size, 0) ELSE 0 END
@@ -129,15 +133,45 @@ def trace_ctes(runs: list[tuple[str, str, Params]], sums: str = "sums", into: st
         {laplace(z["chk"], base + " * 8.0")} AS chk, {laplace(z["rel"], rel_scale)} AS rel, {laplace(z["thr"], base + " * 4.0")} AS thr
       FROM runs r, {sums} s),
     {sim},
-    {into} AS (SELECT t.run, r.strategy, t.step, s.n_real, s.n_true, s.n_within, s.n_padded, t.c, t.bound, t.fires, t.sz, t.want, t.real_out,
+    {into} AS (SELECT t.run, r.strategy, t.step, s.n_real, s.n_true, s.n_within, s.n_padded, s.n_up, t.c, t.bound, t.fires, t.sz, t.want, t.real_out,
         t.want - t.real_out AS dummy_out, t.purge_real, CASE WHEN t.step % r.purge_every = 0 THEN r.purge_size - t.purge_real ELSE 0 END AS purge_dummy,
         t.discarded, t.deferred, r.purge_every, r.purge_size, r.budget,
         sum(s.n_true) OVER w AS truth, sum(t.real_out + t.purge_real) OVER w AS answer,
         sum(t.want + CASE WHEN t.step % r.purge_every = 0 THEN r.purge_size ELSE 0 END) OVER w AS view_rows,
         abs(sum(s.n_true) OVER w - sum(t.real_out + t.purge_real) OVER w) AS l1
-      FROM {into}_sim t JOIN runs r USING (run) JOIN (SELECT step, n_real, n_true, n_within, n_padded FROM {sums}) s USING (step)
+      FROM {into}_sim t JOIN runs r USING (run) JOIN (SELECT step, n_real, n_true, n_within, n_padded, up_left + up_right AS n_up FROM {sums}) s USING (step)
       WHERE t.step > 0 WINDOW w AS (PARTITION BY t.run ORDER BY t.step))"""
 
 
 def trace_sql(spec, runs: list[tuple[str, str, Params]], select: str, wrap=lambda side, sql: sql) -> str:
     return f"WITH RECURSIVE {runs_values(runs)}, {sums_ctes(spec, wrap)}, {trace_ctes(runs)} {select}"
+
+
+PART = "(({key} + {rid}) % 64 + 64) % 64"
+
+
+def sent_ctes(rows: str, run: tuple[str, str, Params], count: str = "count(*)", only: str = "TRUE") -> str:
+    """CTEs of a first stage over plain rows (CTE ``own``: rid, key, day, step, ...): ``ot``, its trace, and ``sent``,
+    its released rows at their release step. ``count`` counts the rows that it releases, ``only`` selects them."""
+    return f"""{runs_values([run]).replace("runs(", "runs1(", 1)}, own AS ({rows}),
+    oup AS (SELECT step, {count} AS n FROM own GROUP BY 1),
+    og AS (SELECT CAST(unnest(generate_series(1, (SELECT max(step) FROM oup))) AS INTEGER) AS step),
+    osums AS (SELECT og.step, coalesce(n, 0) AS n_real, coalesce(n, 0) AS n_true, coalesce(n, 0) AS n_within, 0 AS n_padded, 0 AS up_left, 0 AS up_right FROM og LEFT JOIN oup USING (step)),
+    {trace_ctes([], sums="osums", into="ot").replace("FROM runs r", "FROM runs1 r").replace("JOIN runs r", "JOIN runs1 r")},
+    onum AS (SELECT *, row_number() OVER (PARTITION BY step ORDER BY {PART.format(key="key", rid="rid")}, key, rid) AS ord FROM own WHERE {only}),
+    oq AS (SELECT step, (step - 1) // purge_every AS epoch, real_out + purge_real AS k,
+      sum(real_out + purge_real) OVER (PARTITION BY (step - 1) // purge_every ORDER BY step) AS hi,
+      sum(n_real) OVER (PARTITION BY (step - 1) // purge_every ORDER BY step) - n_real AS before FROM ot),
+    sent AS (SELECT n.rid, n.key, n.day, q.step FROM onum n JOIN oq o ON o.step = n.step
+      JOIN oq q ON q.epoch = o.epoch AND q.k > 0 AND o.before + n.ord > q.hi - q.k AND o.before + n.ord <= q.hi)"""
+
+
+def over_sent(spec, rows: str, first: tuple[str, str, Params], second: tuple[str, str, Params], select: str, count: str = "count(*)", only: str = "TRUE") -> str:
+    """A view over rows that a first stage has sent, with the truth of all rows: CTEs ot (first trace) and traced."""
+    return f"""WITH RECURSIVE {runs_values([second])}, {sent_ctes(rows, first, count, only)},
+    {sums_ctes(spec, lambda side, q: "SELECT rid, key, day, step FROM sent" if side == "l" else q)},
+    whole AS (SELECT greatest(l.step, r.step) AS step, count(*) AS n FROM own l JOIN r ON l.key = r.key
+      WHERE {only} AND datediff('day', l.day, r.day) BETWEEN {spec.lag_lo} AND {spec.lag_hi} GROUP BY 1),
+    vsums AS (SELECT step, coalesce(n, 0) AS n_true, coalesce(n_within, 0) AS n_within, coalesce(n_real, 0) AS n_real,
+      coalesce(n_padded, 0) AS n_padded, coalesce(up_left, 0) AS up_left, coalesce(up_right, 0) AS up_right FROM sums FULL JOIN whole USING (step)),
+    {trace_ctes([], sums="vsums")} {select}"""

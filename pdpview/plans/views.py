@@ -16,6 +16,8 @@ class ViewSpec:
     """An equi-join of two growing tables with a bounded lag; ``right_public`` sides carry no budget.
 
     Sides have the columns rid, key, day (DATE or TIMESTAMP), step. ``lag_unit`` 'step' compares steps, 'day' days.
+    ``span`` is how many steps the right row of a pair may come after the left one (never before it); with it, pairs
+    are looked for among neighbouring steps of a key only, not in the key's whole history.
     """
 
     name: str
@@ -25,6 +27,7 @@ class ViewSpec:
     lag_hi: int
     lag_unit: str = "step"
     right_public: bool = False
+    span: int | None = None
     params: Params = field(default_factory=Params)
     steps_sql: dict[str, str] = field(default_factory=dict)
 

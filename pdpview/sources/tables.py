@@ -23,7 +23,10 @@ EVENTS_SCHEMA = T.StructType(
 #: First day of the order tables and of the events (fixed values).
 ORDERS_ORIGIN, EVENTS_ORIGIN = "1995-01-01", "2024-01-01"
 
+#: All columns, a total order of the lines.
 LINE_ORDER = ["l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus"]
+#: Columns that tell the lines apart.
+LINE_ID = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"]
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -48,8 +51,7 @@ def step_of_hours(time: Column, origin: str, hours: int) -> Column:
 def shared_folder(spark: SparkSession, purpose: str) -> str:
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
-        base = "/tmp/checkpoints"
-        spark.sparkContext.setCheckpointDir(base)
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return f"{base.rstrip('/')}/{purpose}-{uuid.uuid4().hex}"
 
 

@@ -2,16 +2,18 @@
 
 Rows arrive by event time; a step closes when the watermark has passed its end. For every closed step the derive
 stage reads the new step and the horizon before it, the counter and the threshold state are taken from a small state
-table, and a release command is made. Noise is drawn once for each (step, purpose) and stored before it is used, so
+table, and a release command is made; a purge first moves its public number of rows into the view. Noise is drawn once for each (step, purpose) and stored before it is used, so
 that a replayed batch releases the same sizes again. All tables are written by step with dynamic overwrite, which
-makes a replay idempotent.
+makes a replay idempotent. Closing a step reads the private rows of its horizon and the public rows since the oldest of them
+alone (folders of older steps are pruned), and how far time has come is kept as one row a batch. A row that comes again within the horizon is one row; the source
+must not send it again later, when its first copy has no budget left to be compared with.
 """
 
 from __future__ import annotations
 
 import math
 import os
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -22,7 +24,8 @@ from ..params import Params
 from ..plans.views import ViewSpec
 from ..sources.tables import EVENTS_ORIGIN, EVENTS_SCHEMA, step_of_hours
 
-STATE = "step int, n_real long, c long, bound double, depth long, fires boolean, want long, real_out long"
+STATE = "step int, n_real long, c long, bound double, depth long, fires boolean, want long, real_out long, purge_real long, purge_dummy long, discarded long"
+CLOCK = "batch long, newest timestamp"
 
 
 def event_stream(spark: SparkSession, path: str, per_trigger: int = 1) -> DataFrame:
@@ -65,8 +68,9 @@ class Maintainer:
         # a late row goes into the next open step: owners upload what has come since their last upload
         step = F.greatest(step_of_hours(F.col("day"), EVENTS_ORIGIN, self.step_hours), F.lit(closed + 1))
         if not self.has(f"rows/batch={batch_id}"):  # a replay keeps the steps that the rows were given first
+            self.put(r.filter("side IS NOT NULL").agg(F.max("day").alias("newest")).withColumn("batch", F.lit(batch_id).cast("long")), "clock", "batch")
             self.put(r.filter("side IS NOT NULL").withColumn("step", step), "rows", "batch", "step")
-        newest = self.table("rows", self.ROWS).agg(F.max("day").alias("t")).first()["t"]
+        newest = self.table("clock", CLOCK).agg(F.max("newest")).first()[0]
         if newest is None:
             return
         open_at = self.spark.range(1).select(step_of_hours(F.lit(newest) - F.expr(f"INTERVAL {self.lateness_hours} HOURS"), EVENTS_ORIGIN, self.step_hours).alias("s")).first()["s"]
@@ -77,9 +81,14 @@ class Maintainer:
         return (self.table("state", STATE).agg(F.max("step")).first()[0] or 0) if self.has("state") else 0
 
     def close(self, t: int) -> None:
-        rows = self.table("rows", self.ROWS).dropDuplicates(["side", "rid"])
-        left, right = (rows.filter(F.col("side") == s).select("rid", "key", "day", "step") for s in "LR")
-        pairs = derive.numbered(derive.increment(self.spec, left, right, t))
+        sides = []
+        for s, first in (("L", t - self.spec.params.horizon + 1), ("R", None)):
+            if first is None:  # no partner of an active row is older than that row; a late row may meet earlier steps
+                oldest = sides[0].agg(F.min("day")).first()[0]
+                first = t if oldest is None else self.spark.range(1).select(step_of_hours(F.lit(oldest), EVENTS_ORIGIN, self.step_hours).alias("s")).first()["s"]
+            d = self.table("rows", self.ROWS).filter((F.col("side") == s) & (F.col("step") <= t) & (F.col("step") >= first))
+            sides.append(d.groupBy("rid").agg(F.min(F.struct("step", "key", "day")).alias("x")).select("rid", "x.key", "x.day", "x.step"))
+        pairs = derive.numbered(derive.increment(replace(self.spec, span=None), *sides, t))
         self.put(pairs.withColumn("step", F.lit(t)), "pairs", "step")
         n = self.table("pairs", self.PAIRS).filter(F.col("step") == t).count()
         before = self.table("state", STATE).filter(F.col("step") == t - 1).first() if t > 1 and self.has("state") else None
@@ -101,14 +110,15 @@ class Maintainer:
         return self.spark.read.schema("chk long, rel long, thr long").parquet(self.path(name)).first().asDict()
 
     def advance(self, t: int, n: int, before) -> tuple:
-        """The state after step ``t``; purge included."""
+        """The state after step ``t``, by the same rule as ``release.trace``: check and release, then the purge."""
         p: Params = self.spec.params
         z, scale = self.words(t), p.budget / p.eps
         if before is None:
             c, depth = 0, 0
             bound = p.theta + noise.laplace_value(self.words(0)["thr"], 4 * scale)
         else:
-            c, depth = (0 if before.fires else before.c), before.depth
+            reset = p.purge_resets_counter and before.step % p.purge_every == 0
+            c, depth = (0 if before.fires or reset else before.c), before.depth
             bound = before.bound
             if before.fires:
                 bound = p.theta + noise.laplace_value(self.words(t - 1)["thr"], 4 * scale)
@@ -116,13 +126,15 @@ class Maintainer:
         if self.strategy == "interval":
             fires, rel = t % p.interval == 0, scale
         else:
-            fires, rel = c + noise.laplace_value(z["chk"], 8 * scale) >= bound, 2 * scale
+            fires, rel = c + noise.laplace_value(z["chk"], 8 * scale) >= bound, (4 if p.scale_release == "mechanism" else 2) * scale
         want = max(0, math.floor(c + noise.laplace_value(z["rel"], rel) + 0.5)) if fires else 0
         out = min(want, depth)
         depth -= out
+        saved = dummies = lost = 0
         if t % p.purge_every == 0:
-            depth = 0
-        return t, n, c, bound, depth, bool(fires), want, out
+            saved = min(depth, p.purge_size)
+            dummies, lost, depth = p.purge_size - saved, depth - saved, 0
+        return t, n, c, bound, depth, bool(fires), want, out, saved, dummies, lost
 
     def run(self, path: str, checkpoint: str | None = None) -> DataFrame:
         """Consumes what is there and returns the state table."""

@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 from pdpview.catalog import QUERIES
-from pdpview.operators import query, relational  # noqa: F401
+from pdpview.operators import derive, query, relational  # noqa: F401
+from pdpview.plans import workloads as wl
 
 
 def plan(df) -> str:
@@ -33,3 +34,14 @@ def test_no_global_window_on_rows(spark, small):
 
 def test_derive_has_no_python(spark, small):
     assert "Python" not in plan(QUERIES["w1w_pairs_truncated"].run(spark, small)) and "Pandas" not in plan(QUERIES["interval_release"].run(spark, small))
+
+
+def test_pairs_are_joined_by_key_and_step(spark, small):
+    for name in ("w2_truth_by_step", "w1w_truth_by_step"):
+        joins = [x for x in plan(QUERIES[name].run(spark, small)).splitlines() if "Join" in x]
+        assert joins and all("near" in x for x in joins)
+
+
+def test_numbering_splits_a_step(spark, small):
+    text = plan(derive.numbered(derive.derive(wl.W1W, *wl.sides(wl.W1W, spark, small))))
+    assert "hashpartitioning(born_step" in text and all("__part" in x for x in text.splitlines() if "row_number" in x and "Window" in x and "born_step" in x and "l_rid" in x and "ord" not in x and "__i" in x)

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -49,9 +51,9 @@ def test_interval_join(spark, small, files, tmp_path):
     assert spark.table("pairs").count() == n
 
 
-@pytest.mark.parametrize("strategy", ["interval", "threshold"])
-def test_maintained_view_equals_batch(spark, small, files, tmp_path, strategy):
-    spec = wl.W2M72
+@pytest.mark.parametrize(("strategy", "changes"), [("interval", {}), ("threshold", {}), ("interval", {"purge_every": 4, "purge_size": 6}), ("threshold", {"purge_every": 4, "purge_size": 6, "purge_resets_counter": True, "eps": 20.0})])
+def test_maintained_view_equals_batch(spark, small, files, tmp_path, strategy, changes):
+    spec = replace(wl.W2M72, params=wl.W2M72.params.but(**changes))
     m = Maintainer(spark, str(tmp_path / "m"), spec, strategy, 36)
     state = {r.step: r for r in m.run(files).collect()}
     t = release.trace(derive.summaries(spec, *wl.sides(spec, spark, small)), [("x", strategy, spec.params)]).orderBy("step").collect()
@@ -59,6 +61,8 @@ def test_maintained_view_equals_batch(spark, small, files, tmp_path, strategy):
     for r in t[: len(state)]:
         s = state[r.step]
         assert (s.n_real, s.c, s.fires, s.want, s.real_out) == (r.n_real, r.c, r.fires, r.want, r.real_out)
+        assert (s.purge_real, s.purge_dummy, s.discarded, s.depth) == (r.purge_real, r.purge_dummy, r.discarded, r.deferred)
+    assert not changes or sum(s.purge_real for s in state.values()) > 0
     again = m.spark.read.parquet(files).limit(0)
     m.batch(load(spark, small, "events").filter(F.dayofmonth("ts") <= 8), 0)  # a replayed first batch
     assert {r.step: (r.step, r.n_real, r.c, r.want) for r in m.table("state", "step int, n_real long, c long, want long").collect()} == {k: (r.step, r.n_real, r.c, r.want) for k, r in state.items()}

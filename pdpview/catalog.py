@@ -72,12 +72,13 @@ ERRORS_SQL = """SELECT run, round(avg(abs(truth - answer)), 6) AS mean_l1,
   round(avg(abs(truth - answer)) / avg(truth), 6) AS rel_of_means FROM traced GROUP BY run"""
 SIZES_SQL = """SELECT run, round(avg(view_rows), 6) AS mean_rows, round(avg(view_rows) * 16 * 2 / 1e6, 6) AS mean_mb,
   CAST(max(view_rows) AS BIGINT) AS last_rows FROM traced GROUP BY run"""
-SWEEP_SQL = """SELECT run, round(avg(l1), 6) AS mean_l1, round(avg(view_rows), 6) AS mean_rows,
+SWEEP_SQL = """SELECT run, round(avg(l1), 6) AS mean_l1, round(avg(view_rows), 6) AS mean_rows, CAST(sum(view_rows) AS BIGINT) AS scanned_rows,
   CAST(sum(CASE WHEN fires THEN 1 ELSE 0 END) AS BIGINT) AS releases FROM traced GROUP BY run"""
 
 
 def sweep(t: DataFrame) -> DataFrame:
-    return t.groupBy("run").agg(F.round(F.avg("l1"), 6).alias("mean_l1"), F.round(F.avg("view_rows"), 6).alias("mean_rows"), F.sum(F.col("fires").cast("long")).alias("releases"))
+    """Error beside query cost (rows that one query at every step scans in all) and number of releases, by run."""
+    return t.groupBy("run").agg(F.round(F.avg("l1"), 6).alias("mean_l1"), F.round(F.avg("view_rows"), 6).alias("mean_rows"), F.sum("view_rows").cast("long").alias("scanned_rows"), F.sum(F.col("fires").cast("long")).alias("releases"))
 
 
 # --- truth and truncation ------------------------------------------------------------------------------------------
@@ -484,6 +485,7 @@ _OPEN2 = replace(wl.W2B30, params=wl.W2B30.params.but(batch_cap=_CAPS, purge_eve
 for _s in ("interval", "threshold"):
     transcript_queries(_s, _OPEN1, _s)
     transcript_queries(f"{_s}_w2", _OPEN2, _s)
+QUERIES["simulator_sizes"] = QUERIES["simulator_interval"]
 add("mech_interval", lambda s, d: leakage.mech_interval(sums(wl.W1W, s, d), _P1), sql.trace_sql(wl.W1W, [_I], "SELECT step, CAST(want AS BIGINT) AS v FROM traced"))
 add("mech_threshold", lambda s, d: leakage.mech_threshold(sums(wl.W1W, s, d), _P1), sql.trace_sql(wl.W1W, [_T], "SELECT step, CAST(want AS BIGINT) AS v FROM traced"))
 

@@ -41,7 +41,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .texts import Scratch, give_back, stored
+from .texts import Scratch, give_back, hot_keys, lookup, stored
 
 #: A-Z to a-z in UTF-8 bytes.
 LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
@@ -49,8 +49,6 @@ MIX = np.uint64(0x9E3779B97F4A7C15)
 BITMAP_WORDS = 16
 #: In packs for hash ranges, values from here on stand for counts, not for sets; fingerprints never fall there.
 COUNT, COUNT_RANGE = -(1 << 63), 1 << 40
-#: So many keys of a frame are treated as hot, if they have so many rows and the frame so many bytes; shares of each.
-HOT_KEYS, HOT_ROWS, HOT_BYTES, SHARES = 500, 1000, 1 << 20, 64
 
 
 @dataclass(frozen=True)
@@ -287,27 +285,6 @@ def index_nodes(shared: DataFrame, sizes: DataFrame, cfg: JoinConfig) -> DataFra
     return r.mapInArrow(bitmaps, "fp long, n long, u long, toks array<long>, bits array<long>")
 
 
-def hot_keys(df: DataFrame, key: str) -> list:
-    """The most frequent keys of a stored frame, at most ``HOT_KEYS`` of them; small frames have none that matter."""
-    if int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()) < HOT_BYTES:
-        return []
-    sizes = df.filter(F.col(key).isNotNull()).groupBy(key).agg(F.count("*").alias("k")).filter(F.col("k") >= HOT_ROWS)
-    return [r[0] for r in sizes.orderBy(F.desc("k")).limit(HOT_KEYS).select(key).collect()]
-
-
-def lookup(left: DataFrame, right: DataFrame, key: str, other: str, how: str = "inner", hot: list | None = None) -> DataFrame:
-    """``left`` with the columns of ``right``, which has one row for a key at most.
-
-    Rows of ``left`` with a hot key (or none) are dealt out by the hash of the column ``other``, and a hot key's row of
-    ``right`` is repeated for each share: no task meets such a key's rows alone.
-    """
-    hot = hot_keys(left, key) if hot is None else hot
-    is_hot = F.col(key).isin(hot) if hot else F.lit(False)
-    dealt = left.withColumn("__share", F.when(F.col(key).isNull() | is_hot, F.pmod(F.xxhash64(other), F.lit(SHARES))).otherwise(F.lit(0)).cast("int"))
-    given = right.withColumn("__share", F.explode(F.when(is_hot, F.sequence(F.lit(0), F.lit(SHARES - 1))).otherwise(F.array(F.lit(0)))) if hot else F.lit(0))
-    return dealt.join(given.hint("merge"), [key, "__share"], how).drop("__share")
-
-
 def components(edges: DataFrame, keep: Scratch) -> DataFrame:
     """v, c: the smallest node reachable from each node of ``edges`` (a, b)."""
     both = keep(edges.select("a", "b").union(edges.select(F.col("b"), F.col("a"))).distinct(), "edges")

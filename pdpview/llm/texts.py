@@ -23,6 +23,9 @@ def words_of(text: str | None) -> list[str]:
     return WORDS.findall(text) if text else []
 
 
+#: So many keys of a frame are treated as hot, if they have so many rows and the frame so many bytes; shares of each.
+HOT_KEYS, HOT_ROWS, HOT_BYTES, SHARES = 500, 1000, 1 << 20, 64
+
 _KEPT: dict[str, tuple[str, object]] = {}
 
 
@@ -111,6 +114,27 @@ def stored(df: DataFrame, purpose: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def hot_keys(df: DataFrame, key: str) -> list:
+    """The most frequent keys of a frame, at most ``HOT_KEYS`` of them; small frames have none that matter."""
+    if int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()) < HOT_BYTES:
+        return []
+    sizes = df.filter(F.col(key).isNotNull()).groupBy(key).agg(F.count("*").alias("k")).filter(F.col("k") >= HOT_ROWS)
+    return [r[0] for r in sizes.orderBy(F.desc("k")).limit(HOT_KEYS).select(key).collect()]
+
+
+def lookup(left: DataFrame, right: DataFrame, key: str, other: str, how: str = "inner", hot: list | None = None, hint: str | None = "merge") -> DataFrame:
+    """``left`` with the columns of ``right``, which has one row for a key at most.
+
+    Rows of ``left`` with a hot key (or none) are dealt out by the hash of the column ``other``, and a hot key's row of
+    ``right`` is repeated for each share: no task meets such a key's rows alone.
+    """
+    hot = hot_keys(left, key) if hot is None else hot
+    is_hot = F.col(key).isin(hot) if hot else F.lit(False)
+    dealt = left.withColumn("__share", F.when(F.col(key).isNull() | is_hot, F.pmod(F.xxhash64(other), F.lit(SHARES))).otherwise(F.lit(0)).cast("int"))
+    given = right.withColumn("__share", F.explode(F.when(is_hot, F.sequence(F.lit(0), F.lit(SHARES - 1))).otherwise(F.array(F.lit(0)))) if hot else F.lit(0))
+    return dealt.join(given.hint(hint) if hint else given, [key, "__share"], how).drop("__share")
+
+
 class Scratch:
     """Stored frames of one computation; ``with`` deletes their folders at its end, so nothing lazy may leave it."""
 

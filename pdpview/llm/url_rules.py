@@ -22,7 +22,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .texts import Scratch, stored
+from .texts import Scratch, lookup, stored
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -117,6 +117,7 @@ def judge_urls(pages: DataFrame, rules: list[Rule], cfg: RankConfig = RankConfig
     seeds = p.filter(F.col("host") != "").groupBy("host").agg(F.avg(F.when(F.col("said") == "allow", 1.0).otherwise(0.0)).alias("trust"), F.avg(F.when(F.col("said") == "block", 1.0).otherwise(0.0)).alias("distrust"))
     ranks = propagate(seeds, host_edges(pages.select(host.alias("host"), F.col(html_col).alias("html"))), cfg)
     judged = lambda c: F.when(F.col("linked"), F.greatest(F.col("own_" + c), F.col(c) / F.col("all_" + c))).otherwise(F.col("own_" + c))
-    bad = ranks.select(F.col("host").alias("h"), *(judged(c).alias(c) for c in ("trust", "distrust")))
+    bad = ranks.select("host", *(judged(c).alias(c) for c in ("trust", "distrust")))
     verdict = F.when(F.col("said").isNotNull(), F.col("said")).when((F.col("distrust") >= cfg.block_from) & (F.col("distrust") > F.col("trust")), "block").otherwise("allow")
-    return p.join(bad, p.host == bad.h, "left").select("page_id", "host", "path", "rule", verdict.alias("verdict"), "trust", "distrust")
+    # pages of a hot host are dealt out; Spark broadcasts the hosts if they turn out to be few
+    return lookup(p, bad, "host", "page_id", "left", hint=None).select("page_id", "host", "path", "rule", verdict.alias("verdict"), "trust", "distrust")

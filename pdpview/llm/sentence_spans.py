@@ -31,10 +31,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .texts import WORDS, map_texts, words_of
+from .texts import map_texts, words_of
 
 SENTENCE_END = re.compile(r"(?<=[.!?])[\x20\x09-\x0D]+|\n[\x20\x09-\x0D]*")
 
+ANY_WORD = re.compile(r"\S+")  # what str.split gives
 
 #: Stands for a null id; it comes before all ids.
 NO_ID = -(1 << 63)
@@ -60,14 +61,27 @@ def sentence_bounds(text: str) -> list[tuple[int, int]]:
     return out
 
 
+_ENDS: dict[str, bool] = {}
+
+
+def ends_piece(word: str) -> bool:
+    """Whether a long sentence is cut after this lower-cased word: by the word's own hash, so alike anywhere."""
+    end = _ENDS.get(word)
+    if end is None:
+        if len(_ENDS) >= 200_000:
+            _ENDS.clear()
+        end = _ENDS[word] = crc32(word.encode("utf-8", "replace")) % 6 == 0
+    return end
+
+
 def cut_long(text: str, a: int, b: int) -> list[tuple[int, int]]:
-    """Bounds of a long stretch, cut after words picked by their own hash: the same words are cut alike anywhere."""
+    """Bounds of the pieces of a long sentence."""
     out, at, last = [], a, False
-    for m in WORDS.finditer(text, a, b):
+    for m in ANY_WORD.finditer(text, a, b):
         if last:
             out.append((at, m.start()))
             at = m.start()
-        last = crc32(m[0].lower().encode("utf-8", "replace")) % 6 == 0
+        last = ends_piece(m[0].lower())
     return [*out, (at, b)]
 
 
@@ -109,6 +123,41 @@ def spans(text: str | None, cfg: SpanConfig) -> tuple[list[tuple[int, int]], lis
     return [x[:2] for x in u], out
 
 
+def span_hashes(text: str | None, cfg: SpanConfig) -> list[bytes]:
+    """The hashes of ``spans`` alone, without places."""
+    from xxhash import xxh3_128_digest
+
+    if not text:
+        return []
+    norm, count = [], []
+    for sentence in SENTENCE_END.split(text):
+        words = sentence.lower().split()
+        if not words:
+            continue
+        if not cfg.long or len(words) <= cfg.long:
+            norm.append(" ".join(words))
+            count.append(len(words))
+            continue
+        at = 0
+        for k in [k for k, w in enumerate(words, 1) if ends_piece(w)]:
+            norm.append(" ".join(words[at:k]))
+            count.append(k - at)
+            at = k
+        if at < len(words):
+            norm.append(" ".join(words[at:]))
+            count.append(len(words) - at)
+    out, j, total, n, least, few = [], 0, 0, len(norm), cfg.least_words, cfg.sentences
+    for i in range(n):
+        while j < n and (j - i < few or total < least):
+            total += count[j]
+            j += 1
+        if j - i < few or total < least:
+            break
+        out.append(xxh3_128_digest(" ".join(norm[i:j])))
+        total -= count[i]
+    return out
+
+
 def repeated_spans(docs: DataFrame, cfg: SpanConfig = SpanConfig(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc, hits: hashes of each document's spans that occur in an earlier document (``whole``) or earlier in this one."""
 
@@ -120,7 +169,7 @@ def repeated_spans(docs: DataFrame, cfg: SpanConfig = SpanConfig(), id_col: str
                 again: list[bool] = []
                 sizes = []
                 for t in part.column(1).to_pylist():
-                    times = Counter(x[0] for x in spans(t, cfg)[1])  # a span goes out once for each document
+                    times = Counter(span_hashes(t, cfg))  # a span goes out once for each document
                     digests += times.keys()
                     again += [k > 1 for k in times.values()]
                     sizes.append(len(times))

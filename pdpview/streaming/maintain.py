@@ -2,11 +2,13 @@
 
 Rows arrive by event time; a step closes when the watermark has passed its end. For every closed step the derive
 stage reads the new step and the horizon before it, the counter and the threshold state are taken from a small state
-table, and a release command is made; a purge first moves its public number of rows into the view. Noise is drawn once for each (step, purpose) and stored before it is used, so
-that a replayed batch releases the same sizes again. All tables are written by step with dynamic overwrite, which
-makes a replay idempotent. Closing a step reads the private rows of its horizon and the public rows since the oldest of them
-alone (folders of older steps are pruned), and how far time has come is kept as one row a batch. A row that comes again within the horizon is one row; the source
-must not send it again later, when its first copy has no budget left to be compared with.
+table, and a release command is made; a purge first moves its public number of rows into the view. Noise is drawn
+once for each (step, purpose) and stored before it is used, so that a replayed batch releases the same sizes again. All
+tables are written by step with dynamic overwrite, which makes a replay idempotent.
+
+Closing a step reads the private rows of its horizon and the public rows since the oldest of them alone (folders of
+other steps are pruned), and how far time has come is kept as one row a batch. A row that comes again within the
+horizon is one row; the source must not send it again later, when its first copy is read no more.
 """
 
 from __future__ import annotations

@@ -8,7 +8,9 @@ from dataclasses import replace
 
 import pytest
 from pyspark.sql import functions as F
+from twins import differences, duck
 
+from pdpview.catalog import QUERIES
 from pdpview.functions import noise, privacy, shares
 from pdpview.functions.udtf import walk
 from pdpview.operators import buffer, budget, derive, leakage, metrics, multilevel, query, release, steps, truncate
@@ -359,6 +361,25 @@ def test_batch_above_its_declared_size_is_an_error(spark, small):
         derive.summaries(spec, *wl.sides(spec, spark, small)).collect()
 
 
+@pytest.fixture(scope="session")
+def crowded(spark, small, tmp_path_factory):
+    """The smallest tables with one order of 4,500 lines, returned and kept, in one step: above the declared 4,096."""
+    folder = tmp_path_factory.mktemp("crowded")
+    orders, lines = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("orders", "lineitem"))
+    o = orders.filter("o_orderdate >= '1996-02-01'").orderBy("o_orderkey").limit(1).withColumn("o_orderkey", F.lit(10_000_000).cast("long"))
+    more = lines.limit(1).drop("l_returnflag").join(spark.range(9000).select(F.col("id").alias("k")))
+    more = more.join(o.select(F.col("o_orderdate").alias("at"))).withColumns({"l_orderkey": F.lit(10_000_000).cast("long"), "l_linenumber": F.col("k").cast("int"), "l_shipdate": F.col("at"), "l_returnflag": F.when(F.col("k") % 2 == 0, "R").otherwise("A")})
+    orders.union(o).write.parquet(f"{folder}/orders.parquet")
+    lines.union(more.withColumn("l_partkey", F.col("k") % 2000).select(*lines.columns)).write.parquet(f"{folder}/lineitem.parquet")
+    return str(folder)
+
+
+@pytest.mark.parametrize("name", ["simulator_interval"])
+def test_queries_with_batches_above_the_declared_size(spark, crowded, name):
+    q = QUERIES[name]
+    assert differences(q.run(spark, crowded), q.sql, duck(crowded)) == ""
+
+
 def queue_brute(arrivals: dict[int, list], traced) -> dict:
     """First in, first out, with purges: the step at which each row leaves."""
     waiting, out = [], {}

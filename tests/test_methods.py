@@ -374,7 +374,7 @@ def crowded(spark, small, tmp_path_factory):
     return str(folder)
 
 
-@pytest.mark.parametrize("name", ["simulator_interval", "simulator_sizes", "simulator_threshold", "transcript_interval", "transcript_threshold", "simulator_interval_w2", "simulator_threshold_w2", "transcript_interval_w2"])
+@pytest.mark.parametrize("name", ["simulator_interval", "simulator_sizes", "simulator_threshold", "transcript_interval", "transcript_threshold", "simulator_interval_w2", "simulator_threshold_w2", "transcript_interval_w2", "transcript_threshold_w2"])
 def test_queries_with_batches_above_the_declared_size(spark, crowded, name):
     q = QUERIES[name]
     assert differences(q.run(spark, crowded), q.sql, duck(crowded)) == ""

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import pytest
+
 from pdpview.catalog import QUERIES
 from pdpview.operators import derive, query, relational  # noqa: F401
 from pdpview.plans import workloads as wl
@@ -45,3 +47,8 @@ def test_pairs_are_joined_by_key_and_step(spark, small):
 def test_numbering_splits_a_step(spark, small):
     text = plan(derive.numbered(derive.derive(wl.W1W, *wl.sides(wl.W1W, spark, small))))
     assert "hashpartitioning(born_step" in text and all("__part" in x for x in text.splitlines() if "row_number" in x and "Window" in x and "born_step" in x and "l_rid" in x and "ord" not in x and "__i" in x)
+
+
+@pytest.mark.parametrize("name", ["joint_noise"])
+def test_noise_and_surface_read_a_given_table(spark, small, name):
+    assert "FileScan parquet" in plan(QUERIES[name].run(spark, small)) and "orders.parquet" in plan(QUERIES[name].run(spark, small))

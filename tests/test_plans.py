@@ -49,6 +49,6 @@ def test_numbering_splits_a_step(spark, small):
     assert "hashpartitioning(born_step" in text and all("__part" in x for x in text.splitlines() if "row_number" in x and "Window" in x and "born_step" in x and "l_rid" in x and "ord" not in x and "__i" in x)
 
 
-@pytest.mark.parametrize("name", ["joint_noise", "agg_noise_stats", "fn_maps", "geometric_noise", "join_cross", "joint_noise_three_servers"])
+@pytest.mark.parametrize("name", ["joint_noise", "agg_noise_stats", "fn_maps", "geometric_noise", "join_cross", "joint_noise_three_servers", "udf_noise"])
 def test_noise_and_surface_read_a_given_table(spark, small, name):
     assert "FileScan parquet" in plan(QUERIES[name].run(spark, small)) and "orders.parquet" in plan(QUERIES[name].run(spark, small))

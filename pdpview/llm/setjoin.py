@@ -5,7 +5,8 @@ Sets: distinct 5-word shingles as 64-bit hashes. Documents with equal sets are o
 1. Shared shingles. Each task packs its sets' hashes by hash range into compact sorted blocks; one task for each
    range finds the shingles that two or more different sets hold, with their frequencies. Only those go on. A shingle
    that is frequent already inside a pack sends its count there and its sets elsewhere, dealt out by pack, so that no
-   task meets all sets of a hot shingle; a join brings the frequencies back.
+   task meets all sets of a hot shingle; a join brings the frequencies back, one row for each pack and shingle, and
+   the pack tells its sets.
 2. Index. A set needs 80 % of its shingles shared to have any partner; others leave. A set's shared shingles are
    ordered from rare to frequent (its private ones come before all), and by the prefix principle two sets can only
    link if they meet in the index list of one of their first n - ceil(0.8 n) + 1 shingles.
@@ -163,7 +164,8 @@ def unpack(raw: bytes, n: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str, keep: Scratch) -> DataFrame:
-    """fp, tok, df: the shingles that at least two different sets hold, for each set that holds them."""
+    """fp, x, often: the shingles (df, tok) that at least two different sets hold, for each set that holds them: one
+    row with x for each shingle, but one row with the array ``often`` for all shingles that are frequent in a pack."""
     ranges = cfg.ranges * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -172,6 +174,7 @@ def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str, keep: Scrat
         sh = Shingler(cfg.words)
         sets: dict[int, np.ndarray] = {}
         held, packs, task = 0, 0, TaskContext.get().partitionId()
+        schema = pa.schema([("p", pa.int32()), ("pack", pa.int64()), ("n", pa.int64()), ("fps", pa.binary()), ("packed", pa.binary())])
 
         def flush() -> pa.RecordBatch:
             fps = np.fromiter(sets.keys(), np.int64, len(sets))
@@ -182,11 +185,11 @@ def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str, keep: Scrat
             first = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]]))
             times = np.diff(np.append(first, len(h)))
             often = times >= cfg.heavy
-            cols: tuple[list, ...] = ([], [], [], [])
+            cols: tuple[list, ...] = ([], [], [], [], [])
 
             def put(p: int, h: np.ndarray, owner: np.ndarray, names: np.ndarray) -> None:
                 used, local = np.unique(owner, return_inverse=True)
-                for c, v in zip(cols, (p, len(h), names[used].tobytes(), pack(h, local)), strict=True):
+                for c, v in zip(cols, (p, (task << 32) + packs, len(h), names[used].tobytes(), pack(h, local)), strict=True):
                     c.append(v)
 
             if often.any():
@@ -206,8 +209,7 @@ def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str, keep: Scrat
                 a, b = int(cuts[p]), int(cuts[p + 1])
                 if a < b:
                     put(p, h2[a:b], owner2[a:b], names)
-            types = (pa.int32(), pa.int64(), pa.binary(), pa.binary())
-            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=["p", "n", "fps", "packed"])
+            return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(cols, schema, strict=True)], schema=schema)
 
         for batch in batches:
             for at in range(0, batch.num_rows, cfg.texts):
@@ -224,7 +226,15 @@ def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str, keep: Scrat
         give_back()
 
     def meet(table: pa.Table) -> pa.Table:
-        """Rows (fp, tok, df); df is null for sets of frequent shingles, fp is null where such a shingle's df stands."""
+        """Rows (fp, tok, df); fp is null where a frequent shingle's df stands. A pack of sets of frequent shingles goes
+        on as it is, beside a row (pack, tok) for each of its shingles."""
+        if table.column("p")[0].as_py() >= ranges:
+            toks = [np.unique(unpack(raw, n)[0]) for n, raw in zip(*(table.column(c).to_pylist() for c in ("n", "packed")), strict=True)]
+            give_back()
+            names, none = np.repeat(table.column("pack").to_numpy(), [len(t) for t in toks]), lambda n: pa.nulls(n, pa.int64())
+            asked = pa.table({"fp": none(len(names)), "tok": np.concatenate(toks).view(np.int64), "df": none(len(names)), "pack": names})
+            gone = pa.table({k: none(len(table)) for k in ("fp", "tok", "df")} | {k: table.column(k) for k in ("pack", "n", "fps", "packed")})
+            return pa.concat_tables([gone, asked], promote_options="default").select(gone.column_names)
         hs, fs = [], []
         for n, fps, raw in zip(*(table.column(c).to_pylist() for c in ("n", "fps", "packed")), strict=True):
             h, o = unpack(raw, n)
@@ -233,8 +243,6 @@ def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str, keep: Scrat
         h, f = np.concatenate(hs), np.concatenate(fs)
         del hs, fs
         give_back()
-        if table.column("p")[0].as_py() >= ranges:
-            return pa.table({"fp": f, "tok": h.view(np.int64), "df": pa.nulls(len(h), pa.int64())})
         counted = (f >= COUNT) & (f < COUNT + COUNT_RANGE)
         order = np.argsort(h, kind="stable")
         h, f, counted = h[order], f[order], counted[order]
@@ -254,12 +262,30 @@ def shared_shingles(docs: DataFrame, cfg: JoinConfig, text_col: str, keep: Scrat
         rows = ~counted & (each > 1)
         fp = pa.concat_arrays([pa.array(f[rows]), pa.nulls(int(frequent.sum()), pa.int64())])
         tok = np.concatenate([h[rows], h[start[frequent]]]).view(np.int64)
-        return pa.table({"fp": fp, "tok": tok, "df": np.concatenate([each[rows], df[frequent]]).astype(np.int64)})
-
-    packed = docs.select(text_col).mapInArrow(blocks, "p int, n long, fps binary, packed binary")
-    met = keep(packed.groupBy("p").applyInArrow(meet, "fp long, tok long, df long"), "shared")
-    often = met.filter("df IS NULL").select("fp", "tok").join(met.filter("fp IS NULL").select("tok", "df").hint("merge"), "tok")
-    return met.filter("fp IS NOT NULL AND df IS NOT NULL").unionByName(often)
+        none = {k: pa.nulls(len(fp), t) for k, t in (("pack", pa.int64()), ("n", pa.int64()), ("fps", pa.binary()), ("packed", pa.binary()))}
+        return pa.table({"fp": fp, "tok": tok, "df": np.concatenate([each[rows], df[frequent]]).astype(np.int64)} | none)
+
+    def told(sent: pa.Table, known: pa.Table) -> pa.Table:
+        """One row for each set of a pack: its frequent shingles with their frequencies."""
+        n, fps, raw = (sent.column(c)[0].as_py() for c in ("n", "fps", "packed"))
+        h, owner = unpack(raw, n)
+        tok, df = known.column("tok").to_numpy().view(np.uint64), known.column("df").to_numpy()
+        order = np.argsort(tok)
+        df = df[order][np.searchsorted(tok[order], h)]
+        order = np.argsort(owner, kind="stable")
+        names = np.frombuffer(fps, np.int64)
+        ends = np.searchsorted(owner[order], np.arange(len(names) + 1)).astype(np.int32)
+        each = pa.StructArray.from_arrays([pa.array(df[order]), pa.array(h[order].view(np.int64))], names=["df", "tok"])
+        return pa.table({"fp": names, "often": pa.ListArray.from_arrays(pa.array(ends), each)})
+
+    packed = docs.select(text_col).mapInArrow(blocks, "p int, pack long, n long, fps binary, packed binary")
+    met = keep(packed.groupBy("p").applyInArrow(meet, "fp long, tok long, df long, pack long, n long, fps binary, packed binary"), "shared")
+    known = met.filter("tok IS NOT NULL AND df IS NULL").select("pack", "tok").join(met.filter("fp IS NULL AND df IS NOT NULL").select("tok", "df").hint("merge"), "tok").withColumnRenamed("pack", "of")
+    sent = met.filter("packed IS NOT NULL").select("pack", "n", "fps", "packed")
+    kind = "array<struct<df:bigint,tok:bigint>>"
+    often = sent.groupBy("pack").cogroup(known.groupBy("of")).applyInArrow(told, f"fp long, often {kind}")
+    light = met.filter("fp IS NOT NULL").select("fp", F.struct("df", "tok").alias("x"), F.lit(None).cast(kind).alias("often"))
+    return light.unionByName(often.select("fp", F.lit(None).cast("struct<df:bigint,tok:bigint>").alias("x"), "often"))
 
 
 def needed(n: Column, percent: int) -> Column:
@@ -269,8 +295,11 @@ def needed(n: Column, percent: int) -> Column:
 
 def index_nodes(shared: DataFrame, sizes: DataFrame, cfg: JoinConfig) -> DataFrame:
     """fp, n, u (private shingles), toks (shared, rare first), bits (parity bitmap of toks), for sets that can link."""
+    r = shared.groupBy("fp").agg(F.collect_set("x").alias("t"), F.flatten(F.collect_list("often")).alias("often"))
     # equal sets of different packs may repeat a frequent shingle
-    r = shared.groupBy("fp").agg(F.sort_array(F.collect_set(F.struct("df", "tok"))).alias("t"))
+    both = F.sort_array(F.concat("t", "often"))
+    once = F.transform(F.filter(F.arrays_zip(both.alias("x"), F.concat(F.array(F.lit(None).cast("bigint")), both["tok"]).alias("last")), lambda y: F.coalesce(y["x"]["tok"] != y["last"], y["x"].isNotNull())), lambda y: y["x"])
+    r = r.select("fp", F.when(F.size("often") > 0, once).otherwise(F.sort_array("t")).alias("t"))
     r = r.join(sizes, "fp").filter(F.size("t") * 100 >= F.col("n") * cfg.percent)
     r = r.select("fp", "n", (F.col("n") - F.size("t")).alias("u"), F.col("t.tok").alias("toks"))
 

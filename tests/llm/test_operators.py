@@ -7,6 +7,7 @@ import hashlib
 import random
 import re
 import zlib
+from dataclasses import replace
 
 import numpy as np
 import pyarrow as pa
@@ -230,6 +231,27 @@ def test_join_rows_grow_with_the_group(spark):
         assert b[kind] <= 3 * max(a[kind], 100) and c[kind] <= 3 * max(b[kind], 200), (a, b, c)
 
 
+def test_frequent_shingles_stay_packed(spark):
+    """Shingles that are frequent in a pack come as one row a set, with the same frequencies as row by row."""
+    rng = random.Random(8)
+    word = lambda: "".join(rng.choices("abcdefghijklmnop", k=7))
+    base, rows = [word() for _ in range(80)], []
+    for i in range(120):
+        w = list(base)
+        w[rng.randrange(80)] = word()
+        rows.append((i, " ".join(w), "en", "s"))
+    docs, cfg = docs_of(spark, [*rows, *((200 + i, *r[1:]) for i, r in enumerate(rows[:50]))]).repartition(4), setjoin.JoinConfig()
+    got = []
+    for heavy in (cfg.heavy, 10_000):
+        with setjoin.Scratch(spark) as keep:
+            shared = keep(setjoin.shared_shingles(docs, replace(cfg, heavy=heavy), "text", keep), "test")
+            sizes = setjoin.document_sets(docs, cfg, "doc_id", "text").groupBy("fp").agg(F.max("n").alias("n"))
+            nodes = {r.fp: (r.n, r.u, set(r.toks), len(r.toks)) for r in setjoin.index_nodes(shared, sizes, cfg).collect()}
+            got.append((nodes, shared.filter("often IS NOT NULL").count(), shared.count()))
+    assert got[0][0] == got[1][0] and all(len(t) == k for _, _, t, k in got[0][0].values()) and len(got[0][0]) > 100
+    assert got[1][1] == 0 and 0 < got[0][1] <= 170 and 3 * got[0][2] < got[1][2]
+
+
 def test_components_of_a_chain(spark):
     """A shuffled chain of 2,000 nodes, a shorter one, a star and a pair."""
     rng = random.Random(5)
